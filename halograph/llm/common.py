@@ -63,3 +63,23 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def need(df: DataFrame, *names: str) -> DataFrame:
     """Only the named columns, so that further columns of the input can't clash with an operator's own."""
     return df.select(*[df[n] for n in names])
+
+
+BLOCK = 256
+
+
+def prefix_sums(lengths: Column) -> Column:
+    """For an array of ints, the sums of what stands before each element. Summed in blocks, so long arrays stay close to linear."""
+    add = lambda a, b: a + b
+
+    def of(step: Column) -> Column:
+        n_blocks = F.ceil(F.size(step) / BLOCK).cast("int")
+        sums = F.transform(F.sequence(F.lit(0), n_blocks - 1), lambda k: F.aggregate(F.slice(step, k * BLOCK + 1, BLOCK), F.lit(0), add))
+        bases = let(sums, lambda s: F.transform(s, lambda _, k: F.aggregate(F.slice(s, F.lit(1), k), F.lit(0), add)))
+        block = lambda i: F.floor(i / BLOCK).cast("int")
+        return let(
+            bases,
+            lambda base: F.transform(step, lambda _, i: F.get(base, block(i)) + F.aggregate(F.slice(step, block(i) * BLOCK + 1, i % BLOCK), F.lit(0), add)),
+        )
+
+    return F.when(F.size(lengths) > 0, let(lengths, of)).otherwise(F.array().cast("array<int>"))

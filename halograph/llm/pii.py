@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .boosting import Boosted, fit
-from .common import let
+from .common import let, prefix_sums
 
 KINDS = ("email", "ip", "card", "phone")
 
@@ -57,7 +57,6 @@ CUES = {
 OTHER = r"version|order|invoice|serial|isbn|ticket|total|price|\bid\b|token|hash|code|page|chapter|section|build|year|date"
 
 BEFORE, AFTER = 24, 12
-BLOCK = 256
 #: labelled candidates of each kind for the trees; every third is held out for calibration
 TRAIN_ROWS = 900
 SEED = 20
@@ -69,30 +68,18 @@ def located(text: Column, pattern: str, hint: str) -> Column:
     def place(m: Column) -> Column:
         def with_gaps(gaps: Column) -> Column:
             steps = F.transform(m, lambda x, i: F.length(x) + F.length(F.get(gaps, i)))
-
-            def with_steps(step: Column) -> Column:
-                add = lambda a, b: a + b
-                n_blocks = F.ceil(F.size(step) / BLOCK).cast("int")
-                sums = F.transform(F.sequence(F.lit(0), n_blocks - 1), lambda k: F.aggregate(F.slice(step, k * BLOCK + 1, BLOCK), F.lit(0), add))
-                bases = let(sums, lambda s: F.transform(s, lambda _, k: F.aggregate(F.slice(s, F.lit(1), k), F.lit(0), add)))
-                return let(
-                    bases,
-                    lambda base: F.transform(
-                        m,
-                        lambda x, i: F.struct(
-                            x.alias("s"),
-                            (
-                                F.get(base, F.floor(i / BLOCK).cast("int"))
-                                + F.aggregate(F.slice(step, F.floor(i / BLOCK).cast("int") * BLOCK + 1, i % BLOCK), F.lit(0), add)
-                                + F.length(F.get(gaps, i))
-                            ).alias("at"),
-                            F.right(F.get(gaps, i), F.lit(BEFORE)).alias("before"),
-                            F.left(F.get(gaps, i + 1), F.lit(AFTER)).alias("after"),
-                        ),
+            return let(
+                prefix_sums(steps),
+                lambda before: F.transform(
+                    m,
+                    lambda x, i: F.struct(
+                        x.alias("s"),
+                        (F.get(before, i) + F.length(F.get(gaps, i))).alias("at"),
+                        F.right(F.get(gaps, i), F.lit(BEFORE)).alias("before"),
+                        F.left(F.get(gaps, i + 1), F.lit(AFTER)).alias("after"),
                     ),
-                )
-
-            return let(steps, with_steps)
+                ),
+            )
 
         return F.when(F.size(m) > 0, let(F.split(text, pattern, -1), with_gaps))
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import packing, pii, quality, simhash
+from . import chat, licenses, packing, pii, quality, sharding, simhash, warc, wfst
 
 
 def _pipeline(spark, sf_dir):
@@ -14,12 +14,17 @@ def _pipeline(spark, sf_dir):
 def queries() -> dict:
     return {
         "op1_pii_boosting": pii.op1_pii_boosting,
+        "op2_sentencepiece_wfst": wfst.op2_sentencepiece_wfst,
+        "op3_warc_dictionary": warc.op3_warc_dictionary,
         "op4_quality_rules": quality.op4_quality_rules,
         "op6_best_fit_packing": packing.op6_best_fit_packing,
+        "op7_two_pass_shuffle": sharding.op7_two_pass_shuffle,
         "op8_simhash_trie": simhash.op8_simhash_trie,
+        "op9_chat_prefix_targets": chat.op9_chat_prefix_targets,
+        "op10_license_scan": licenses.op10_license_scan,
         "pipeline": _pipeline,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_quality_rules": quality.ORACLE_OP4}
+    return {"op3_warc_dictionary": warc.ORACLE_OP3, "op4_quality_rules": quality.ORACLE_OP4, "op9_chat_prefix_targets": chat.ORACLE_OP9}
