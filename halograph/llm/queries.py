@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chat, licenses, packing, pii, quality, sharding, simhash, warc, wfst
+from . import chat, licenses, media, packing, pii, quality, sharding, simhash, warc, wfst
 
 
 def _pipeline(spark, sf_dir):
@@ -17,6 +17,7 @@ def queries() -> dict:
         "op2_sentencepiece_wfst": wfst.op2_sentencepiece_wfst,
         "op3_warc_dictionary": warc.op3_warc_dictionary,
         "op4_quality_rules": quality.op4_quality_rules,
+        "op5_image_copies": media.op5_image_copies,
         "op6_best_fit_packing": packing.op6_best_fit_packing,
         "op7_two_pass_shuffle": sharding.op7_two_pass_shuffle,
         "op8_simhash_trie": simhash.op8_simhash_trie,
