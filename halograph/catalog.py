@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
+from .queries import planning
+from .queries.registry import ORACLES, QUERIES
+
 
 def queries() -> dict:
-    return {}
+    return dict(QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(ORACLES)
 
 
-def flagship(spark, sf_dir: str):
-    raise NotImplementedError
+flagship = planning.flagship

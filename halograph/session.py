@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import atexit
 import os
 import tempfile
+import uuid
 import zipfile
 from pathlib import Path
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 _SHIPPED: set[str] = set()
 
@@ -34,3 +36,40 @@ def ship_package(spark: SparkSession) -> None:
         for p in sorted(root.rglob("*.py")):
             z.write(p, p.relative_to(root.parent))
     sc.addPyFile(out)
+
+
+#: Used only where the session names no shared folder (tests, a laptop).
+FALLBACK_SHARED_DIR = "/tmp/checkpoints"
+_RUN = uuid.uuid4().hex[:12]
+_MADE: set[str] = set()
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that the driver and all executors see: spark.checkpoint.dir, or the fallback where it is unset."""
+    return (spark.conf.get("spark.checkpoint.dir", None) or FALLBACK_SHARED_DIR).rstrip("/")
+
+
+def fresh_path(spark: SparkSession, name: str) -> str:
+    """A new path under the shared folder. It is removed when this Python process ends."""
+    root = f"{shared_dir(spark)}/halograph-{_RUN}"
+    if root not in _MADE:
+        _MADE.add(root)
+        atexit.register(_remove, spark, root)
+    return f"{root}/{name}-{uuid.uuid4().hex[:10]}"
+
+
+def _remove(spark: SparkSession, path: str) -> None:
+    try:
+        where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+    except Exception:  # noqa: BLE001 - the session may be gone; the folder is only scratch space
+        pass
+
+
+def stage(df: DataFrame, name: str = "stage") -> DataFrame:
+    """Write to shared storage and read again: cuts lineage, and outlives a lost executor."""
+    spark = df.sparkSession
+    ship_package(spark)
+    path = fresh_path(spark, name)
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
