@@ -222,16 +222,23 @@ def chunk_tables(points: DataFrame) -> DataFrame:
     return points.select("*", F.posexplode(F.array(*chunks)).alias("chunk", "part"))
 
 
-def matches(points: DataFrame) -> DataFrame:
-    """Pairs of corners of different images whose descriptors differ in at most RADIUS bits."""
+def matches(points: DataFrame, least: int = 1) -> DataFrame:
+    """Pairs of corners of different images whose descriptors differ in at most RADIUS bits, for image pairs with at least so many: (id_a,
+    id_b, m: set of corner_a, corner_b, places, levels and angles). Pairs that several chunks find are one in the set; an image pair's
+    set is bounded by the corners of two images."""
     t = chunk_tables(points)
-    a, b = (t.select("chunk", "part", *[F.col(c).alias(f"{c}_{s}") for c in ("id", "corner", "y", "x", "level", "angle", "d0", "d1")]) for s in "ab")
+    names = ("corner", "y", "x", "level", "angle")
+    a, b = (t.select("chunk", "part", *[F.col(c).alias(f"{c}_{s}") for c in ("id", *names, "d0", "d1")]) for s in "ab")
     near = F.bit_count(F.col("d0_a").bitwiseXOR(F.col("d0_b"))) + F.bit_count(F.col("d1_a").bitwiseXOR(F.col("d1_b"))) <= RADIUS
-    return a.join(b, ["chunk", "part"]).where((F.col("id_a") < F.col("id_b")) & near).drop("chunk", "part", "d0_a", "d0_b", "d1_a", "d1_b").distinct()
+    found = a.join(b, ["chunk", "part"]).where((F.col("id_a") < F.col("id_b")) & near)
+    sets = found.groupBy("id_a", "id_b").agg(F.collect_set(F.struct(*[f"{c}_{s}" for s in "ab" for c in names])).alias("m"))
+    return sets.where(F.size("m") >= least)
 
 
 def consensus(found: DataFrame, votes: int = MIN_VOTES) -> DataFrame:
-    """Image pairs (u, v) whose matches agree on a rotation, a scale and a shift. Bins overlap, so no agreement is cut by an edge."""
+    """Image pairs (u, v) whose matches agree on a rotation, a scale and a shift. Bins overlap, so no agreement is cut by an edge. Votes
+    are counted where an image pair's matches already are; nothing is exchanged again."""
+    one = found.select("id_a", "id_b", F.explode("m").alias("m")).select("id_a", "id_b", "m.*")
     size = F.array(*[F.lit(s) for s in SCALES])
     scale = F.get(size, F.col("level_a")) / F.get(size, F.col("level_b"))  # pixels of b for one of a
     turn = F.pmod(F.col("angle_b") - F.col("angle_a"), F.lit(ANGLES))
@@ -245,8 +252,8 @@ def consensus(found: DataFrame, votes: int = MIN_VOTES) -> DataFrame:
         )
         for i, j, k in half
     ]))
-    ballots = found.select("id_a", "id_b", "corner_a", "corner_b", F.round(F.log2(scale) * 2).cast("int").alias("bs"), bins.alias("bin"))
-    tally = ballots.groupBy("id_a", "id_b", "bin", "bs").agg(F.count_distinct("corner_a").alias("n_a"), F.count_distinct("corner_b").alias("n_b"))
+    ballots = one.select("id_a", "id_b", "corner_a", "corner_b", F.round(F.log2(scale) * 2).cast("int").alias("bs"), bins.alias("bin"))
+    tally = ballots.groupBy("id_a", "id_b", "bin", "bs").agg(F.size(F.collect_set("corner_a")).alias("n_a"), F.size(F.collect_set("corner_b")).alias("n_b"))
     return tally.where(F.least("n_a", "n_b") >= votes).select(F.col("id_a").alias("u"), F.col("id_b").alias("v")).distinct()
 
 
@@ -257,7 +264,7 @@ def copy_classes(images: DataFrame) -> DataFrame:
     distinct = materialise(rows.groupBy("sha").agg(F.min("id").alias("rep")), "reps")
     some = hashed.join(distinct, "sha").where("id = rep").select("id", "image")
     points = materialise(features(some), "corners")
-    stars = components(consensus(matches(points)))
+    stars = components(consensus(matches(points, MIN_VOTES)))
     rooted = materialise(distinct.join(stars, distinct["rep"] == stars["u"], "left").select("sha", F.coalesce("root", "rep").alias("class_id")), "classes")
     return rows.join(rooted, "sha").select("id", "class_id")
 
@@ -272,7 +279,7 @@ COPIED_EVERY = 20
 def render(vector: bytes) -> np.ndarray:
     """A grey texture that depends on all of a vector's bytes."""
     rng = np.random.Generator(np.random.PCG64(zlib.crc32(vector)))
-    grid = rng.random((1, 11, 11), np.float32) * 255
+    grid = rng.random((1, 24, 24), np.float32) * 255
     return resize(grid, SIDE, SIDE)[0].astype(np.uint8)
 
 

@@ -68,7 +68,7 @@ def test_matches_are_all_pairs_within_the_radius(spark):
         d = [x - (1 << 64) if x >> 63 else x for x in d]
         rows.append((k * 7 % 23, k, 0.0, 0.0, 0, 0, *d))
     df = spark.createDataFrame(rows, media.FEATURES)
-    got = {(r.corner_a, r.corner_b) if r.id_a < r.id_b else (r.corner_b, r.corner_a) for r in media.matches(df).collect()}
+    got = {(x.corner_a, x.corner_b) for r in media.matches(df).collect() for x in r.m}
     bits = lambda r: (r[6] % (1 << 64)) << 64 | r[7] % (1 << 64)
     want = {(a[1], b[1]) for a in rows for b in rows if a[0] < b[0] and (bits(a) ^ bits(b)).bit_count() <= media.RADIUS}
     assert got == want and len(want) > 50
