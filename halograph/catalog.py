@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .queries import numeric, planning  # noqa: F401 - modules register their queries
+from .queries import numeric, planning, surface  # noqa: F401 - modules register their queries
 from .queries.registry import ORACLES, QUERIES
 
 
