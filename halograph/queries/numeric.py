@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from .. import measures
 from ..functions.draws import uniform
-from ..functions.vectors import dyadic, dyadic_matrix, leaky_relu, millionths, relu, sigmoid
+from ..functions.vectors import EDGE, dyadic, dyadic_matrix, leaky_relu, millionths, relu, sigmoid
 from ..model.network import RATES, ModelSpec
 from ..operators import graph, layers
 from ..plans import infer
@@ -20,7 +20,7 @@ W = 4
 
 
 def m6(x: str) -> str:
-    return f"CAST(floor(({x}) * 1e6::DOUBLE + 0.5::DOUBLE) AS BIGINT)"
+    return f"CAST(floor(({x}) * 1e6::DOUBLE + {EDGE}::DOUBLE) AS BIGINT)"
 
 
 def flat(df, n: int = W, col: str = "x"):
