@@ -117,13 +117,13 @@ add("edge_softmax", lambda w: layers.edge_softmax(_scored(w), H).select("src", "
 
 _logits = lambda w: layers.sage(w.edges, w.features, S1, act=False)
 VIEWS["v_logits"] = sage_view("v_x", X, S1, False)
-_label = F.pmod("vid", F.lit(3)).cast("int")
-add("cross_entropy", lambda w: layers.cross_entropy(_logits(w), _label, 3).select("vid", millionths(F.col("loss")).alias("loss")), sql(f"SELECT vid, {m6('ln(exp(h0) + exp(h1) + exp(h2)) - CASE vid % 3 WHEN 0 THEN h0 WHEN 1 THEN h1 ELSE h2 END')} AS loss FROM v_logits"))
+_label = lambda: F.pmod("vid", F.lit(3)).cast("int")  # noqa: E731 - columns need a session, modules must not
+add("cross_entropy", lambda w: layers.cross_entropy(_logits(w), _label(), 3).select("vid", millionths(F.col("loss")).alias("loss")), sql(f"SELECT vid, {m6('ln(exp(h0) + exp(h1) + exp(h2)) - CASE vid % 3 WHEN 0 THEN h0 WHEN 1 THEN h1 ELSE h2 END')} AS loss FROM v_logits"))
 
 
 def _predicted(w):
     rounded = _logits(w).select("vid", F.transform("x", millionths).alias("logits"))
-    return infer.predict_nodes(rounded).withColumn("label", _label)
+    return infer.predict_nodes(rounded).withColumn("label", _label())
 
 
 VIEWS["v_pred"] = f"SELECT vid, CAST(CASE WHEN a >= b AND a >= c THEN 0 WHEN b >= c THEN 1 ELSE 2 END AS INTEGER) AS pred, CAST(vid % 3 AS INTEGER) AS label FROM (SELECT vid, {m6('h0')} AS a, {m6('h1')} AS b, {m6('h2')} AS c FROM v_logits)"
