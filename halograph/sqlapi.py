@@ -9,22 +9,26 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import arrow_udf, pandas_udf, udtf
+from pyspark.sql.types import ArrayType, DoubleType, IntegerType, LongType, StructField, StructType
 
+#: as objects, since a type's text is parsed by a session and modules must load without one
+VECTOR = ArrayType(DoubleType())
 
-@arrow_udf("array<double>")
+
+@arrow_udf(VECTOR)
 def relu_vec(x: pa.Array) -> pa.Array:
     """ReLU of every element, on Arrow buffers."""
     flat = np.maximum(x.flatten().to_numpy(zero_copy_only=False), 0.0)
     return pa.ListArray.from_arrays(x.offsets.slice(0), pa.array(flat)) if x.offset == 0 and x.null_count == 0 else pa.array([None if v is None else [max(0.0, e) for e in v] for v in x.to_pylist()], pa.list_(pa.float64()))
 
 
-@pandas_udf("array<double>")
+@pandas_udf(VECTOR)
 def vec_mean(x: pd.Series) -> list:
     """Mean vector of a group."""
     return np.mean(np.array(x.tolist(), np.float64), axis=0).tolist()
 
 
-@udtf(returnType="src long, n int")
+@udtf(returnType=StructType([StructField("src", LongType()), StructField("n", IntegerType())]))
 class SampleNeighbors:
     """Up to f entries of an adjacency list, in the order of their hashes."""
 
