@@ -61,6 +61,35 @@ def nearest(vectors: DataFrame, k: int = 10, id_col: str = "vec_id", vec_col: st
     return scored.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
+def documents(spark: SparkSession, sf_dir: str, most: int = 8) -> DataFrame:
+    """Documents that share a rare token (one of 2 to `most` documents); a token gives at most most * (most - 1) / 2 pairs, so none is a
+    hub. Exact copies are joined through their tokens as well."""
+    words = F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce("text", F.lit(""))), F.lit(r"[^\s.,;:!?]{5,}"), F.lit(0)))
+    t = table(spark, sf_dir, "documents").select("doc_id", F.explode(words).alias("token"))
+    rare = t.groupBy("token").agg(F.collect_set("doc_id").alias("d"), F.count("*").alias("n")).where(F.col("n").between(2, most))
+    pairs = rare.select(F.explode("d").alias("src"), "d").select("src", F.explode("d").alias("dst")).where("src < dst")
+    return symmetric(pairs.groupBy("src", "dst").agg(F.count("*").alias("w")))
+
+
+def trigram_features(spark: SparkSession, sf_dir: str, width: int = 64) -> DataFrame:
+    """(vid, x): shares of hashed overlapping trigrams of whole texts."""
+    grams = F.regexp_extract_all(F.lower(F.coalesce("text", F.lit(""))), F.lit("(?s)(?=(.{3}))"), F.lit(1))
+    t = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("vid"), F.explode(grams).alias("g"))
+    slot = F.pmod(F.xxhash64("g"), F.lit(width)).cast("int")
+    counts = t.groupBy("vid", slot.alias("slot")).agg(F.count("*").alias("n"))
+    rows = counts.groupBy("vid").agg(F.map_from_entries(F.collect_list(F.struct("slot", "n"))).alias("m"), F.sum("n").alias("total"))
+    x = F.array(*[F.coalesce(F.try_element_at("m", F.lit(k)), F.lit(0)) * width / F.col("total") for k in range(width)])
+    every = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("vid"))
+    return every.join(rows.select("vid", x.alias("x")), "vid", "left").select("vid", F.coalesce("x", F.array(*[F.lit(0.0)] * width)).alias("x"))
+
+
+def language_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(vid, label): languages numbered by name."""
+    d = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("vid"), "lang").where("lang IS NOT NULL")
+    names = sorted(r[0] for r in d.select("lang").distinct().collect())  # four rows
+    return d.select("vid", (F.array_position(F.array(*map(F.lit, names)), F.col("lang")) - 1).cast("int").alias("label"))
+
+
 def conversation_paths(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Many small graphs: each conversation is a path over its turns (graph_id, src, dst)."""
     t = table(spark, sf_dir, "conversations").select("conv_id", "turn")

@@ -47,6 +47,12 @@ add(
       (SELECT count(*) FROM v_train) AS train, (SELECT count(*) FROM v_verts) - (SELECT count(*) FROM v_train) AS test,
       (SELECT count(DISTINCT x) FROM (SELECT c_mktsegment AS x FROM customer UNION SELECT p_type FROM part)) AS classes"""),
 )
+add(
+    "document_edges", lambda w: graph.documents(w.spark, w.sf_dir),
+    r"""WITH t AS (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(coalesce(text, '')), '[^ \t\n\r\f\v.,;:!?]{5,}')) AS token FROM documents),
+      r AS (SELECT doc_id, token FROM t WHERE token IN (SELECT token FROM t GROUP BY token HAVING count(*) BETWEEN 2 AND 8))
+      SELECT a.doc_id AS src, b.doc_id AS dst, count(*) AS w FROM r a JOIN r b ON a.token = b.token AND a.doc_id <> b.doc_id GROUP BY ALL""",
+)
 add("train_vertices", lambda w: w.train, sql("SELECT vid FROM v_train"))
 add("page_degrees", lambda w: graph.degrees(_page_edges(w)), """WITH h AS (SELECT page_id, regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) AS host FROM pages)
   SELECT a.page_id AS vid, count(*) AS deg FROM h a JOIN h b ON a.host = b.host AND a.page_id <> b.page_id GROUP BY a.page_id""")
@@ -251,5 +257,9 @@ def _gaps(w):
 
 
 def flagship(spark, sf_dir):
-    """One epoch's plan on the purchase graph: probes, hits and hit rate per layer."""
-    return measures.hit_rate(workload(spark, sf_dir).plan.hit_plan)
+    """One epoch's plan on the purchase graph between two ranks: probes, hits and hit rate per layer."""
+    from ..plans.epoch import SampleConfig
+    from .workload import Workload
+
+    w = Workload(spark, sf_dir, P=2, sample=SampleConfig((3, 3), 16), spec=CacheSpec(cs=200, ls=2, nc=32, d=1))
+    return measures.hit_rate(w.plan.hit_plan)

@@ -17,4 +17,4 @@ def test_flagship(spark):
     import __spark_entry__ as e
 
     rows = e.entry(spark).collect()
-    assert {r["layer"] for r in rows} == {0, 1, 2} and all(0 <= r["hit_rate"] <= 1 for r in rows)
+    assert {r["layer"] for r in rows} == {0, 1} and sum(r["hits"] for r in rows) > 0 and all(0 <= r["hit_rate"] <= 1 for r in rows)
