@@ -56,7 +56,7 @@ def main() -> None:
     timed("gat_layer_sql", lambda: sink(layers.gat(edges, small, g, 2)))
 
     # scaling over ranks: what is planned, sent, hit and computed, and how evenly
-    sample = SampleConfig((5, 10, 15), 64)
+    sample = SampleConfig((5, 10, 15), 64, fast=True)
     for P in (2, 4, 8, 16):
         spec = CacheSpec(cs=int(0.58 * n / P), ls=2, nc=128, d=1)
         pg = Partitioned.build(edges, partition.by_hash(v, P), P)
@@ -73,7 +73,7 @@ def main() -> None:
         for mode in ("push", "pull"):
             pg = Partitioned.build(edges, partition.by_hash(v, 4), 4)
             model = ModelSpec(kind, (16, 32, 32, 6), dropout=0.0)
-            cfg = TrainConfig(model, SampleConfig((5, 5, 5), 256), CacheSpec(cs=20_000, ls=2, nc=512, d=1), mode, 1, rate=0.01, engine="barrier")
+            cfg = TrainConfig(model, SampleConfig((5, 5, 5), 256, fast=True), CacheSpec(cs=20_000, ls=2, nc=512, d=1), mode, 1, rate=0.01, engine="barrier")
             r = timed(f"train_{mode}_{kind}", lambda pg=pg, cfg=cfg: train(pg, x, labels.join(seeds, "vid"), cfg))
             facts[f"{mode}_{kind}_edges"] = r.log[0]["edges"]
             facts[f"{mode}_{kind}_run_seconds"] = round(r.log[0]["run_seconds"], 3)

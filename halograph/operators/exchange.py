@@ -17,7 +17,7 @@ def eligible(frontier: DataFrame, directory: DataFrame) -> DataFrame:
     return solid.join(d, ["from_rank", "vid"]).select("epoch", "it", "layer", "from_rank", "to_rank", "vid")
 
 
-def capped(wanted: DataFrame, degrees: DataFrame, limit: int | None, by: str = "degree", mode: str = "per_rank", seed: int = 1) -> DataFrame:
+def capped(wanted: DataFrame, degrees: DataFrame, limit: int | None, by: str = "degree", mode: str = "per_rank", seed: int = 1, fast: bool = False) -> DataFrame:
     """At most limit rows for each iteration, layer and pair of ranks (per_rank), or each sender (total, which is bounded however many
     ranks there are). by: degree (a race weighted by it), uniform, or top_degree."""
     if limit is None:
@@ -25,9 +25,9 @@ def capped(wanted: DataFrame, degrees: DataFrame, limit: int | None, by: str = "
     about = (seed, "push", F.col("epoch"), F.col("it"), F.col("layer"), F.col("from_rank"), F.col("to_rank"), F.col("vid"))
     group = ["epoch", "it", "layer", "from_rank", *(["to_rank"] if mode == "per_rank" else [])]
     if by == "uniform":
-        keys: list[Column] = [digest(*about)]
+        keys: list[Column] = [digest(*about, fast=fast)]
     elif by == "degree":
-        keys = [race(F.col("deg"), *about)]
+        keys = [race(F.col("deg"), *about, fast=fast)]
     else:
         keys = [F.desc("deg")]
     ranked = wanted.join(degrees.select("vid", "deg"), "vid").withColumn("n", F.row_number().over(Window.partitionBy(*group).orderBy(*keys, "vid", "to_rank")))

@@ -16,23 +16,23 @@ from ..functions.draws import RANGE, digest, draw, race
 BATCH = ("epoch", "rank", "it")
 
 
-def minibatches(train: DataFrame, parts: DataFrame, size: int, epoch: int = 0, seed: int = 1) -> DataFrame:
+def minibatches(train: DataFrame, parts: DataFrame, size: int, epoch: int = 0, seed: int = 1, fast: bool = False) -> DataFrame:
     """(epoch, rank, it, vid): each rank's training vertices in drawn order, cut into groups of size; the last may be short."""
-    order = Window.partitionBy("rank").orderBy(digest(seed, "seed", epoch, F.col("vid")), "vid")
+    order = Window.partitionBy("rank").orderBy(digest(seed, "seed", epoch, F.col("vid"), fast=fast), "vid")
     mine = train.select("vid").join(parts, "vid").select(F.col("part").alias("rank"), "vid")
     it = F.floor((F.row_number().over(order) - 1) / size).cast("int")
     return mine.select(F.lit(epoch).alias("epoch"), "rank", it.alias("it"), "vid")
 
 
-def hop_key(kind: str, layer: int, seed: int) -> Column:
+def hop_key(kind: str, layer: int, seed: int, fast: bool = False) -> Column:
     """The order in which a destination's candidates are taken."""
     about = (seed, "hop", F.col("epoch"), F.col("it"), layer, F.col("src"), F.col("dst"))
     if kind == "uniform":
-        return digest(*about)
-    return race(F.col("w") if kind == "weighted" else F.col("deg_src"), *about)
+        return digest(*about, fast=fast)
+    return race(F.col("w") if kind == "weighted" else F.col("deg_src"), *about, fast=fast)
 
 
-def hop(frontier: DataFrame, placed: DataFrame, fanout: int, layer: int, kind: str = "uniform", seed: int = 1, replace: bool = False) -> DataFrame:
+def hop(frontier: DataFrame, placed: DataFrame, fanout: int, layer: int, kind: str = "uniform", seed: int = 1, replace: bool = False, fast: bool = False) -> DataFrame:
     """In-neighbours of every frontier vertex, at most fanout of them: (epoch, rank, it, layer, src, dst, w, p_src).
 
     The limit stands directly above the window, so Spark keeps only the best of each destination before the exchange as well: a hub's
@@ -43,16 +43,16 @@ def hop(frontier: DataFrame, placed: DataFrame, fanout: int, layer: int, kind: s
         listed = placed.withColumn("pos", pos)
         deg = placed.groupBy("dst").agg(F.count("*").alias("deg"))
         draws = front.join(deg, "dst").withColumn("j", F.explode(F.sequence(F.lit(0), F.lit(fanout - 1))))
-        at = F.floor(draw(seed, "draw", F.col("epoch"), F.col("it"), layer, F.col("dst"), F.col("j")) * F.col("deg") / F.lit(float(RANGE))).cast("int")
+        at = F.floor(draw(seed, "draw", F.col("epoch"), F.col("it"), layer, F.col("dst"), F.col("j"), fast=fast) * F.col("deg") / F.lit(float(RANGE))).cast("int")
         got = draws.withColumn("pos", at).join(listed, ["dst", "pos"])
         return got.select(*BATCH, F.lit(layer).alias("layer"), "src", "dst", "w", "p_src", "j")
-    key = hop_key(kind, layer, seed)
+    key = hop_key(kind, layer, seed, fast)
     order = Window.partitionBy(*BATCH, "dst").orderBy("key", "src")
     ranked = front.join(placed, "dst").withColumn("key", key).withColumn("n", F.row_number().over(order)).where(F.col("n") <= fanout)
     return ranked.select(*BATCH, F.lit(layer).alias("layer"), "src", "dst", "w", "p_src")
 
 
-def sample(seeds: DataFrame, placed: DataFrame, fanouts: Sequence[int], scope: str = "local", kind: str = "uniform", seed: int = 1, cut: Callable[[DataFrame], DataFrame] = lambda df: df) -> tuple[DataFrame, DataFrame]:
+def sample(seeds: DataFrame, placed: DataFrame, fanouts: Sequence[int], scope: str = "local", kind: str = "uniform", seed: int = 1, cut: Callable[[DataFrame], DataFrame] = lambda df: df, fast: bool = False) -> tuple[DataFrame, DataFrame]:
     """(blocks, frontier) of all minibatches; fanouts begin at the seeds. cut stores a hop's result, so that later hops don't repeat it.
     scope local: solids are expanded; global: all vertices are, wherever they live."""
     top = len(fanouts)
@@ -61,7 +61,7 @@ def sample(seeds: DataFrame, placed: DataFrame, fanouts: Sequence[int], scope: s
     for k, fanout in enumerate(fanouts):
         layer = top - 1 - k
         grown = front.where("part = rank") if scope == "local" else front
-        block = cut(hop(grown, placed, fanout, layer, kind, seed))
+        block = cut(hop(grown, placed, fanout, layer, kind, seed, fast=fast))
         front = cut(grown.select(*BATCH, "vid", "part").union(block.select(*BATCH, "src", "p_src")).distinct())
         blocks.append(block)
         fronts.append(front.withColumn("layer", F.lit(layer)))

@@ -26,6 +26,8 @@ class SampleConfig:
     kind: str = "uniform"
     scope: str = "local"
     seed: int = 1
+    #: draw by Spark's own hash instead of md5
+    fast: bool = False
 
 
 @dataclass
@@ -61,11 +63,10 @@ class EpochPlan:
 
 def plan_epoch(pg: Partitioned, train: DataFrame, sample: SampleConfig, spec: CacheSpec, epoch: int = 0, earlier: DataFrame | None = None, cut: Callable[[DataFrame], DataFrame] = stage) -> EpochPlan:
     """earlier: pushes of the epochs before that may still be read (caches are never reset)."""
-    seeds = cut(sampling.minibatches(train, pg.parts, sample.b, epoch, sample.seed))
+    seeds = cut(sampling.minibatches(train, pg.parts, sample.b, epoch, sample.seed, sample.fast))
     rounds = (seeds.agg(F.max("it")).first()[0] or 0) + 1
-    blocks, frontier = sampling.sample(seeds, pg.placed, sample.fanouts, sample.scope, sample.kind, sample.seed, cut)
-    blocks, frontier = cut(blocks), cut(frontier)
-    wanted = exchange.capped(exchange.eligible(frontier, pg.directory), pg.degrees, spec.nc, spec.by, spec.cap_mode, sample.seed)
+    blocks, frontier = sampling.sample(seeds, pg.placed, sample.fanouts, sample.scope, sample.kind, sample.seed, cut, sample.fast)
+    wanted = exchange.capped(exchange.eligible(frontier, pg.directory), pg.degrees, spec.nc, spec.by, spec.cap_mode, sample.seed, sample.fast)
     pushes = cut(exchange.timeline(wanted, rounds, spec.d))
     known = pushes if earlier is None else pushes.unionByName(earlier)
     hits = cut(cache.residency(cache.demand(frontier), known, spec, rounds))

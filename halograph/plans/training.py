@@ -57,9 +57,9 @@ def plan_for(pg: Partitioned, labels: DataFrame, cfg: TrainConfig, epoch: int, e
     spec = replace(cfg.cache, nc=0) if cfg.mode == "none" else cfg.cache
     if cfg.mode != "pull":
         return plan_epoch(pg, labels, cfg.sample, spec, epoch, earlier if cfg.mode == "push" else None)
-    seeds = stage(sampling.minibatches(labels, pg.parts, cfg.sample.b, epoch, cfg.sample.seed))
+    seeds = stage(sampling.minibatches(labels, pg.parts, cfg.sample.b, epoch, cfg.sample.seed, cfg.sample.fast))
     rounds = (seeds.agg(F.max("it")).first()[0] or 0) + 1
-    blocks, frontier = (stage(x) for x in sampling.sample(seeds, pg.placed, cfg.sample.fanouts, "global", cfg.sample.kind, cfg.sample.seed, stage))
+    blocks, frontier = sampling.sample(seeds, pg.placed, cfg.sample.fanouts, "global", cfg.sample.kind, cfg.sample.seed, stage, cfg.sample.fast)
     nobody = stage(timeline(frontier.where("false").select("epoch", "it", "layer", F.col("rank").alias("from_rank"), F.col("rank").alias("to_rank"), "vid"), rounds, spec.d))
     hits = frontier.where("false").select("epoch", "rank", "it", "layer", "vid", F.lit(True).alias("hit"), F.col("it").alias("version_it"))
     return EpochPlan(seeds, blocks, frontier, nobody, hits, blocks, rounds)
