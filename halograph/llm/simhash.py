@@ -14,13 +14,13 @@ one row each. An empty table gives an empty result. Exact copies, however many,
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..session import ship_package
@@ -29,8 +29,13 @@ from .common import materialise
 SHINGLE = 4
 SEED = 42
 DISTANCE = 4
-#: (rotation, budget of the first 32 levels) of the two tries
-TRIES = ((0, 2), (32, 1))
+
+
+def tries(distance: int) -> tuple[tuple[int, int], tuple[int, int]]:
+    """(rotation, budget of the first 32 levels) of the two tries that find all pairs within the distance."""
+    return (0, distance // 2), (32, (distance - 1) // 2)
+
+
 #: distinct fingerprints that a prefix should hold on average
 PREFIX_TARGET = 16_384
 #: pairs of nodes that are traversed at once, and the product of two nodes' sizes below which their leaves are compared at once
@@ -52,23 +57,34 @@ def fingerprint(text: str | bytes | None) -> int:
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, n) + 1) - 1
     first = np.concatenate(([0], ends[:-1] + 1))[: n - SHINGLE + 1].tolist()
     m = n - SHINGLE + 1
-    hashes = np.fromiter((digest(line[a:b], SEED) for a, b in zip(first, ends[SHINGLE - 1 :].tolist(), strict=True)), np.uint64, m)
-    octets = hashes.astype(">u8").view(np.uint8).reshape(m, 8)
+    return _majority(np.fromiter((digest(line[a:b], SEED) for a, b in zip(first, ends[SHINGLE - 1 :].tolist(), strict=True)), np.uint64, m))
+
+
+def _majority(hashes: np.ndarray) -> int:
+    """The bits that are set in over half of the hashes."""
+    octets = hashes.astype(">u8").view(np.uint8).reshape(len(hashes), 8)
     ones = np.concatenate([np.bincount(octets[:, k], minlength=256) @ _BITS for k in range(8)])
-    return int.from_bytes(np.packbits(2 * ones > m).tobytes(), "big")
+    return int.from_bytes(np.packbits(2 * ones > len(hashes)).tobytes(), "big")
 
 
-def _fingerprints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        texts = b.column(1).cast(pa.large_binary())
-        got = np.fromiter((fingerprint(t.as_py()) for t in texts), np.uint64, len(b))
-        yield pa.record_batch([b.column(0), pa.array(got.view(np.int64))], names=["doc_id", "fp"])
+def word_fingerprint(text: str | bytes | None) -> int:
+    """The fingerprint of a text's distinct words. It moves far less than that of shingles when a few words change."""
+    data = text.encode() if isinstance(text, str) else text or b""
+    words = set(data.lower().split())
+    return _majority(np.fromiter((xxhash.xxh64_intdigest(w, SEED) for w in words), np.uint64, len(words))) if words else 0
 
 
-def with_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def with_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", of: Callable[[bytes | None], int] = fingerprint) -> DataFrame:
     """One row (doc_id, fp) per input row; fp holds the unsigned value's bits in a long."""
     ship_package(docs.sparkSession)
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(_fingerprints, "doc_id long, fp long")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            texts = b.column(1).cast(pa.large_binary())
+            got = np.fromiter((of(t.as_py()) for t in texts), np.uint64, len(b))
+            yield pa.record_batch([b.column(0), pa.array(got.view(np.int64))], names=["doc_id", "fp"])
+
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id long, fp long")
 
 
 # --- the trie self-join inside one group ------------------------------------------------------------------------------------
@@ -151,33 +167,73 @@ def _roots(n: int, pairs: Iterator[tuple[np.ndarray, np.ndarray]]) -> np.ndarray
     return root
 
 
-def _forest(table: pa.Table, distance: int) -> pa.Table:
-    """The links of one pair of prefixes as edges from each fingerprint to the smallest that it reaches here."""
-    rotation, upper = TRIES[table.column("trie")[0].as_py()]
+def _turn(x: np.ndarray, k: int) -> np.ndarray:
+    return x << np.uint64(k) | x >> np.uint64(64 - k) if k else x
+
+
+def _group_pairs(table: pa.Table, distance: int) -> tuple[np.ndarray, Iterator[tuple[np.ndarray, np.ndarray]]]:
+    """The fingerprints of one pair of prefixes, and the pairs of their positions within the distance."""
+    rotation, upper = tries(distance)[table.column("trie")[0].as_py()]
     values = table.column("fp").to_numpy().view(np.uint64)
     side = table.column("side").to_numpy()
     spent, bits = table.column("spent")[0].as_py(), table.column("bits")[0].as_py()
-    turn = lambda x, k: x << np.uint64(k) | x >> np.uint64(64 - k) if k else x
-    a, b = (np.unique(turn(values[side == k], rotation)) for k in (0, 1))
+    a, b = (np.unique(_turn(values[side == k], rotation)) for k in (0, 1))
     if spent == 0:
         both, pairs = a, node_pairs(a, None, upper, distance, bits, 0)
     else:
         both, pairs = np.concatenate([a, b]), ((i, j + len(a)) for i, j in node_pairs(a, b, upper, distance, bits, spent))
-    root = _roots(len(both), pairs)
-    far = root != np.arange(len(both))
-    back = turn(both, 64 - rotation if rotation else 0).view(np.int64)
-    return pa.table({"u": back[far], "v": back[root[far]]})
+    return _turn(both, 64 - rotation if rotation else 0), pairs
 
 
-def links(distinct: DataFrame, n: int, distance: int = DISTANCE) -> DataFrame:
-    """Edges (u, v) that connect exactly what is linked among the n distinct fingerprints of column fp."""
+def _forest(table: pa.Table, distance: int) -> pa.Table:
+    """The links of one pair of prefixes as edges from each fingerprint to the smallest that it reaches here."""
+    values, pairs = _group_pairs(table, distance)
+    root = _roots(len(values), pairs)
+    far = root != np.arange(len(values))
+    signed = values.view(np.int64)
+    return pa.table({"u": signed[far], "v": signed[root[far]]})
+
+
+def _nearest(table: pa.Table, distance: int, most: int) -> pa.Table:
+    """Of each fingerprint's links here those to its `most` nearest, as (u, v, d). A link is left out only where it is among the nearest
+    of neither end; both ends are then told as (u, u, -1)."""
+    values, pairs = _group_pairs(table, distance)
+    kept = [np.zeros(0, np.int64)] * 2 + [np.zeros(0, np.uint8)]
+    over = np.zeros(len(values), bool)
+    waiting: list[list[np.ndarray]] = []
+
+    def settle() -> None:
+        nonlocal kept, waiting
+        i, j, d = (np.concatenate([k, *w]) for k, w in zip(kept, zip(*waiting, strict=True) if waiting else [()] * 3, strict=True))
+        waiting = []
+        near = np.zeros(len(i), bool)
+        for end in (i, j):
+            order = np.lexsort((np.where(end is i, j, i), d, end))
+            first = np.flatnonzero(np.diff(end[order], prepend=-1))
+            rank = np.arange(len(order)) - np.repeat(first, np.diff(np.append(first, len(order))))
+            near[order[rank < most]] = True
+        over[i[~near]] = over[j[~near]] = True
+        kept = [x[near] for x in (i, j, d)]
+
+    for i, j in pairs:
+        waiting.append([i, j, np.bitwise_count(values[i] ^ values[j])])
+        if sum(len(w[0]) for w in waiting) > 2 * FRONTIER:
+            settle()
+    settle()
+    i, j, d = kept
+    signed, o = values.view(np.int64), np.flatnonzero(over)
+    return pa.table({"u": np.concatenate([signed[i], signed[o]]), "v": np.concatenate([signed[j], signed[o]]), "d": np.concatenate([d.astype(np.int32), np.full(len(o), -1, np.int32)])})
+
+
+def dealt(distinct: DataFrame, n: int, distance: int) -> DataFrame:
+    """The n distinct fingerprints of column fp, each dealt to the pairs of prefixes that it can have links in."""
     bits = min(24, max(3, math.ceil(math.log2(max(1, n / PREFIX_TARGET)))))
     parts = None
-    for k, (rotation, upper) in enumerate(TRIES):
+    for k, (rotation, upper) in enumerate(tries(distance)):
         masks = [sum(1 << x for x in c) for r in range(min(upper, bits) + 1) for c in combinations(range(bits), r)]
         turned = F.col("fp") if not rotation else F.shiftleft("fp", rotation).bitwiseOR(F.shiftrightunsigned("fp", 64 - rotation))
         prefix = F.shiftrightunsigned(turned, 64 - bits).cast("int")
-        dealt = (
+        rows = (
             distinct.select("fp", prefix.alias("p"), F.explode(F.array(*map(F.lit, masks))).alias("m"))
             .withColumn("q", F.col("p").bitwiseXOR(F.col("m")))
             .select(
@@ -185,8 +241,13 @@ def links(distinct: DataFrame, n: int, distance: int = DISTANCE) -> DataFrame:
                 (F.col("p") > F.col("q")).cast("int").alias("side"), F.bit_count("m").cast("int").alias("spent"), F.lit(bits).alias("bits"), "fp",
             )
         )
-        parts = dealt if parts is None else parts.unionByName(dealt)
-    return parts.groupBy("trie", "a", "b").applyInArrow(lambda t: _forest(t, distance), "u long, v long")
+        parts = rows if parts is None else parts.unionByName(rows)
+    return parts
+
+
+def links(distinct: DataFrame, n: int, distance: int = DISTANCE) -> DataFrame:
+    """Edges (u, v) that connect exactly what is linked among the n distinct fingerprints of column fp."""
+    return dealt(distinct, n, distance).groupBy("trie", "a", "b").applyInArrow(lambda t: _forest(t, distance), "u long, v long")
 
 
 # --- components over all groups ---------------------------------------------------------------------------------------------
@@ -239,17 +300,90 @@ def near_duplicates(docs: DataFrame, distance: int = DISTANCE) -> DataFrame:
     return prints.join(named, "fp").select("doc_id", "fp", "component_id")
 
 
-def drop_near_duplicates(docs: DataFrame) -> DataFrame:
-    """Of each component the rows with the smallest doc_id stay (one of them, should ids repeat), with the input's columns."""
-    kept = near_duplicates(docs.select("doc_id", "text")).where("doc_id = component_id").select("doc_id").distinct()
-    # ids rarely repeat; where they do, one row of each id stays
-    first = docs.withColumn("_n", F.xxhash64(*[F.col(c).cast("string") for c in docs.columns]))
-    return _one_per_id(first.join(kept, "doc_id", "left_semi"), docs.columns)
+# --- near copies by similarity: fingerprints propose, shingles decide -----------------------------------------------------------
 
+SIMILAR, WORDS = 0.8, 5
+WORD_DISTANCE = 7
+#: links of a fingerprint that are checked in the first round; those with more left get four times as many in the next
+NEAREST = 8
 
-def _one_per_id(df: DataFrame, columns: list[str]) -> DataFrame:
-    from pyspark.sql import Window
 
+def shingle_set(text: str | bytes | None) -> np.ndarray:
+    """Hashes of the distinct five-word shingles; a shorter text is one shingle."""
+    data = text.encode() if isinstance(text, str) else text or b""
+    w = data.lower().split()
+    return np.unique(np.fromiter((xxhash.xxh64_intdigest(b" ".join(w[i : i + WORDS]), SEED) for i in range(max(1, len(w) - WORDS + 1))), np.uint64)).view(np.int64)
+
+
+def _shingle_sets(docs: DataFrame) -> DataFrame:
+    ship_package(docs.sparkSession)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            sets = [shingle_set(t.as_py()) for t in b.column(1).cast(pa.large_binary())]
+            ends = np.concatenate(([0], np.cumsum([len(x) for x in sets]))).astype(np.int32)
+            yield pa.record_batch([b.column(0), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(sets) if sets else np.zeros(0, np.int64)))], names=["doc_id", "s"])
+
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, s array<long>")
+
+
+def similar_documents(docs: DataFrame, similar: float = SIMILAR, distance: int = WORD_DISTANCE) -> DataFrame:
+    """(u, root) for each doc_id that a chain of pairs with a Jaccard similarity of at least `similar` joins to a smaller one, of docs
+    with unique ids. Candidates are pairs whose word fingerprints the trie join finds within the distance; each is checked exactly.
+
+    A round checks each fingerprint's nearest links, so a large group of copies falls together without all its pairs. Where links were
+    left out, both ends go into the next round with more of them, until none is left out: no candidate goes unchecked unless its ends
+    are joined already."""
+    prints = materialise(with_fingerprints(docs, of=word_fingerprint), "word-prints")
+    reps = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("rep")), "word-reps")
+    same = prints.join(reps, "fp").where("doc_id <> rep").select(F.col("doc_id").alias("x"), F.col("rep").alias("y"))
+    active, found, most = reps.select("fp"), None, NEAREST
+    while True:
+        n = active.count()
+        near = materialise(_near(active, n, distance, most), "near")
+        edges = near.where("d >= 0").select("u", "v").distinct()
+        a, b = (prints.select(F.col("fp").alias(f), F.col("doc_id").alias(f"{f}_doc")) for f in "uv")
+        ra, rb = (reps.select(F.col("fp").alias(f), F.col("rep").alias(f"{f}_rep")) for f in "uv")
+        pairs = edges.join(a, "u").join(rb, "v").select(F.col("u_doc").alias("x"), F.col("v_rep").alias("y"))
+        pairs = pairs.union(edges.join(b, "v").join(ra, "u").select(F.col("v_doc").alias("x"), F.col("u_rep").alias("y")))
+        if found is None:
+            pairs = pairs.union(same)
+        pairs = materialise(pairs.select(F.greatest("x", "y").alias("x"), F.least("x", "y").alias("y")).where("x <> y").distinct(), "pairs")
+        involved = pairs.select(F.col("x").alias("doc_id")).union(pairs.select("y")).distinct()
+        sets = materialise(_shingle_sets(docs.join(involved, "doc_id", "left_semi")), "shingles")
+        joined = pairs.join(sets.select(F.col("doc_id").alias("x"), F.col("s").alias("sx")), "x").join(sets.select(F.col("doc_id").alias("y"), F.col("s").alias("sy")), "y")
+        common = F.size(F.array_intersect("sx", "sy"))
+        good = joined.where(common >= F.lit(similar) * (F.size("sx") + F.size("sy") - common)).select(F.col("x").alias("u"), F.col("y").alias("v"))
+        good = materialise(good, "similar")
+        found = good if found is None else found.union(good)
+        over = materialise(near.where("d < 0").select(F.col("u").alias("fp")).distinct(), "over")
+        if not over.count():
+            return components(found)
+        # ends that are joined already need no more of each other: one fingerprint of each component goes on
+        joint = materialise(components(found), "joint")
+        active = materialise(over.join(reps, "fp").join(joint.withColumnRenamed("u", "rep"), "rep", "left_anti").select("fp"), "active")
+        most *= 4
+
+
+def _near(active: DataFrame, n: int, distance: int, most: int) -> DataFrame:
+    return dealt(active, n, distance).groupBy("trie", "a", "b").applyInArrow(lambda t: _nearest(t, distance, most), "u long, v long, d int")
+
+
+def drop_near_duplicates(docs: DataFrame, similar: float | None = SIMILAR) -> DataFrame:
+    """Of each group of near copies the row with the smallest doc_id stays, with the input's columns. Groups are components of links
+    between shingle fingerprints, and then, among what is left, of similarities of at least `similar` (None: no such pass).
+    Repeated ids keep one row; rows without an id stay."""
+    first = near_duplicates(docs.select("doc_id", "text")).where("doc_id = component_id").select("doc_id").distinct()
+    tagged = docs.withColumn("_n", F.xxhash64(*[F.col(c).cast("string") for c in docs.columns]))
+    left = _one_per_id(tagged.join(first, "doc_id", "left_semi"), docs.columns)
+    if similar is not None:
+        left = materialise(left, "left")
+        gone = similar_documents(left.select("doc_id", "text"), similar).select(F.col("u").alias("doc_id"))
+        left = left.join(gone, "doc_id", "left_anti")
+    return left.unionByName(docs.where("doc_id IS NULL"))
+
+
+def _one_per_id(df: DataFrame, columns: list[str]) -> DataFrame:
     rank = F.row_number().over(Window.partitionBy("doc_id").orderBy("_n"))
     return df.withColumn("_r", rank).where("_r = 1").select(*columns)
 

@@ -72,12 +72,61 @@ def test_simhash_components(docs, texts):
     want = Counter((i, p, least[r]) for i, p, r in zip(ids, prints, root))
     got = Counter((r.doc_id, r.fp % (1 << 64), r.component_id) for r in simhash.near_duplicates(docs).collect())
     assert got == want
-    kept = simhash.drop_near_duplicates(docs)
+    kept = simhash.drop_near_duplicates(docs, similar=None)
     assert kept.columns == docs.columns
     assert sorted(r.doc_id for r in kept.select("doc_id").collect()) == sorted(set(least.values()))
     assert simhash.near_duplicates(docs.limit(0)).count() == 0
 
 
+def jaccard(a, b):
+    a, b = (set(simhash.shingle_set(x).tolist()) for x in (a, b))
+    return len(a & b) / len(a | b)
+
+
+def test_similar_documents_fall_together(spark, monkeypatch):
+    """Copies with changed words, more of them than a round checks, beside documents that only look alike."""
+    monkeypatch.setattr(simhash, "NEAREST", 2)
+    rng = np.random.default_rng(5)
+    words = [f"word{k}" for k in range(3000)]
+    texts = {}
+    for base in range(12):
+        w = rng.choice(words, 400).tolist()
+        for copy in range(25 if base == 0 else 3):
+            c = list(w)
+            for at in rng.choice(400, rng.integers(0, 20), replace=False):
+                c[at] = words[rng.integers(3000)]
+            texts[1000 * base + copy] = " ".join(c)
+    for k in range(40):
+        texts[50_000 + k] = " ".join(rng.choice(words, 300))
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string").repartition(4)
+    ids = sorted(texts)
+    prints = {i: simhash.word_fingerprint(t) for i, t in texts.items()}
+    near = lambda a, b: (prints[a] ^ prints[b]).bit_count() <= 7 and jaccard(texts[a], texts[b]) >= 0.8
+    root = classes(ids, near)
+    got = {r.u: r.root for r in simhash.similar_documents(df).collect()}
+    assert {i: got.get(i, i) for i in ids} == {i: ids[r] for i, r in zip(ids, root)}
+    exact = classes(ids, lambda a, b: jaccard(texts[a], texts[b]) >= 0.8)
+    assert len(set(root)) <= 1.05 * len(set(exact))  # what the fingerprints overlook
+    kept = {r.doc_id for r in simhash.drop_near_duplicates(df).collect()}
+    assert set(range(50_000, 50_040)) <= kept and not any(near(a, b) for a in kept for b in kept if a < b)
+
+
+def test_links_left_out_are_told(spark):
+    """Every pair within the distance is given, or both its ends are marked."""
+    rng = np.random.default_rng(2)
+    v = np.unique(np.concatenate([np.uint64(1 << 60) ^ (np.uint64(1) << rng.integers(0, 64, 200).astype(np.uint64)) ^ (np.uint64(1) << rng.integers(0, 64, 200).astype(np.uint64))]))
+    df = spark.createDataFrame([(int(x) - (1 << 64) if int(x) >> 63 else int(x),) for x in v.tolist()], "fp long")
+    for most in (1, 3, 10_000):
+        rows = simhash._near(df, len(v), 7, most).collect()
+        given = {frozenset((r.u % (1 << 64), r.v % (1 << 64))) for r in rows if r.d >= 0}
+        told = {r.u % (1 << 64) for r in rows if r.d < 0}
+        for a in v.tolist():
+            for b in v.tolist():
+                if a < b and (a ^ b).bit_count() <= 7:
+                    assert frozenset((a, b)) in given or {a, b} <= told
+        assert most < 10_000 or not told
+
+
 @pytest.mark.parametrize("seed", range(4))
 def test_trie_links_match_brute_force(seed):
     rng = np.random.default_rng(seed)
@@ -90,7 +139,7 @@ def test_trie_links_match_brute_force(seed):
     v = np.unique(np.concatenate([base, near, ball]))
     want = {(min(a, b), max(a, b)) for k, a in enumerate(v.tolist()) for b in v[k + 1 :].tolist() if (a ^ b).bit_count() <= 4}
     got = set()
-    for rotation, upper in simhash.TRIES:
+    for rotation, upper in simhash.tries(4):
         turned = np.unique(v << np.uint64(rotation) | v >> np.uint64(64 - rotation) if rotation else v)
         back = (turned << np.uint64(32) | turned >> np.uint64(32)) if rotation else turned
         for i, j in simhash.node_pairs(turned, None, upper):
@@ -255,6 +304,8 @@ def test_pipeline(spark):
             assert len(bad & kept.keys()) <= 0.2 * len(bad)
         elif name == "near_duplicates":
             assert len({*map(brute_print, kept.values())}) == len(kept)
+            texts = sorted(kept.items())
+            assert not any(jaccard(a, b) >= 0.8 for k, (_, a) in enumerate(texts) for _, b in texts[:k])
         else:
             assert kept.keys() == rows.keys()
             assert not any(brute_pii(t) for t in kept.values())
