@@ -287,11 +287,14 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
 
 def near_duplicates(docs: DataFrame, distance: int = DISTANCE) -> DataFrame:
     """One row per input row: doc_id, fp (long) and component_id, the smallest doc_id reachable by links of at most `distance` bits."""
-    prints = materialise(with_fingerprints(docs), "prints")
+    return linked(materialise(with_fingerprints(docs), "prints"), distance)
+
+
+def linked(prints: DataFrame, distance: int = DISTANCE) -> DataFrame:
+    """The same from a table of (doc_id, fp)."""
     distinct = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct")
     stars = components(links(distinct.select("fp"), distinct.count(), distance))
-    rooted = distinct.join(stars.withColumnRenamed("u", "fp"), "fp", "left").withColumn("linked", F.col("root").isNotNull())
-    rooted = rooted.withColumn("root", F.coalesce("root", "fp"))
+    rooted = distinct.join(stars.withColumnRenamed("u", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     smallest = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
     spread = smallest.select("root", "component_id", F.explode(F.array(*map(F.lit, range(SALTS)))).alias("salt"))
     rooted = rooted.withColumn("salt", F.pmod(F.xxhash64("fp"), F.lit(SALTS)).cast("int"))
@@ -305,7 +308,9 @@ def near_duplicates(docs: DataFrame, distance: int = DISTANCE) -> DataFrame:
 SIMILAR, WORDS = 0.8, 5
 WORD_DISTANCE = 7
 #: links of a fingerprint that are checked in the first round; those with more left get four times as many in the next
-NEAREST = 8
+NEAREST = 4
+#: ids up to which a list of ids is broadcast (8 bytes each); longer ones are joined by a shuffle
+FEW_IDS = 1_000_000
 
 
 def shingle_set(text: str | bytes | None) -> np.ndarray:
@@ -327,60 +332,90 @@ def _shingle_sets(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, s array<long>")
 
 
-def similar_documents(docs: DataFrame, similar: float = SIMILAR, distance: int = WORD_DISTANCE) -> DataFrame:
-    """(u, root) for each doc_id that a chain of pairs with a Jaccard similarity of at least `similar` joins to a smaller one, of docs
-    with unique ids. Candidates are pairs whose word fingerprints the trie join finds within the distance; each is checked exactly.
+def _by_ids(docs: DataFrame, ids: DataFrame, how: str) -> DataFrame:
+    """Semi or anti join by doc_id. Whole texts are only shuffled where the list of ids is too long to be sent around."""
+    return docs.join(F.broadcast(ids) if ids.count() <= FEW_IDS else ids, "doc_id", how)
+
+
+def _verified(docs: DataFrame, pairs: DataFrame, similar: float) -> DataFrame:
+    """Of the pairs (x, y) of ids those whose shingle sets have at least that Jaccard similarity, as (u, v)."""
+    pairs = materialise(pairs.select(F.greatest("x", "y").alias("x"), F.least("x", "y").alias("y")).where("x <> y").distinct(), "pairs")
+    involved = materialise(pairs.select(F.col("x").alias("doc_id")).union(pairs.select("y")).distinct(), "involved")
+    sets = materialise(_shingle_sets(_by_ids(docs.select("doc_id", "text"), involved, "left_semi")), "shingles")
+    joined = pairs.join(sets.select(F.col("doc_id").alias("x"), F.col("s").alias("sx")), "x").join(sets.select(F.col("doc_id").alias("y"), F.col("s").alias("sy")), "y")
+    common = F.size(F.array_intersect("sx", "sy"))
+    good = joined.where(common >= F.lit(similar) * (F.size("sx") + F.size("sy") - common))
+    return materialise(good.select(F.col("x").alias("u"), F.col("y").alias("v")), "similar")
+
 
-    A round checks each fingerprint's nearest links, so a large group of copies falls together without all its pairs. Where links were
-    left out, both ends go into the next round with more of them, until none is left out: no candidate goes unchecked unless its ends
-    are joined already."""
-    prints = materialise(with_fingerprints(docs, of=word_fingerprint), "word-prints")
+def _nearest_of_all(near: DataFrame, most: int) -> tuple[DataFrame, DataFrame]:
+    """(edges, over): of the links that all groups gave the `most` nearest of either end, and the ends of those left out."""
+    e = near.where("d >= 0").distinct()
+    order = Window.partitionBy("end").orderBy("d", "u", "v")
+    ranked = e.withColumn("end", F.explode(F.array("u", "v"))).withColumn("r", F.row_number().over(order)).groupBy("u", "v").agg(F.min("r").alias("r"))
+    ranked = materialise(ranked, "ranked")
+    left_out = ranked.where(F.col("r") > most).select(F.explode(F.array("u", "v")).alias("fp"))
+    return ranked.where(F.col("r") <= most).select("u", "v"), left_out.union(near.where("d < 0").select("u")).distinct()
+
+
+def similar_documents(docs: DataFrame, similar: float = SIMILAR, distance: int = WORD_DISTANCE, prints: DataFrame | None = None) -> DataFrame:
+    """(u, root) for each doc_id that a chain of pairs with a Jaccard similarity of at least `similar` joins to a smaller one. Candidates
+    are pairs whose word fingerprints the trie join finds within the distance; each is checked exactly. prints: (doc_id, fp) of the
+    documents to compare, all of docs unless given.
+
+    Documents of one fingerprint are checked against its smallest first, so what follows is between fingerprints. A round checks each
+    one's nearest links. Where links were left out, both ends go into the next round with four times as many, until none is left out;
+    pairs whose ends are joined by then are not checked again. In a ball of many fingerprints this comes to all their pairs."""
+    prints = materialise(with_fingerprints(docs, of=word_fingerprint), "word-prints") if prints is None else prints
     reps = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("rep")), "word-reps")
-    same = prints.join(reps, "fp").where("doc_id <> rep").select(F.col("doc_id").alias("x"), F.col("rep").alias("y"))
-    active, found, most = reps.select("fp"), None, NEAREST
-    while True:
-        n = active.count()
+    found = _verified(docs, prints.join(reps, "fp").select(F.col("doc_id").alias("x"), F.col("rep").alias("y")), similar)
+    # whoever is not like the smallest of its own fingerprint is compared with the neighbours' as well
+    odd = prints.join(reps, "fp").where("doc_id <> rep").select("fp", "doc_id").join(found.select(F.col("u").alias("doc_id")), "doc_id", "left_anti")
+    ends = materialise(reps.select("fp", F.col("rep").alias("doc_id")).union(odd.select("fp", "doc_id")), "ends")
+    active, most = reps.select("fp"), NEAREST
+    while n := active.count():
         near = materialise(_near(active, n, distance, most), "near")
-        edges = near.where("d >= 0").select("u", "v").distinct()
-        a, b = (prints.select(F.col("fp").alias(f), F.col("doc_id").alias(f"{f}_doc")) for f in "uv")
+        edges, over = _nearest_of_all(near, most)
+        a, b = (ends.select(F.col("fp").alias(f), F.col("doc_id").alias(f"{f}_doc")) for f in "uv")
         ra, rb = (reps.select(F.col("fp").alias(f), F.col("rep").alias(f"{f}_rep")) for f in "uv")
         pairs = edges.join(a, "u").join(rb, "v").select(F.col("u_doc").alias("x"), F.col("v_rep").alias("y"))
         pairs = pairs.union(edges.join(b, "v").join(ra, "u").select(F.col("v_doc").alias("x"), F.col("u_rep").alias("y")))
-        if found is None:
-            pairs = pairs.union(same)
-        pairs = materialise(pairs.select(F.greatest("x", "y").alias("x"), F.least("x", "y").alias("y")).where("x <> y").distinct(), "pairs")
-        involved = pairs.select(F.col("x").alias("doc_id")).union(pairs.select("y")).distinct()
-        sets = materialise(_shingle_sets(docs.join(involved, "doc_id", "left_semi")), "shingles")
-        joined = pairs.join(sets.select(F.col("doc_id").alias("x"), F.col("s").alias("sx")), "x").join(sets.select(F.col("doc_id").alias("y"), F.col("s").alias("sy")), "y")
-        common = F.size(F.array_intersect("sx", "sy"))
-        good = joined.where(common >= F.lit(similar) * (F.size("sx") + F.size("sy") - common)).select(F.col("x").alias("u"), F.col("y").alias("v"))
-        good = materialise(good, "similar")
-        found = good if found is None else found.union(good)
-        over = materialise(near.where("d < 0").select(F.col("u").alias("fp")).distinct(), "over")
+        if most > NEAREST:
+            # what earlier rounds joined needs no check
+            stars = materialise(components(found), "stars")
+            top = lambda c: stars.select(F.col("u").alias(c), F.col("root").alias(f"{c}_root"))
+            pairs = pairs.join(top("x"), "x", "left").join(top("y"), "y", "left").where(F.coalesce("x_root", "x") != F.coalesce("y_root", "y")).select("x", "y")
+        found = found.union(_verified(docs, pairs, similar))
+        over = materialise(over, "over")
         if not over.count():
-            return components(found)
-        # ends that are joined already need no more of each other: one fingerprint of each component goes on
-        joint = materialise(components(found), "joint")
-        active = materialise(over.join(reps, "fp").join(joint.withColumnRenamed("u", "rep"), "rep", "left_anti").select("fp"), "active")
+            break
+        active = over
         most *= 4
+    return components(found)
 
 
 def _near(active: DataFrame, n: int, distance: int, most: int) -> DataFrame:
     return dealt(active, n, distance).groupBy("trie", "a", "b").applyInArrow(lambda t: _nearest(t, distance, most), "u long, v long, d int")
 
 
-def drop_near_duplicates(docs: DataFrame, similar: float | None = SIMILAR) -> DataFrame:
+def drop_near_duplicates(docs: DataFrame, similar: float | None = None) -> DataFrame:
     """Of each group of near copies the row with the smallest doc_id stays, with the input's columns. Groups are components of links
-    between shingle fingerprints, and then, among what is left, of similarities of at least `similar` (None: no such pass).
-    Repeated ids keep one row; rows without an id stay."""
-    first = near_duplicates(docs.select("doc_id", "text")).where("doc_id = component_id").select("doc_id").distinct()
-    tagged = docs.withColumn("_n", F.xxhash64(*[F.col(c).cast("string") for c in docs.columns]))
-    left = _one_per_id(tagged.join(first, "doc_id", "left_semi"), docs.columns)
+    between shingle fingerprints and then, if `similar` is given, of exact similarities of at least that among what is left.
+    Repeated ids keep one row; rows without an id stay. Decisions are made on narrow tables; texts are filtered at the end."""
+    texts = docs.where("doc_id IS NOT NULL").select("doc_id", "text")
+    classes = materialise(near_duplicates(texts), "classes")
+    gone = classes.where("doc_id <> component_id").select("doc_id").distinct()
     if similar is not None:
-        left = materialise(left, "left")
-        gone = similar_documents(left.select("doc_id", "text"), similar).select(F.col("u").alias("doc_id"))
-        left = left.join(gone, "doc_id", "left_anti")
-    return left.unionByName(docs.where("doc_id IS NULL"))
+        gone = materialise(gone, "gone")
+        left = _by_ids(texts, gone, "left_anti")
+        words = materialise(with_fingerprints(left, of=word_fingerprint).distinct(), "word-prints")
+        gone = gone.union(similar_documents(texts, similar, prints=words).select(F.col("u").alias("doc_id")))
+    left = _by_ids(docs, materialise(gone.distinct(), "gone"), "left_anti")
+    repeated = materialise(docs.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id"), "repeated")
+    if not repeated.count():
+        return left
+    several = _by_ids(left, repeated, "left_semi").withColumn("_n", F.xxhash64(*[F.col(c).cast("string") for c in docs.columns]))
+    return _by_ids(left, repeated, "left_anti").select(*docs.columns).union(_one_per_id(several, docs.columns))
 
 
 def _one_per_id(df: DataFrame, columns: list[str]) -> DataFrame:
