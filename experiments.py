@@ -5,6 +5,7 @@ scaling     2 to 16 ranks: rows pushed and pulled, edges computed, hit rates, im
 sweeps      hit rate per layer against cs, ls, nc and d
 partition   edge cut, halos and training balance of the partitioners
 converge    accuracy of one rank, push, pull and no remote rows, on languages and on the planted label
+target      epochs until push comes within a point of one rank, on languages, with multilevel parts
 """
 
 from __future__ import annotations
@@ -168,7 +169,30 @@ def converge(spark) -> None:
     show("Convergence to within a point of one rank", rows)
 
 
-ALL = {"ladder": ladder, "scaling": scaling, "sweeps": sweeps, "partition": partitions, "converge": converge}
+def target(spark) -> None:
+    """The rule of convergence: best one-rank accuracy minus accuracy is below a point."""
+    edges = stage(graph.documents(spark, SMALL))
+    v = stage(vertices_of(edges))
+    x, y = stage(graph.trigram_features(spark, SMALL).join(v, "vid")), stage(graph.language_labels(spark, SMALL).join(v, "vid"))
+    s = graph.with_split(y, 0.3)
+    train_set, test = stage(s.where("is_train").select("vid", "label")), s.where("NOT is_train").select("vid", "label").toPandas()
+    whole, n, rows = WholeGraph(edges, x), y.count(), []
+    for kind in ("sage", "gat"):
+        goal = None
+        for P, epochs in ((1, 6), (2, 10), (4, 14)):
+            parts = partition.by_hash(v, 1) if P == 1 else stage(by_multilevel(edges, v, train_set, P))
+            pg = Partitioned.build(edges, parts, P)
+            model = ModelSpec(kind, (64, 32, 4), dropout=0.0)
+            cfg = TrainConfig(model, SampleConfig((3, 3), 16, fast=True), CacheSpec(cs=max(1, int(0.58 * n / P)), ls=2, nc=32, d=1), "push", epochs, rate=0.01)
+            r = train(pg, x, train_set, cfg, evaluate=lambda p, m=model: whole.accuracy(m, p, test.vid.to_numpy(), test.label.to_numpy()))
+            acc = [m["accuracy"] for m in r.log]
+            goal = goal or max(acc)
+            hit = measures.hit_rate(r.plans[-1].hit_plan).agg({"hits": "sum", "probes": "sum"}).first() if P > 1 else None
+            rows.append({"model": kind, "P": P, "epochs": epochs, "best": max(acc), "epochs_to_target": next((k + 1 for k, a in enumerate(acc) if goal - a < 0.01), f"> {epochs}"), "hit_rate": hit[0] / hit[1] if hit and hit[1] else ""})
+    show("Epochs to within a point of one rank: languages, multilevel parts, 30 % training vertices, b = 16", rows)
+
+
+ALL = {"ladder": ladder, "scaling": scaling, "sweeps": sweeps, "partition": partitions, "converge": converge, "target": target}
 
 if __name__ == "__main__":
     session = local_session(8, 8, **{"spark.driver.memory": "12g"})
