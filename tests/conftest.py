@@ -13,16 +13,6 @@ def spark():
     return s
 
 
-@pytest.fixture(scope="session")
-def duck():
-    import duckdb
-
-    con = duckdb.connect()
-    for t in TABLES:
-        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{SF}/{t}.parquet'")
-    return con
-
-
 @pytest.fixture(scope="session")
 def work(spark):
     from halograph.queries.workload import workload

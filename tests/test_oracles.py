@@ -1,10 +1,21 @@
-"""Every query against its SQL on the small tables."""
+"""Every query against its SQL, on tables that are large enough for several rounds in an epoch."""
 
+import duckdb
 import pytest
 
 from halograph import catalog
 
-from .conftest import SF
+from .conftest import TABLES
+
+SF = "/root/testdata/sf0.01"
+
+
+@pytest.fixture(scope="module")
+def duck():
+    con = duckdb.connect()
+    for t in TABLES:
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{SF}/{t}.parquet'")
+    return con
 
 
 def plain(v):
