@@ -1,6 +1,7 @@
 """Transducer, archives, shards, chat and license scans against libraries, plain Python and exact round trips."""
 
 import hashlib
+import struct
 import zlib
 from collections import Counter, defaultdict
 
@@ -25,28 +26,66 @@ def test_transducer_gives_the_librarys_ids(texts):
         assert m.decode(i) == library.decode(i.tolist())
 
 
-def test_unigram_models_take_the_shortest_path(texts):
-    """The same pieces weighed by their scores, against a plain search over one text at a time."""
+def _small_model(pieces, kind, **normaliser):
+    """A model file written by hand: (piece, score, kind of piece)."""
+    field = lambda n, body: bytes([n << 3 | 2, len(body)]) + body
+    out = b"".join(field(1, field(1, p.encode()) + b"\x15" + struct.pack("<f", s) + bytes([0x18, k])) for p, s, k in pieces)
+    flags = {"dummy_prefix": 3, "squeeze": 4, "escape": 5}
+    return out + field(2, bytes([0x18, kind])) + field(3, field(1, b"identity") + b"".join(bytes([flags[k] << 3, int(v)]) for k, v in normaliser.items()))
+
+
+ODD_TEXTS = ["", " ", "the cat", "日本語 x", "aaaaabaaa", "qz🙂q", "  two  spaces ", "a▁b ▁ c", "ab abc abcd", "\n\n x\t", "bcbc cb dd", "éé e é"]
+
+
+def _held_against_the_library(tmp_path, data, texts):
+    import sentencepiece
+
+    (tmp_path / "m.model").write_bytes(data)
+    library, m = sentencepiece.SentencePieceProcessor(model_file=str(tmp_path / "m.model")), wfst.Model(str(tmp_path / "m.model"))
+    for t, i in zip(texts, m.encode(texts), strict=True):
+        assert i.tolist() == library.encode(t), t[:80]
+    again = m.encode(texts)  # from memory
+    assert [i.tolist() for i in again] == [library.encode(t) for t in texts]
+
+
+BYTE_FALLBACK = bytes([0x12, 3, 0x98, 0x02, 1])
+
+
+def test_unigram_models_take_the_shortest_path(tmp_path, texts):
+    """The pieces of the given model under scores whose sums are exact in the library's floats as well."""
+    m = wfst.model(wfst.default_model())
+    pieces = [(p, -round(64 * np.log2(k + 2)) / 64, kind) for k, (p, kind) in enumerate(zip(m.pieces, m.kinds, strict=True))]
+    plain = [t for _, t in texts if t and len(t) < 3000][:80] + ODD_TEXTS
+    _held_against_the_library(tmp_path, _small_model(pieces, wfst.UNIGRAM, squeeze=False) + BYTE_FALLBACK, plain)
+
+
+@pytest.mark.parametrize("kind", [wfst.UNIGRAM, wfst.BPE])
+@pytest.mark.parametrize("with_bytes", [True, False])
+@pytest.mark.parametrize("squeeze", [True, False])
+def test_small_models(tmp_path, kind, with_bytes, squeeze):
+    """Characters that only longer pieces have, characters that no piece has, and models without byte pieces."""
+    pieces = [("<unk>", 0.0, wfst.UNKNOWN), ("<s>", 0.0, wfst.CONTROL)]
+    pieces += [(f"<0x{b:02X}>", 0.0, wfst.BYTE) for b in range(256)] if with_bytes else []
+    words = ["▁", "a", "b", "c", "ab", "bc", "abc", "▁a", "▁ab", "aa", "d", "▁x"]
+    pieces += [(w, -1.0 - k / 8, wfst.NORMAL) for k, w in enumerate(words)]
+    data = _small_model(pieces, kind, squeeze=squeeze)
+    data += BYTE_FALLBACK if with_bytes else b""
+    rng = np.random.default_rng(3)
+    _held_against_the_library(tmp_path, data, ODD_TEXTS + ["".join(rng.choice(list("aabbccd xé▁"), 12)) for _ in range(300)])
+
+
+def test_models_that_would_give_wrong_ids_are_refused(tmp_path):
+    (tmp_path / "m.model").write_bytes(_small_model([("<unk>", 0.0, wfst.UNKNOWN), ("<tool>", 0.0, wfst.USER), ("a", -1.0, wfst.NORMAL)], wfst.BPE))
+    with pytest.raises(ValueError, match="user-defined"):
+        wfst.Model(str(tmp_path / "m.model"))
+
+
+def test_memory_is_bounded(monkeypatch):
+    monkeypatch.setattr(wfst, "MEMO_CHARS", 50)
     m = wfst.Model(wfst.default_model())
-    m.kind = wfst.UNIGRAM
-    longest = max(map(len, m.score_of))
-    odd = ["the cat", "日本語 x", "aaaaabaaa", "qz🙂q"]
-    for t in [t[:300] if t else t for _, t in texts[:60]] + odd:
-        plain = m.normalise(t or "")
-        best = [0.0] + [float("inf")] * len(plain)
-        for i in range(len(plain)):
-            for j in range(i + 1, min(len(plain), i + longest) + 1):
-                piece = plain[i:j]
-                if piece in m.score_of:
-                    best[j] = min(best[j], best[i] - m.score_of[piece])
-                elif j == i + 1:
-                    best[j] = min(best[j], best[i] + m.unknown_weight)
-        ids = m.encode([t])[0].tolist()
-        runs = "".join("b" if m.kinds[i] == wfst.BYTE else "p" for i in ids)
-        fallback = len(m.decode(np.array([i for i in ids if m.kinds[i] == wfst.BYTE]))) if "b" in runs else 0
-        cost = sum(-m.scores[i] for i in ids if m.kinds[i] != wfst.BYTE) + fallback * m.unknown_weight
-        assert abs(cost - best[-1]) < 1e-6 * max(1, best[-1]), t
-        assert m.decode(np.array(ids)) == (t or "")
+    first = [m.encode([f"word{k} and another{k}"])[0].tolist() for k in range(30)]
+    assert len(m.number) < 20
+    assert first == [m.encode([f"word{k} and another{k}"])[0].tolist() for k in range(30)]
 
 
 def test_transducer_query_columns(spark, docs, texts):
