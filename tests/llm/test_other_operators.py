@@ -142,26 +142,41 @@ def test_small_archives_roll_and_need_no_dictionary(tmp_path, monkeypatch):
 
 
 def test_shards(spark, docs, texts):
-    rows = sharding.shuffle(docs, common.fresh_path(spark, "shards"), shards=5, bucket_bytes=50_000)
-    got = rows.select("doc_id", "text", "_shard", "_grown", "_slot", "_bucket").collect()
+    clash = docs.withColumns({c: F.lit(None).cast("int") for c in ("row", "key", "tie", "shard", "grown", "bucket", "place", "number", "slot", "base", "_key", "_place", "_shard")})
+    table = common.materialise(clash, "shard-input")
+    rows = sharding.slots(sharding.shuffle(table, common.fresh_path(spark, "shards"), shards=5, bucket_bytes=50_000))
+    got = rows.select("row.doc_id", "row.text", "shard", "grown", "slot", "bucket", F.col("row.key").alias("mine")).collect()
+    assert rows.select("row.*").columns == table.columns and all(r.mine is None for r in got)
     assert Counter((r.doc_id, r.text) for r in got) == Counter(texts)
     by = defaultdict(list)
     for r in got:
-        by[r._shard].append(r._slot)
-        assert r._grown in (r._shard, 5)
+        by[r.shard].append(r.slot)
+        assert r.grown in (r.shard, 5)
     assert all(sorted(s) == list(range(len(s))) for s in by.values()) and len(by) == 5
-    assert len({r._bucket for r in got}) > 5
+    assert len({r.bucket for r in got}) > 5
     home = defaultdict(set)
     for r in got:
-        home[r.doc_id].add(r._shard)
+        home[r.doc_id].add(r.shard)
     assert all(len(s) == 1 for s in home.values())
-    again = sharding.shuffle(docs.repartition(3), common.fresh_path(spark, "shards"), shards=5, bucket_bytes=50_000)
-    assert sorted((r.doc_id, r._slot) for r in again.collect()) == sorted((r.doc_id, r._slot) for r in got)
-    assert sharding.shuffle(docs.limit(0), common.fresh_path(spark, "shards")).count() == 0
-    order = [r.doc_id for r in sorted(got, key=lambda r: (r._shard, r._slot))]
+    again = sharding.slots(sharding.shuffle(table, common.fresh_path(spark, "shards"), shards=5, bucket_bytes=50_000))
+    assert sorted((r.doc_id, r.slot) for r in again.select("row.doc_id", "slot").collect()) == sorted((r.doc_id, r.slot) for r in got)
+    assert sharding.slots(sharding.shuffle(docs.limit(0), common.fresh_path(spark, "shards"))).count() == 0
+    order = [r.doc_id for r in sorted(got, key=lambda r: (r.shard, r.slot))]
     assert abs(np.corrcoef(order, range(len(order)))[0, 1]) < 0.3
 
 
+def test_repeated_rows_fill_no_bucket(spark):
+    """Two thousand equal rows and null ids: the law keeps them in one shard, whose buckets share them."""
+    df = spark.createDataFrame([(7, "same text")] * 2000 + [(None, None)] * 500 + [(k, "other") for k in range(100)], "doc_id long, text string").repartition(4)
+    rows = sharding.slots(sharding.shuffle(df, common.fresh_path(spark, "shards"), shards=3, bucket_bytes=4_000)).select("row.doc_id", "shard", "bucket", "slot").collect()
+    assert Counter(r.doc_id for r in rows) == Counter({7: 2001, None: 500} | {k: 1 for k in range(100) if k != 7})
+    same = [r for r in rows if r.doc_id == 7]
+    assert len({r.shard for r in same}) == 1 and max(Counter(r.bucket for r in same).values()) < 400
+    for s in range(3):
+        mine = sorted(r.slot for r in rows if r.shard == s)
+        assert mine == list(range(len(mine)))
+
+
 def test_shard_query(spark):
     rows = sharding.op7_two_pass_shuffle(spark, SF).collect()
     text = {r.doc_id: r.text for r in spark.read.parquet(f"{SF}/documents.parquet").collect()}
