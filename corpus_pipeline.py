@@ -14,7 +14,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies one document stays, the one with the smallest id."""
+    """Of each group of near copies one document stays, the one with the smallest id. Copies are linked by op8's fingerprints and, among
+    what is left, by a similarity of 0.8 or more on five-word shingles."""
     return simhash.drop_near_duplicates(docs)
 
 

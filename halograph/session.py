@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import atexit
 import os
+import re
 import tempfile
 import uuid
 import zipfile
@@ -45,8 +46,11 @@ _MADE: set[str] = set()
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the driver and all executors see: spark.checkpoint.dir, or the fallback where it is unset."""
-    return (spark.conf.get("spark.checkpoint.dir", None) or FALLBACK_SHARED_DIR).rstrip("/")
+    """The folder that the driver and all executors see: spark.checkpoint.dir, or on one machine the fallback where it is unset."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not re.fullmatch(r"local(\[[^]]*\])?", spark.sparkContext.master):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+    return (named or FALLBACK_SHARED_DIR).rstrip("/")
 
 
 def fresh_path(spark: SparkSession, name: str) -> str:
