@@ -7,7 +7,8 @@ contexts of a conversation of n turns would hold n squared turns. expand() write
 
 Turns are ordered by turn, then role, then text; null comes first. Null text and null role count as empty; repeated rows are repeated
 turns; conversations without an assistant turn are formatted and have no example; an empty table gives an empty result. Positions in
-long conversations come from sums over blocks of turns, so that no task needs a whole conversation; only a digest of a conversation does.
+long conversations come from sums over blocks of turns, so that no task needs a whole conversation to format it or to make its examples.
+Only the query's digests do: a hash of all turns is a hash of one string, so there a conversation is one row, of at most 2 GB.
 """
 
 from __future__ import annotations
@@ -15,6 +16,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .common import materialise
+
 OPEN, AFTER_ROLE, CLOSE = "### ", ": ", " </turn>\n"
 TRAINABLE = "assistant"
 #: turns whose positions are summed together
@@ -103,13 +106,17 @@ def parse(formatted_text: Column) -> Column:
 def op9_chat_prefix_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
     extra = spark.sql(r"SELECT -7L AS conv_id, turn, role, r'\### Assistant: </turn> ok' AS text FROM VALUES (0L, 'user'), (1L, 'assistant') AS t(turn, role)")
     rows = spark.read.parquet(f"{sf_dir}/conversations.parquet").select("conv_id", F.col("turn").cast("long").alias("turn"), "role", "text").unionByName(extra)
-    formatted = format_turns(rows)
-    target = F.when(F.col("is_target"), F.substring("piece", F.col("body_start") - F.col("start") + 1, F.col("body_end") - F.col("body_start")))
-    got = formatted.select("conv_id", "position", "piece", target.alias("target"))
-    whole = got.groupBy("conv_id").agg(F.sort_array(F.collect_list(F.struct("position", "piece", "target"))).alias("p"))
+    formatted = materialise(format_turns(rows), "formatted")
+    made = materialise(examples(formatted).drop("target"), "examples")
+    # what follows knows only the two outputs: formatted pieces of conversations, and examples with the ranges that are trainable
+    got = formatted.select("conv_id", "position", "start", "piece").join(
+        made.select(F.col("conv_id").alias("c"), "example", "target_start", "target_end"), F.col("conv_id").eqNullSafe(F.col("c")) & (F.col("position") == F.col("example")), "left"
+    )
+    masked = F.substring("piece", F.col("target_start") - F.col("start") + 1, F.col("target_end") - F.col("target_start"))
+    whole = got.groupBy("conv_id").agg(F.sort_array(F.collect_list(F.struct("position", "piece", masked.alias("loss")))).alias("p"), F.count("example").alias("n_examples"))
     text = F.array_join(F.transform("p", lambda x: x["piece"]), "")
-    loss = unescape(F.array_join(F.transform(F.filter("p", lambda x: x["target"].isNotNull()), lambda x: x["target"]), ""))
-    back = whole.select("conv_id", parse(text).alias("turns"), loss.alias("loss"), F.length(text).cast("long").alias("formatted_chars"), F.size(F.filter("p", lambda x: x["target"].isNotNull())).cast("long").alias("n_examples"))
+    loss = unescape(F.array_join(F.transform("p", lambda x: F.coalesce(x["loss"], F.lit(""))), ""))
+    back = whole.select("conv_id", parse(text).alias("turns"), loss.alias("loss"), F.length(text).cast("long").alias("formatted_chars"), "n_examples")
     lines = F.array_join(F.transform("turns", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
     return back.select(
         "conv_id", F.size("turns").cast("long").alias("n_turns"), F.sha2(lines, 256).alias("turns_sha256"), F.length("loss").cast("long").alias("loss_chars"),

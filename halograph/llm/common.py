@@ -2,53 +2,16 @@
 
 from __future__ import annotations
 
-import atexit
-import uuid
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import ship_package
-
-#: Used only where the session names no shared folder (tests, a laptop).
-FALLBACK_SHARED_DIR = "/tmp/checkpoints"
-
-_RUN = uuid.uuid4().hex[:12]
-_MADE: set[str] = set()
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that the driver and all executors see: spark.checkpoint.dir, or the fallback where it is unset."""
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    return (named or FALLBACK_SHARED_DIR).rstrip("/")
-
-
-def fresh_path(spark: SparkSession, name: str) -> str:
-    """A new path under the shared folder. It is removed when this Python process ends."""
-    root = f"{shared_dir(spark)}/llm-{_RUN}"
-    if root not in _MADE:
-        _MADE.add(root)
-        atexit.register(_remove, spark, root)
-    return f"{root}/{name}-{uuid.uuid4().hex[:10]}"
-
-
-def _remove(spark: SparkSession, path: str) -> None:
-    try:
-        jvm = spark.sparkContext._jvm
-        where = jvm.org.apache.hadoop.fs.Path(path)
-        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-    except Exception:  # noqa: BLE001 - the session may be gone; the folder is only scratch space
-        pass
-
+from ..session import fresh_path, shared_dir, stage  # noqa: F401 - for the operators
 
 def materialise(df: DataFrame, name: str) -> DataFrame:
     """Write to the shared folder and read again: cuts lineage, and outlives a lost executor."""
-    spark = df.sparkSession
-    ship_package(spark)
-    path = fresh_path(spark, name)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return stage(df, f"llm-{name}")
 
 
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
@@ -65,12 +28,24 @@ def need(df: DataFrame, *names: str) -> DataFrame:
     return df.select(*[df[n] for n in names])
 
 
+def unused(df: DataFrame, name: str) -> str:
+    """The name, with underscores until no column of df has it."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 BLOCK = 256
 
 
 def prefix_sums(lengths: Column) -> Column:
-    """For an array of ints, the sums of what stands before each element. Summed in blocks, so long arrays stay close to linear."""
-    add = lambda a, b: a + b
+    """For an array of ints, the sums of what stands before each element."""
+    return prefixes(lengths, lambda a, b: a + b)
+
+
+def prefixes(values: Column, add: Callable[[Column, Column], Column]) -> Column:
+    """For an array of ints, what stands before each element, added up from 0. Done in blocks, so long arrays stay close to linear."""
 
     def of(step: Column) -> Column:
         n_blocks = F.ceil(F.size(step) / BLOCK).cast("int")
@@ -79,7 +54,7 @@ def prefix_sums(lengths: Column) -> Column:
         block = lambda i: F.floor(i / BLOCK).cast("int")
         return let(
             bases,
-            lambda base: F.transform(step, lambda _, i: F.get(base, block(i)) + F.aggregate(F.slice(step, block(i) * BLOCK + 1, i % BLOCK), F.lit(0), add)),
+            lambda base: F.transform(step, lambda _, i: add(F.get(base, block(i)), F.aggregate(F.slice(step, block(i) * BLOCK + 1, i % BLOCK), F.lit(0), add))),
         )
 
-    return F.when(F.size(lengths) > 0, let(lengths, of)).otherwise(F.array().cast("array<int>"))
+    return F.when(F.size(values) > 0, let(values, of)).otherwise(F.array().cast("array<int>"))

@@ -75,6 +75,8 @@ def _read_png(data: bytes) -> np.ndarray | None:
         elif kind == b"IDAT":
             body.append(part)
         at += 12 + n
+    if not w:
+        return None  # cut off before the header
     bpp = 3 if colour == 2 else 1
     raw = np.frombuffer(zlib.decompress(b"".join(body)), np.uint8).reshape(h, w * bpp + 1)
     out = raw[:, 1:].copy()

@@ -1,19 +1,23 @@
 """Bulk-synchronous best-fit packing of tokenised documents into sequences.
 
-Pieces are range-sorted by length over the cluster; a row's place in its run of equal lengths follows from one small count for each
-partition and length. Lengths are whole numbers up to the sequence size, so runs of equal documents and runs of equal gaps are swept as
-runs: a round walks both in ascending order, gives every gap the longest document that fits and is still free, settles who gets which
-gap by rank within the runs, shortens the gaps, and repeats. Documents that fit no gap open new sequences, never more at once than
-their tokens need. The plan has runs, not documents: at most `size` lengths and `partitions + size` counts reach the driver, whatever
-the input. Rows then look up their sequence and offset in the broadcast plan.
-
-Null text is an empty document, which is its closing id alone. Repeated rows are packed once each. An empty table gives an empty result.
+Pieces are range-sorted by length over the cluster, and a piece is known by its length and its rank among those of that length. Lengths
+are whole numbers up to the sequence size, so equal documents, and equal gaps, are swept as runs (a first rank or sequence, and a count):
+a hot length is one run. Runs of documents and of gaps are dealt to RANGES ranges of sizes. In a superstep every range sweeps its own in
+ascending order, all ranges at once: a gap takes the longest free document that is not longer; which gap gets which document is
+settled by rank within the runs. Then gaps are updated: a gap that took a document goes, shorter, to the range of its new size, and one
+that found none to the next lower range that still has documents. Supersteps repeat until no gap can take anything; the longest
+documents left then open new sequences, never more at once than their tokens need. At last pieces look up their place by length and rank.
+The driver sees counts for each range, and at the end the runs of the plan, which depend on the sequence size and not on the input.
+
+Null text is an empty document, which is its closing id alone. Repeated rows are packed once each, with the doc_id that they have, null
+too. An empty table gives an empty result. Other columns of the input are left out.
 Only documents longer than a sequence are cut, into full pieces of which the first may be shorter.
 """
 
 from __future__ import annotations
 
 import json
+import re
 import zlib
 from collections import Counter, defaultdict
 from collections.abc import Iterator
@@ -21,7 +25,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..session import ship_package
@@ -29,6 +33,9 @@ from .common import materialise
 
 SIZE = 2048
 END_ID = 0
+#: ranges of sizes that are swept at once
+RANGES = 16
+LONG_SPACE = re.compile(r"\s{2000}")
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 PLACED = PIECES + ", sequence_id long, offset long"
 
@@ -40,7 +47,8 @@ _ENCODERS: dict[str, object] = {}
 
 class Encoder:
     """Byte-level BPE of a tokenizers file. Its ranks are run by tiktoken, which gives the same ids several times faster; texts that
-    hold the string of a special token go to tokenizers itself."""
+    hold the string of a special token go to tokenizers itself, and so do those with very long white space, on which tiktoken's splitting
+    runs out of stack."""
 
     def __init__(self, path: str) -> None:
         import tiktoken
@@ -60,7 +68,7 @@ class Encoder:
             self.fast = tiktoken.Encoding("packing", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
 
     def ids(self, text: str) -> np.ndarray:
-        if self.fast is None or any(s in text for s in self.special):
+        if self.fast is None or LONG_SPACE.search(text) or any(s in text for s in self.special):
             return np.array(self.plain.encode(text, add_special_tokens=False).ids, "<u4")
         return np.array(self.fast.encode_ordinary(text), "<u4")
 
@@ -112,77 +120,86 @@ def pieces(docs: DataFrame, tokenizer: str, size: int = SIZE) -> DataFrame:
 
 # --- the plan over runs -----------------------------------------------------------------------------------------------------
 
-
-class Plan:
-    """Rounds of best fit over runs of equal lengths and runs of equal gaps."""
-
-    def __init__(self, histogram: dict[int, int], size: int = SIZE) -> None:
-        self.size, self.left = size, Counter({n: c for n, c in histogram.items() if c})
-        self.taken: Counter[int] = Counter()  # rank up to which a length's run is placed
-        self.gaps: dict[int, list[tuple[int, int]]] = defaultdict(list)  # gap -> runs (first sequence, count)
-        self.n_sequences = self.rounds = 0
-        #: length -> (first rank, first sequence, offset) of each stretch of its run, by rank
-        self.stretches: dict[int, list[tuple[int, int, int]]] = defaultdict(list)
-        self._open({n: c for n, c in self.left.items() if 2 * n > size})
-        while self.left:
-            while self._sweep():
-                self.rounds += 1
-            if self.left:
-                self._open(self._longest(max(1, -(-sum(n * c for n, c in self.left.items()) // size))))
-
-    def _place(self, length: int, count: int, sequence: int, offset: int) -> None:
-        self.stretches[length].append((self.taken[length], sequence, offset))
-        self.taken[length] += count
-        self.left[length] -= count
-        if not self.left[length]:
-            del self.left[length]
-
-    def _open(self, wanted: dict[int, int]) -> None:
-        for length in sorted(wanted, reverse=True):
-            n = wanted[length]
-            self._place(length, n, self.n_sequences, 0)
-            if length < self.size:
-                self.gaps[self.size - length].append((self.n_sequences, n))
-            self.n_sequences += n
-
-    def _longest(self, count: int) -> dict[int, int]:
-        out: dict[int, int] = {}
-        for length in sorted(self.left, reverse=True):
-            if count <= 0:
-                break
-            out[length] = min(count, self.left[length])
-            count -= out[length]
-        return out
-
-    def _sweep(self) -> bool:
-        """One round: documents and gaps in ascending order; each gap takes the longest free document that is not longer."""
-        free: list[list[int]] = []  # [length, count], longest last
-        matched: list[tuple[int, int, int]] = []
-        for at in sorted({*self.left, *(g for g, runs in self.gaps.items() if runs)}):
-            if self.left.get(at):
-                free.append([at, self.left[at]])
-            open_here = sum(c for _, c in self.gaps.get(at, ()))
-            while open_here and free:
-                n = min(open_here, free[-1][1])
-                matched.append((free[-1][0], at, n))
-                open_here -= n
-                free[-1][1] -= n
-                if not free[-1][1]:
-                    free.pop()
-        new: dict[int, list[tuple[int, int]]] = defaultdict(list)
-        for length, gap, n in matched:
-            while n:
-                first, count = self.gaps[gap].pop()
-                use = min(n, count)
-                if count > use:
-                    self.gaps[gap].append((first + use, count - use))
-                self._place(length, use, first, self.size - gap)
-                if gap > length:
-                    new[gap - length].append((first, use))
-                n -= use
-        for gap, runs in new.items():
-            self.gaps[gap] += runs
-        return bool(matched)
+FREE, GAP, PUT = 0, 1, 2
+#: kind FREE: n documents of a size from rank `first` on; GAP: n gaps of a size in sequences from `first` on; PUT: n documents of a size
+#: from rank `first` on, placed in sequences from `seq` on, each in a gap of `gap`. place: the range that sweeps the run next.
+RUNS = "kind int, size long, first long, n long, gap long, seq long, place int"
+
+
+def range_of(size: int | np.ndarray, most: int):
+    return size * RANGES // (most + 1)
+
+
+def sweep(t: pa.Table, most: int) -> pa.Table:
+    """One superstep of one range."""
+    runs = sorted((r["size"], r["kind"], r["first"], r["n"]) for r in t.select(["kind", "size", "first", "n"]).to_pylist())
+    here = t.column("place")[0].as_py()
+    free: list[list[int]] = []  # [size, first, n], the longest last
+    out: list[tuple] = []
+    for size, kind, first, n in runs:
+        if kind == FREE:
+            free.append([size, first, n])
+            continue
+        while n and free:
+            top = free[-1]
+            use = min(n, top[2])
+            out.append((PUT, top[0], top[1], use, size, first, here))
+            if size > top[0]:
+                out.append((GAP, size - top[0], first, use, None, None, range_of(size - top[0], most)))
+            top[1], top[2], first, n = top[1] + use, top[2] - use, first + use, n - use
+            if not top[2]:
+                free.pop()
+        if n:
+            out.append((GAP, size, first, n, None, None, here - 1))
+    out += [(FREE, size, first, n, None, None, here) for size, first, n in free]
+    kinds = (pa.int32(), *[pa.int64()] * 5, pa.int32())
+    return pa.table([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=[f.split()[0] for f in RUNS.split(", ")])
+
+
+def opened(state: DataFrame, n_sequences: int, most: int, need: int | None) -> DataFrame:
+    """The state after the `need` longest free documents (None: all that are longer than half a sequence) have begun new sequences."""
+    free = state.where(f"kind = {FREE}")  # a run for each size, so the window below has at most `most` rows
+    before = F.coalesce(F.sum("n").over(Window.orderBy(F.desc("size")).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    take = F.when(F.col("size") * 2 > most, F.col("n")).otherwise(0) if need is None else F.greatest(F.lit(0), F.least(F.col("n"), F.lit(need) - F.col("before")))
+    cut = free.withColumn("before", before).withColumn("take", take.cast("long")).withColumn("new", F.col("before") + n_sequences)
+    none = F.lit(None).cast("long")
+    rest = F.struct(F.lit(FREE).alias("kind"), "size", (F.col("first") + F.col("take")).alias("first"), (F.col("n") - F.col("take")).alias("n"), none.alias("gap"), none.alias("seq"), "place")
+    put = F.struct(F.lit(PUT).alias("kind"), "size", "first", F.col("take").alias("n"), F.lit(most).cast("long").alias("gap"), F.col("new").alias("seq"), "place")
+    left = F.lit(most).cast("long") - F.col("size")
+    gap = F.struct(F.lit(GAP).alias("kind"), left.alias("size"), F.col("new").alias("first"), F.when(left > 0, F.col("take")).otherwise(0).alias("n"), none.alias("gap"), none.alias("seq"), F.floor(left * RANGES / (most + 1)).cast("int").alias("place"))
+    made = cut.select(F.inline(F.array(*[x.cast(f"struct<{RUNS.replace(' ', ':').replace(',:', ',')}>") for x in (rest, put, gap)]))).where("n > 0")
+    return made.unionByName(state.where(f"kind = {GAP}"))
+
+
+def plan(lengths: DataFrame, size: int = SIZE) -> DataFrame:
+    """RUNS of kind PUT for (length, n), a row for each length."""
+    spark = lengths.sparkSession
+    place = F.floor(F.col("length") * RANGES / (size + 1)).cast("int")
+    none = F.lit(None).cast("long")
+    state = lengths.select(
+        F.lit(FREE).alias("kind"), F.col("length").cast("long").alias("size"), F.lit(0).cast("long").alias("first"), F.col("n").cast("long").alias("n"), none.alias("gap"), none.alias("seq"), place.alias("place")
+    )
+    state = materialise(opened(state, 0, size, None), "runs")
+    steps, n_sequences = [state], 0
+    fresh = True
+    while True:
+        # at most two counts for each range, and the sequences that were opened
+        counted = state.groupBy("kind", F.when(F.col("kind") == PUT, F.lit(0)).otherwise(F.col("place")).alias("place")).agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.col("size")).alias("tokens")).collect()
+        if fresh:
+            n_sequences += sum(r.n for r in counted if r.kind == PUT)
+        free = {r.place: r.tokens for r in counted if r.kind == FREE}
+        if not free:
+            break
+        target = [max((k for k in free if k <= r), default=-1) for r in range(RANGES)]
+        fresh = not any(r.kind == GAP and r.place >= 0 and target[r.place] >= 0 for r in counted)
+        if fresh:
+            state = opened(state, n_sequences, size, max(1, -(-sum(free.values()) // size)))
+        else:
+            to = F.when(F.col("kind") == FREE, F.col("place")).when(F.col("place") >= 0, F.get(F.array(*map(F.lit, target)), F.col("place"))).otherwise(-1)
+            state = state.where(f"kind <> {PUT}").withColumn("place", to).where("place >= 0").groupBy("place").applyInArrow(lambda t: sweep(t, size), RUNS)
+        state = materialise(state, "runs")
+        steps.append(state)
+    return spark.read.schema(RUNS).parquet(*[f for s in steps for f in s.inputFiles()]).where(f"kind = {PUT}") if any(s.inputFiles() for s in steps) else state.where("false")
 
 
 def pack(docs: DataFrame, tokenizer: str | None = None, size: int = SIZE) -> DataFrame:
@@ -207,14 +224,17 @@ def pack(docs: DataFrame, tokenizer: str | None = None, size: int = SIZE) -> Dat
 
     dealt = cut.repartitionByRange(n_parts, "length", F.xxhash64("doc_id", "piece", "ids_crc32"))
     dealt = materialise(dealt.mapInArrow(ranked, PIECES + ", part int, place long"), "ranked")
-    counts = dealt.groupBy("length", "part").agg(F.count("*").alias("n")).collect()  # at most size + partitions rows
+    counts = materialise(dealt.groupBy("length", "part").agg(F.count("*").alias("n")), "counts")
+    runs = plan(counts.groupBy("length").agg(F.sum("n").alias("n")), size)
     base: dict[tuple[int, int], int] = {}
-    histogram: Counter[int] = Counter()
-    for length, part, n in sorted(map(tuple, counts)):
-        base[part, length] = histogram[length]
-        histogram[length] += n
-    plan = Plan(histogram, size)
-    lookup = {n: tuple(np.array(x, np.int64) for x in zip(*runs, strict=True)) for n, runs in plan.stretches.items()}
+    seen: Counter[int] = Counter()
+    for length, part, n in sorted(map(tuple, counts.collect())):  # at most size + partitions rows, since pieces are range-sorted
+        base[part, length] = seen[length]
+        seen[length] += n
+    lookup: dict[int, list] = defaultdict(list)
+    for r in runs.collect():
+        lookup[r.size].append((r.first, r.seq, size - r.gap))
+    lookup = {n: tuple(np.array(x, np.int64) for x in zip(*sorted(runs), strict=True)) for n, runs in lookup.items()}
     shared = spark.sparkContext.broadcast((base, lookup))
 
     def placed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -1,7 +1,8 @@
 """Personal data by candidate gradient boosting, in SQL functions only.
 
 The base patterns find spans that always stay. High-recall generators propose further, overlapping spans; boosted trees over format and
-context features score them; those above their kind's calibrated threshold are added where they touch no base span, best score first.
+context features score them; those above their kind's calibrated threshold are added where they overlap no base span, best score first, each
+unless it overlaps one that was added before. Spans are settled in clusters of overlapping ones, so a text with very many stays linear.
 The trees are fitted on TRAIN_ROWS labelled candidates that are made by a seeded rule, so results don't depend on the table.
 
 Positions are code points, end exclusive. Null text counts as empty. Repeated rows each get their own result, an empty table gives an
@@ -20,7 +21,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .boosting import Boosted, fit
-from .common import let, prefix_sums
+from .common import let, prefix_sums, prefixes, unused
 
 KINDS = ("email", "ip", "card", "phone")
 
@@ -196,20 +197,42 @@ def models(spark: SparkSession) -> dict[str, Boosted]:
     return _MODELS
 
 
-_SPAN = "array<struct<kind:int,at:int,end:int,score:double>>"
+_SPAN = "array<struct<kind:int,at:int,end:int,score:double,added:boolean>>"
 
 
-def find(docs: DataFrame, text: str = "text") -> DataFrame:
-    """The input's columns and `pii`: structs (base, spans) of arrays of (kind, at, end, score), each sorted by kind, then start."""
+def settled(spans: Column) -> Column:
+    """Of base and proposed spans, sorted by start, those that stay: all base ones, and greedily the best of the others. A cluster ends
+    where a span begins that no earlier one reaches."""
+    meets = lambda a, b: (a["at"] < b["end"]) & (b["at"] < a["end"])
+    # sorted upwards, the best comes first
+    order = lambda s: F.struct((-s["score"]).alias("a"), (s["at"] - s["end"]).alias("b"), s["at"].alias("c"), s["kind"].alias("d"), s["end"].alias("e"), s["score"].alias("f"))
+    back = lambda o: F.struct(o["d"].alias("kind"), o["c"].alias("at"), o["e"].alias("end"), o["f"].alias("score"), F.lit(True).alias("added"))
+
+    def greedy(c: Column) -> Column:
+        ranked = F.transform(F.array_sort(F.transform(F.filter(c, lambda s: s["added"]), order)), back).cast(_SPAN)
+        return F.aggregate(ranked, F.filter(c, lambda s: ~s["added"]), lambda done, s: F.when(F.exists(done, lambda x: meets(x, s)), done).otherwise(F.concat(done, F.array(s))))
+
+    def of(s: Column) -> Column:
+        reach = prefixes(F.transform(s, lambda x: x["end"]), lambda a, b: F.greatest(a, b))
+        heads = let(reach, lambda r: F.filter(F.sequence(F.lit(0), F.size(s) - 1), lambda i: (i == 0) | (F.get(r, i) <= F.get(s, i)["at"])))
+        clusters = let(heads, lambda h: F.transform(h, lambda i, k: F.slice(s, i + 1, F.coalesce(F.get(h, k + 1), F.size(s)) - i)))
+        return F.flatten(F.transform(clusters, lambda c: F.when((F.size(c) > 1) & F.exists(c, lambda s: s["added"]), greedy(c)).otherwise(c)))
+
+    return let(spans, of)
+
+
+def find(docs: DataFrame, text: str = "text", name: str = "pii") -> DataFrame:
+    """The input's columns and a struct called `name` (a column of that name is replaced): arrays base and spans of (kind, at, end, score,
+    added), each sorted by kind, then start."""
     fitted = models(docs.sparkSession)
     whole = F.coalesce(docs[text], F.lit(""))
 
     def valid(kind: str):
         return lambda c: CHECK[kind](c["s"])
 
-    def shaped(kind: str, found: Column, score: Column | None = None) -> Column:
+    def shaped(kind: str, found: Column) -> Column:
         k = F.lit(KINDS.index(kind))
-        return F.transform(found, lambda c: F.struct(k.alias("kind"), c["at"].alias("at"), (c["at"] + F.length(c["s"])).alias("end"), (score if score is not None else F.lit(1.0)).alias("score"))).cast(_SPAN)
+        return F.transform(found, lambda c: F.struct(k.alias("kind"), c["at"].alias("at"), (c["at"] + F.length(c["s"])).alias("end"), F.lit(1.0).alias("score"), F.lit(False).alias("added"))).cast(_SPAN)
 
     base = F.concat(*[shaped(k, F.filter(located(whole, BASE[k], HINT[k]), valid(k))) for k in KINDS])
 
@@ -220,21 +243,24 @@ def find(docs: DataFrame, text: str = "text") -> DataFrame:
             lambda c: F.struct(
                 F.lit(KINDS.index(kind)).alias("kind"), c["at"].alias("at"), (c["at"] + F.length(c["s"])).alias("end"),
                 let(F.array(*[f.cast("double") for f in features(c, kind)]), lambda v: model.column([F.get(v, F.lit(i)) for i in range(len(FEATURES))])).alias("score"),
+                F.lit(True).alias("added"),
             ),
         )
         return F.filter(scored, lambda s: s["score"] >= F.lit(model.threshold)).cast(_SPAN)
 
-    meets = lambda a, b: (a["at"] < b["end"]) & (b["at"] < a["end"])
-    order = lambda s: F.struct(s["score"], s["end"] - s["at"], -s["at"], -s["kind"])
+    by_start = lambda s: F.struct(s["at"].alias("at"), s["end"].alias("end"), s["added"].alias("added"), s["kind"].alias("kind"), s["score"].alias("score"))
+    by_kind = lambda s: F.struct(*[s[c].alias(c) for c in ("kind", "at", "end", "score", "added")])
 
     def with_base(b: Column) -> Column:
-        free = F.filter(F.concat(*[proposed(k) for k in KINDS]), lambda s: ~F.exists(b, lambda x: meets(s, x)))
-        best = let(free, lambda f: F.filter(f, lambda s: ~F.exists(f, lambda o: meets(s, o) & (order(o) > order(s)))))
-        return F.struct(b.alias("base"), F.when(F.size(free) > 0, F.array_sort(F.concat(b, best))).otherwise(b).alias("spans"))
+        def merged(free: Column) -> Column:
+            rows = F.transform(F.array_sort(F.transform(F.concat(b, free), by_start)), by_kind)
+            return F.when(F.size(free) > 0, F.array_sort(settled(rows))).otherwise(b)
+
+        return F.struct(b.alias("base"), let(F.concat(*[proposed(k) for k in KINDS]), merged).alias("spans"))
 
     empty = F.struct(F.array().cast(_SPAN).alias("base"), F.array().cast(_SPAN).alias("spans"))
     any_hint = reduce(lambda a, b: a | b, [whole.rlike("[0-9]"), whole.contains("@"), whole.rlike(LOOSE_HINT["email"])])
-    return docs.withColumn("pii", F.when(any_hint, let(base, with_base)).otherwise(empty))
+    return docs.withColumn(name, F.when(any_hint, let(base, with_base)).otherwise(empty))
 
 
 def digest_text(spans: Column) -> Column:
@@ -244,10 +270,12 @@ def digest_text(spans: Column) -> Column:
 
 def redact(docs: DataFrame, text: str = "text") -> DataFrame:
     """The input with every span replaced by its kind in brackets; spans that meet are replaced as one, named by the first."""
-    found = find(docs, text)
+    name = unused(docs, "pii")
+    found = find(docs, text, name)
+    spans = F.col(name)["spans"]
     names = F.array(*[F.lit(f"[{k.upper()}]") for k in KINDS])
     kind = "array<struct<at:int,end:int,kind:int>>"
-    ordered = F.array_sort(F.transform(F.col("pii.spans"), lambda s: F.struct(s["at"].alias("at"), s["end"].alias("end"), s["kind"].alias("kind"))))
+    ordered = F.array_sort(F.transform(spans, lambda s: F.struct(s["at"].alias("at"), s["end"].alias("end"), s["kind"].alias("kind"))))
 
     def apart(spans: Column) -> Column:
         """Spans that begin before an earlier one ends are joined to it."""
@@ -265,7 +293,7 @@ def redact(docs: DataFrame, text: str = "text") -> DataFrame:
         parts = F.transform(s, lambda x, i: F.concat(F.substring(source, F.coalesce(F.get(s, i - 1)["end"], F.lit(0)) + 1, x["at"] - F.coalesce(F.get(s, i - 1)["end"], F.lit(0))), F.get(names, x["kind"])))
         return F.concat(F.array_join(parts, ""), F.substring(source, F.element_at(s, -1)["end"] + 1, F.lit(2147483647)))
 
-    changed = F.when(F.size("pii.spans") > 0, let(let(ordered, apart), replaced)).otherwise(source)
+    changed = F.when(F.size(spans) > 0, let(let(ordered, apart), replaced)).otherwise(source)
     return found.withColumn(text, changed).select(*docs.columns)
 
 

@@ -12,7 +12,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import let
+from .common import let, unused
 
 WORD = r"[^\x20\x09-\x0D]+"
 SYMBOLS = "[#*$%&|<>]"
@@ -115,22 +115,23 @@ def compile_rules(rules: tuple[Rule, ...], column: dict[str, Column]) -> Column:
     return reduce(lambda a, b: a & b, [passes(r) for r in rules], F.lit(True))
 
 
-def score(docs: DataFrame, rules: tuple[Rule, ...] = RULES, text: str = "text") -> DataFrame:
-    """The input's columns and a struct `quality` with every measure, base_failed and kept. A column of that name is replaced."""
-    got = docs.withColumn("quality", measures(docs[text]))
-    q = F.col("quality")
+def score(docs: DataFrame, rules: tuple[Rule, ...] = RULES, text: str = "text", name: str = "quality") -> DataFrame:
+    """The input's columns and a struct called `name` with every measure, base_failed and kept. A column of that name is replaced."""
+    got = docs.withColumn(name, measures(docs[text]))
+    q = F.col(name)
     column = {n: q[n] for n in ("n_words", "word_chars", "n_symbols", "n_repeat_words", "n_stop_words")}
     column |= {n: q["line"][n] for n in ("n_lines", "n_dup_lines")}
     failed = (column["n_words"] < 10) | (100 * column["n_repeat_words"] > 20 * column["n_words"])
     return got.withColumn(
-        "quality",
+        name,
         F.struct(*[c.alias(n) for n, c in column.items()], failed.alias("base_failed"), (~failed & compile_rules(rules, column)).alias("kept")),
     )
 
 
 def keep(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
-    """The rows that pass, with the columns of the input."""
-    return score(docs, rules).where(F.col("quality.kept")).select(*docs.columns)
+    """The rows that pass, with the columns of the input, whatever their names."""
+    name = unused(docs, "quality")
+    return score(docs, rules, name=name).where(F.col(name)["kept"]).select(*docs.columns)
 
 
 def op4_quality_rules(spark, sf_dir: str) -> DataFrame:

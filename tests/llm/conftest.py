@@ -35,5 +35,5 @@ def docs(spark, texts):
     df = spark.createDataFrame(texts, "doc_id long, text string")
     from pyspark.sql import functions as F
 
-    more = {c: F.lit(None).cast("int") for c in ("length", "fp", "u", "part", "kind", "salt")}
+    more = {c: F.lit(None).cast("int") for c in ("length", "fp", "u", "part", "kind", "salt", "quality", "pii", "row", "key", "_n", "_r", "n", "rep", "ids", "s", "place", "shard")}
     return df.withColumns({"lang": F.lit("en"), "source": F.lit("src0"), "n_chars": F.length("text").cast("long")} | more).repartition(5)
