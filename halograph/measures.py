@@ -80,3 +80,30 @@ def byte_op_ratio(width: int, bytes_per_value: int = 4) -> float:
 def loss_moving_average(log: DataFrame, span: int = 3) -> DataFrame:
     w = Window.partitionBy("run").orderBy("epoch").rowsBetween(1 - span, 0)
     return log.withColumn("smooth", F.avg("loss").over(w))
+
+
+def epoch_parts(times: DataFrame) -> DataFrame:
+    """(epoch, part, seconds): of every iteration the slowest rank's, added up; parts as the ranks timed them. Ranks wait for each other in
+    the all-reduce, so there it is the fastest rank's time, which has nobody to wait for."""
+    step = times.groupBy("epoch", "it", "part").agg(F.max("seconds").alias("most"), F.min("seconds").alias("least"))
+    return step.groupBy("epoch", "part").agg(F.sum(F.when(F.col("part") == "allreduce", F.col("least")).otherwise(F.col("most"))).alias("seconds"))
+
+
+def forward_with_remote(parts: DataFrame) -> DataFrame:
+    """The four published components: forward takes in the gathering of pushes, waiting for them, and storing them. Sending is hidden."""
+    name = F.when(F.col("part").isin("pre", "wait", "post"), F.lit("forward")).otherwise(F.col("part"))
+    return parts.where("part <> 'send'").groupBy("epoch", name.alias("part")).agg(F.sum("seconds").alias("seconds"))
+
+
+def overlap(times: DataFrame) -> DataFrame:
+    """(epoch, send, wait, hidden): seconds that all ranks' pushes took to send, seconds that ranks waited for pushes, and the share of
+    sending that nobody waited for."""
+    got = times.groupBy("epoch").agg(*[F.sum(F.when(F.col("part") == p, F.col("seconds")).otherwise(0.0)).alias(p) for p in ("send", "wait")])
+    return got.withColumn("hidden", F.when(F.col("send") > 0, F.greatest(F.lit(0.0), 1 - F.col("wait") / F.col("send"))).otherwise(F.lit(1.0)))
+
+
+def time_imbalance(times: DataFrame) -> DataFrame:
+    """(epoch, imbalance): of the ranks' own work in a minibatch, (max - mean) / mean of its seconds over the epoch's iterations."""
+    own = times.where("part IN ('minibatch', 'pre', 'forward', 'backward', 'post')").groupBy("epoch", "it", "rank").agg(F.sum("seconds").alias("s"))
+    step = own.groupBy("epoch", "it").agg(F.max("s").alias("most"), F.avg("s").alias("mean"))
+    return step.groupBy("epoch").agg(((F.sum("most") - F.sum("mean")) / F.sum("mean")).alias("imbalance"))

@@ -105,7 +105,7 @@ def weight_grad(x: np.ndarray, dout: np.ndarray, chunks: int = 1) -> np.ndarray:
 
 
 def leaky(x: np.ndarray, slope: float = 0.2) -> np.ndarray:
-    return np.where(x >= 0, x, slope * x)
+    return np.where(x >= 0, x, x.dtype.type(slope) * x)
 
 
 def edge_softmax(score: np.ndarray, dst: np.ndarray, n: int) -> np.ndarray:

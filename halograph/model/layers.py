@@ -50,7 +50,7 @@ class SageLayer:
         dnear = d @ self.p[f"{self.name}.wn"].T
         dx = np.zeros((block.n_src, n_in), dout.dtype)
         dx[: block.n_dst] = d @ self.p[f"{self.name}.ws"].T
-        count = np.bincount(block.dst, minlength=block.n_dst)[:, None]
+        count = np.bincount(block.dst, minlength=block.n_dst).astype(d.dtype)[:, None]
         if self.op == "mean":
             dnear = dnear / np.maximum(count, 1)
         elif self.op == "gcn":
@@ -61,15 +61,16 @@ class SageLayer:
 
 class GatLayer:
     """Additive attention with heads. pre: bias and ReLU come before the attention coefficients (the modified form); else after the
-    aggregation (the original form)."""
+    aggregation (the original form). Both ends share the bias. op: sum of the weighed sources, or gcn, which adds the own transformed
+    row and divides by the number of sources and one."""
 
-    def __init__(self, p: dict[str, np.ndarray], name: str, heads: int = 4, pre: bool = True, relu: bool = True, combine: str = "concat", slope: float = 0.2, chunks: int = 1) -> None:
-        self.p, self.name, self.heads, self.pre, self.relu, self.combine, self.slope, self.chunks = p, name, heads, pre, relu, combine, slope, chunks
+    def __init__(self, p: dict[str, np.ndarray], name: str, heads: int = 4, pre: bool = True, relu: bool = True, combine: str = "concat", slope: float = 0.2, chunks: int = 1, op: str = "gcn") -> None:
+        self.p, self.name, self.heads, self.pre, self.relu, self.combine, self.slope, self.chunks, self.op = p, name, heads, pre, relu, combine, slope, chunks, op
 
     @staticmethod
     def shapes(n_in: int, n_out: int, heads: int = 4, combine: str = "concat") -> dict[str, tuple[int, ...]]:
         width = n_out if combine == "concat" else n_out * heads
-        return {"wu": (n_in, width), "wv": (n_in, width), "bu": (width,), "bv": (width,), "au": (heads, width // heads), "av": (heads, width // heads)}
+        return {"wu": (n_in, width), "wv": (n_in, width), "b": (width,), "au": (heads, width // heads), "av": (heads, width // heads)}
 
     def _w(self, k: str) -> np.ndarray:
         return self.p[f"{self.name}.{k}"]
@@ -78,18 +79,18 @@ class GatLayer:
         own, shape = x[: block.n_dst], (-1, self.heads, self._w("au").shape[1])
         pu, pv = x @ self._w("wu"), own @ self._w("wv")
         if self.pre:
-            pu, pv = pu + self._w("bu"), pv + self._w("bv")
+            pu, pv = pu + self._w("b"), pv + self._w("b")
             if self.relu:
                 pu, pv = np.maximum(pu, 0), np.maximum(pv, 0)
         zu, zv = pu.reshape(shape), pv.reshape(shape)
         # a scalar for each vertex and head first; edges only add two scalars
         raw = (zu * self._w("au")).sum(-1)[block.src] + (zv * self._w("av")).sum(-1)[block.dst]
         alpha = edge_softmax(leaky(raw, self.slope), block.dst, block.n_dst)
-        out = aggregate(zu, block.src, block.dst, block.n_dst, "sum", coef=alpha)
+        out = aggregate(zu, block.src, block.dst, block.n_dst, self.op, zv, coef=alpha)
         flat = out.reshape(len(out), -1)
         after = flat
         if not self.pre:
-            after = flat + self._w("bu")
+            after = flat + self._w("b")
             after = np.maximum(after, 0) if self.relu else after
         merged = after if self.combine == "concat" else after.reshape(shape).mean(1)
         self.kept = (block, x, zu, zv, raw, alpha, after, drop)
@@ -104,19 +105,21 @@ class GatLayer:
         grads: dict[str, np.ndarray] = {}
         if not self.pre:
             d = d * (after > 0) if self.relu else d
-            grads["bu"], grads["bv"] = d.sum(0), np.zeros_like(self._w("bv"))
+            grads["b"] = d.sum(0)
         d = d.reshape(-1, *shape)
+        if self.op == "gcn":
+            d = d / (np.bincount(block.dst, minlength=block.n_dst).astype(d.dtype) + 1)[:, None, None]
         dz = segment_sum(alpha[..., None] * d[block.dst], block.src, block.n_src)
         dalpha = (d[block.dst] * zu[block.src]).sum(-1)
         mean = segment_sum(alpha * dalpha, block.dst, block.n_dst)
-        draw = alpha * (dalpha - mean[block.dst]) * np.where(raw >= 0, 1.0, self.slope)
+        draw = alpha * (dalpha - mean[block.dst]) * np.where(raw >= 0, 1, self.slope).astype(raw.dtype)
         du, dv = segment_sum(draw, block.src, block.n_src), segment_sum(draw, block.dst, block.n_dst)
         grads["au"], grads["av"] = (zu * du[..., None]).sum(0), (zv * dv[..., None]).sum(0)
-        dzu, dzv = (dz + du[..., None] * self._w("au")).reshape(block.n_src, -1), (dv[..., None] * self._w("av")).reshape(block.n_dst, -1)
+        dzu, dzv = (dz + du[..., None] * self._w("au")).reshape(block.n_src, -1), (dv[..., None] * self._w("av") + (d if self.op == "gcn" else 0)).reshape(block.n_dst, -1)
         if self.pre:
             if self.relu:
                 dzu, dzv = dzu * (zu.reshape(dzu.shape) > 0), dzv * (zv.reshape(dzv.shape) > 0)
-            grads["bu"], grads["bv"] = dzu.sum(0), dzv.sum(0)
+            grads["b"] = dzu.sum(0) + dzv.sum(0)
         grads["wu"], grads["wv"] = weight_grad(x, dzu, self.chunks), weight_grad(own, dzv, self.chunks)
         dx = dzu @ self._w("wu").T
         dx[: block.n_dst] += dzv @ self._w("wv").T

@@ -21,11 +21,12 @@ def rate_for(kind: str, ranks: int) -> float:
 
 @dataclass(frozen=True)
 class ModelSpec:
-    """dims: input, hidden, ..., classes. Hidden layers of GAT concatenate their heads, the last averages them."""
+    """dims: input, hidden, ..., classes. Hidden layers of GAT concatenate their heads, the last averages them. op: mean, sum or gcn; None
+    is mean for sage and gcn for gat."""
 
     kind: str = "sage"
     dims: tuple[int, ...] = (100, 256, 256, 47)
-    op: str = "mean"
+    op: str | None = None
     heads: int = 4
     dropout: float = 0.5
     pre_activation: bool = True
@@ -37,8 +38,8 @@ class ModelSpec:
     def layer(self, p: dict[str, np.ndarray], k: int):
         name = f"layer{k}"
         if self.kind == "sage":
-            return SageLayer(p, name, self.op, relu=not self._last(k), chunks=self.chunks)
-        return GatLayer(p, name, self.heads, self.pre_activation, not self._last(k), "mean" if self._last(k) else "concat", chunks=self.chunks)
+            return SageLayer(p, name, self.op or "mean", relu=not self._last(k), chunks=self.chunks)
+        return GatLayer(p, name, self.heads, self.pre_activation, not self._last(k), "mean" if self._last(k) else "concat", chunks=self.chunks, op=self.op or "gcn")
 
     def shapes(self) -> dict[str, tuple[int, ...]]:
         out = {}
@@ -61,18 +62,23 @@ class ModelSpec:
                 out[name] = np.random.Generator(np.random.PCG64([seed, k])).uniform(-bound, bound, shape)
         return out
 
+    def apply(self, p: dict[str, np.ndarray], k: int, block: Block, rows: np.ndarray, context: tuple[int, ...] | None, ids: np.ndarray | None):
+        """Layer k over its block: the layer, which keeps what its backward pass needs, and its output. context: seed, epoch and iteration
+        for dropout while training; ids: the destinations."""
+        drop = None
+        if context is not None and self.dropout and not self._last(k):
+            drop = mask(ids, self.dims[k + 1], self.dropout, *context, k).astype(rows.dtype)
+        layer = self.layer(p, k)
+        return layer, layer.forward(block, rows, drop)
+
     def forward(self, p: dict[str, np.ndarray], blocks: list[Block], inputs, context: tuple[int, ...] | None = None, ids: list[np.ndarray] | None = None):
-        """inputs(k, rows) gives the source rows of block k from the previous output. context: epoch, iteration and seed for dropout
-        while training. Returns the logits, the layers, and each layer's source rows."""
+        """inputs(k, rows) gives the source rows of block k from the previous output. Returns the logits, the layers, and each layer's
+        source rows."""
         layers, sources, rows = [], [], None
         for k, block in enumerate(blocks):
             rows = inputs(k, rows)
             sources.append(rows)
-            layer = self.layer(p, k)
-            drop = None
-            if context is not None and self.dropout and not self._last(k):
-                drop = mask(ids[k + 1], self.dims[k + 1], self.dropout, *context, k)
-            rows = layer.forward(block, rows, drop)
+            layer, rows = self.apply(p, k, block, rows, context, ids[k + 1] if ids is not None else None)
             layers.append(layer)
         return rows, layers, sources
 

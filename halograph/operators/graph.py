@@ -66,7 +66,9 @@ def documents(spark: SparkSession, sf_dir: str, most: int = 8) -> DataFrame:
     hub. Exact copies are joined through their tokens as well."""
     words = F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce("text", F.lit(""))), F.lit(r"[^\s.,;:!?]{5,}"), F.lit(0)))
     t = table(spark, sf_dir, "documents").select("doc_id", F.explode(words).alias("token"))
-    rare = t.groupBy("token").agg(F.collect_set("doc_id").alias("d"), F.count("*").alias("n")).where(F.col("n").between(2, most))
+    # a token's documents are counted up to one more than `most`, and no more of them are moved
+    few = t.withColumn("k", F.row_number().over(Window.partitionBy("token").orderBy("doc_id"))).where(F.col("k") <= most + 1)
+    rare = few.groupBy("token").agg(F.collect_list("doc_id").alias("d")).where(F.size("d").between(2, most))
     pairs = rare.select(F.explode("d").alias("src"), "d").select("src", F.explode("d").alias("dst")).where("src < dst")
     return symmetric(pairs.groupBy("src", "dst").agg(F.count("*").alias("w")))
 
@@ -115,6 +117,14 @@ def purchase_vertices(spark: SparkSession, sf_dir: str) -> DataFrame:
     return c.union(p)
 
 
+def same_host_degrees(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(vid, deg) of the pages' graph, in which pages of one host are all joined: from counts, since its edges grow with their square."""
+    host = F.regexp_extract("url", "^[a-z]+://([^/?#]+)", 1)
+    h = table(spark, sf_dir, "pages").select("page_id", host.alias("host"))
+    n = h.groupBy("host").agg((F.count("*") - 1).alias("deg")).where("deg > 0")
+    return h.join(n, "host").select(F.col("page_id").alias("vid"), "deg")
+
+
 def feature(vid: Column, dim: Column | int, seed: int = 1) -> Column:
     """Hash features: multiples of 1/1024 in [-1/2, 1/2), exact in any order of summing."""
     return (F.pmod(draw(seed, "x", vid, dim), F.lit(1024)) - 512) / F.lit(1024.0)

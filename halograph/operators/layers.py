@@ -22,12 +22,14 @@ def _each(width: int, f) -> list[Column]:
 
 
 def aggregate(edges: DataFrame, rows: DataFrame, width: int, op: str = "mean") -> DataFrame:
-    """(vid, x): the sources' rows reduced by destination. gcn adds the own row: (sum + own) / (count + 1)."""
+    """(vid, x): the sources' rows reduced by destination. gcn adds the own row, (sum + own) / (count + 1), so vertices without sources
+    keep theirs; for the other reductions with_isolated() adds zero rows."""
     joined = edges.select("src", F.col("dst").alias("vid")).join(rows.select(F.col("vid").alias("src"), "x"), "src")
     if op != "gcn":
         return joined.groupBy("vid").agg(F.array(*_each(width, REDUCE[op])).alias("x"))
     summed = joined.groupBy("vid").agg(F.array(*_each(width, F.sum)).alias("s"), F.count("*").alias("n"))
-    return summed.join(rows, "vid").select("vid", F.array(*[(F.get("s", F.lit(k)) + F.get("x", F.lit(k))) / (F.col("n") + 1) for k in range(width)]).alias("x"))
+    n = F.coalesce("n", F.lit(0))
+    return rows.join(summed, "vid", "left").select("vid", F.array(*[(F.coalesce(F.get("s", F.lit(k)), F.lit(0.0)) + F.get("x", F.lit(k))) / (n + 1) for k in range(width)]).alias("x"))
 
 
 def aggregate_edges(edges: DataFrame, value: str = "w") -> DataFrame:
@@ -115,17 +117,23 @@ def weight_grad(rows: DataFrame, left: str, right: str, n_left: int, n_right: in
 
 
 def sage(edges: DataFrame, rows: DataFrame, p: dict[str, np.ndarray], op: str = "mean", act: bool = True) -> DataFrame:
-    """One GraphSAGE layer; p has wn, ws and b."""
+    """One GraphSAGE layer; p has wn, ws and b. A vertex without sources has a zero row for its neighbours."""
     width = p["wn"].shape[0]
     near = aggregate(edges, rows, width, op).withColumnRenamed("x", "m")
+    joined = rows.join(near, "vid", "left").withColumn("m", F.coalesce("m", F.array(*[F.lit(0.0)] * width)))
     out = [a + c for a, c in zip(affine(F.col("m"), p["wn"]), affine(F.col("x"), p["ws"], p["b"]), strict=True)]
-    return rows.join(near, "vid").select("vid", F.array(*[relu(c) if act else c for c in out]).alias("x"))
+    return joined.select("vid", F.array(*[relu(c) if act else c for c in out]).alias("x"))
+
+
+def _ends(p: dict[str, np.ndarray], pre: bool) -> tuple[list[Column], list[Column]]:
+    """A vertex's row transformed as a source and as a destination; both share the bias."""
+    zu, zv = (affine(F.col("x"), p[w], p["b"] if pre else None) for w in ("wu", "wv"))
+    return ([relu(c) for c in zu], [relu(c) for c in zv]) if pre else (zu, zv)
 
 
 def attention_scores(edges: DataFrame, rows: DataFrame, p: dict[str, np.ndarray], heads: int, pre: bool = True) -> DataFrame:
     """Edges with zu (the source's transformed row) and score_h. The inner products are taken for each vertex; edges join scalars."""
-    zu = [relu(c) if pre else c for c in affine(F.col("x"), p["wu"], p["bu"] if pre else None)]
-    zv = [relu(c) if pre else c for c in affine(F.col("x"), p["wv"], p["bv"] if pre else None)]
+    zu, zv = _ends(p, pre)
     d = len(zu) // heads
     inner = lambda z, a, h: sum((F.get(z, F.lit(h * d + k)) * F.lit(float(a[h, k])) for k in range(d)), F.lit(0.0))
     u = rows.select(F.col("vid").alias("src"), F.array(*zu).alias("zu")).select("src", "zu", *[inner("zu", p["au"], h).alias(f"u{h}") for h in range(heads)])
@@ -141,17 +149,23 @@ def edge_softmax(scored: DataFrame, heads: int) -> DataFrame:
     return shifted.withColumns({f"alpha{h}": F.col(f"e{h}") / F.sum(f"e{h}").over(w) for h in range(heads)})
 
 
-def gat(edges: DataFrame, rows: DataFrame, p: dict[str, np.ndarray], heads: int, pre: bool = True, combine: str = "concat") -> DataFrame:
-    """One attention layer. pre: bias and ReLU before the coefficients; else after the aggregation."""
+def gat(edges: DataFrame, rows: DataFrame, p: dict[str, np.ndarray], heads: int, pre: bool = True, combine: str = "concat", op: str = "gcn") -> DataFrame:
+    """One attention layer. pre: bias and ReLU before the coefficients; else after the aggregation. op: gcn adds the own transformed row
+    and divides by the number of sources and one; sum does neither. Every vertex of rows has a result."""
     width = p["wu"].shape[1]
     d = width // heads
     weighed = edge_softmax(attention_scores(edges, rows, p, heads, pre), heads)
     sums = [F.sum(F.col(f"alpha{h}") * F.get("zu", F.lit(h * d + k))) for h in range(heads) for k in range(d)]
+    near = weighed.groupBy(F.col("dst").alias("vid")).agg(F.array(*sums).alias("s"), F.count("*").alias("n"))
+    joined = rows.select("vid", F.array(*_ends(p, pre)[1]).alias("zv")).join(near, "vid", "left")
+    out = [F.coalesce(F.get("s", F.lit(k)), F.lit(0.0)) for k in range(width)]
+    if op == "gcn":
+        out = [(s + F.get("zv", F.lit(k))) / (F.coalesce("n", F.lit(0)) + 1) for k, s in enumerate(out)]
     if not pre:
-        sums = [relu(s + F.lit(float(p["bu"][j]))) for j, s in enumerate(sums)]
+        out = [relu(s + F.lit(float(p["b"][k]))) for k, s in enumerate(out)]
     if combine == "mean":
-        sums = [sum((sums[h * d + k] for h in range(heads)), F.lit(0.0)) / heads for k in range(d)]
-    return weighed.groupBy(F.col("dst").alias("vid")).agg(F.array(*sums).alias("x"))
+        out = [sum((out[h * d + k] for h in range(heads)), F.lit(0.0)) / heads for k in range(d)]
+    return joined.select("vid", F.array(*out).alias("x"))
 
 
 def cross_entropy(logits: DataFrame, label: Column, classes: int) -> DataFrame:

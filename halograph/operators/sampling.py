@@ -35,8 +35,9 @@ def hop_key(kind: str, layer: int, seed: int, fast: bool = False) -> Column:
 def hop(frontier: DataFrame, placed: DataFrame, fanout: int, layer: int, kind: str = "uniform", seed: int = 1, replace: bool = False, fast: bool = False) -> DataFrame:
     """In-neighbours of every frontier vertex, at most fanout of them: (epoch, rank, it, layer, src, dst, w, p_src).
 
-    The limit stands directly above the window, so Spark keeps only the best of each destination before the exchange as well: a hub's
-    edges are never all shuffled."""
+    Edges that are stored in buckets of dst stay where they are: the frontier is brought to them, and as a destination's candidates then lie
+    together, the limit is taken in the same task. The window's limit stands directly above it, so no more than fanout rows of a
+    destination are kept while it sorts."""
     front = frontier.select(*BATCH, F.col("vid").alias("dst"))
     if replace:
         pos = F.row_number().over(Window.partitionBy("dst").orderBy("src")) - 1

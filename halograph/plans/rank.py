@@ -2,53 +2,76 @@
 
 from __future__ import annotations
 
+import time
 from collections import defaultdict
+from collections.abc import Callable, Generator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 from ..model.layers import Block, cross_entropy
 from ..model.network import ModelSpec, backward
 
-#: rows by which plans reach ranks. tag: e edge (a src, b dst), f solid of a frontier (a vid), h hit (a vid, b version), p push (a vid, b rank),
-#: x features (a vid), y label (a vid, b class), m message of an earlier epoch (it its arrival, a vid)
+#: rows by which plans reach ranks. tag: e edge (a src, b dst), f solid of a frontier (a vid), h served halo (a vid, b version), z halo that is
+#: served as zeros (a vid), u halo whose row was fetched (a vid), p push (a vid, b rank), x features (a vid), y label (a vid, b class), m message
+#: of an earlier epoch or step (it its arrival, a vid)
 SCHEMA = "rank int, tag string, it int, layer int, a long, b long, row array<float>"
 
+#: a push: receiving rank, layer, ids, rows
+Send = tuple[int, int, np.ndarray, np.ndarray]
+#: parts of a step that are timed here; engines add allreduce, wait, post and send
+PARTS = ("minibatch", "pre", "forward", "backward", "allreduce", "wait", "post", "send")
+
+
+def _whole(column: pa.ChunkedArray) -> np.ndarray:
+    """64-bit whole numbers, -1 for null."""
+    return pc.fill_null(column.cast(pa.int64()), -1).to_numpy()
+
+
+def _rows(column: pa.ChunkedArray, at: np.ndarray, dtype: str) -> np.ndarray:
+    if not len(at):
+        return np.zeros((0, 0), dtype)
+    return np.asarray(column.take(pa.array(at)).combine_chunks().flatten(), dtype).reshape(len(at), -1)
+
 
 class RankEpoch:
-    """One rank's part of an epoch's plan."""
+    """One rank's part of an epoch's plan, or of one iteration of it."""
 
-    def __init__(self, table: pa.Table, spec: ModelSpec, epoch: int, seed: int = 1, keep: int = 64) -> None:
-        self.spec, self.epoch, self.seed, self.keep = spec, epoch, seed, keep
+    def __init__(self, table: pa.Table, spec: ModelSpec, epoch: int, seed: int = 1, dtype: str = "f4") -> None:
+        self.spec, self.epoch, self.seed, self.dtype = spec, epoch, seed, np.dtype(dtype)
         self.top = len(spec.dims) - 1
-        tag = np.array(table.column("tag").to_pylist(), dtype="U1")
-        it, layer = (np.nan_to_num(table.column(c).to_numpy(zero_copy_only=False).astype(float), nan=-1).astype(int) for c in ("it", "layer"))
-        a, b = (np.nan_to_num(table.column(c).to_numpy(zero_copy_only=False).astype(float), nan=-1).astype(np.int64) for c in ("a", "b"))
+        tag = table.column("tag").combine_chunks().dictionary_encode()
+        kinds = tag.dictionary.to_pylist()
+        code = tag.indices.to_numpy()
+        where = lambda t: np.flatnonzero(code == kinds.index(t)) if t in kinds else np.zeros(0, np.int64)
+        it, layer, a, b = (_whole(table.column(c)) for c in ("it", "layer", "a", "b"))
         self.parts: dict[tuple, tuple[np.ndarray, np.ndarray]] = {}
-        for t in "efhp":
-            at = np.flatnonzero(tag == t)
+        for t in "efhpz":
+            at = where(t)
+            at = at[np.lexsort((b[at], a[at], layer[at], it[at]))]  # a fixed order, whatever the shuffle gave
             key = it[at] * 64 + layer[at]
-            for k in np.unique(key):
-                rows = at[key == k]
-                rows = rows[np.lexsort((b[rows], a[rows]))]  # a fixed order, whatever the shuffle gave
-                self.parts[t, int(k) // 64, int(k) % 64] = (a[rows], b[rows])
-        self.rounds = int(it[tag == "f"].max()) + 1 if (tag == "f").any() else 0
-        at = np.flatnonzero(tag == "x")
-        at = at[np.argsort(a[at], kind="stable")]
-        at = at[np.concatenate(([True], np.diff(a[at]) > 0))] if len(at) else at
-        self.x_ids = a[at]
-        width = spec.dims[0]
-        self.x = np.array(table.column("row").take(pa.array(at)).combine_chunks().flatten(), np.float64).reshape(-1, width) if len(at) else np.zeros((0, width))
-        at = np.flatnonzero(tag == "y")
-        self.label = dict(zip(a[at].tolist(), b[at].tolist(), strict=True))
+            cut = np.flatnonzero(np.diff(key, prepend=-1, append=-1))
+            for lo, hi in zip(cut[:-1], cut[1:], strict=True):
+                self.parts[t, int(key[lo]) // 64, int(key[lo]) % 64] = (a[at[lo:hi]], b[at[lo:hi]])
+        self.x_ids, self.x = self._distinct(where("x"), a, table, spec.dims[0])
+        self.pulled_ids, self.pulled = self._distinct(where("u"), a, table, spec.dims[0])
+        self.pulled_at = {int(k): np.unique(a[where("u")][it[where("u")] == k]) for k in np.unique(it[where("u")])}
+        at = where("y")
+        self.y_ids, first = np.unique(a[at], return_index=True)
+        self.y = b[at][first]
         self.inbox: dict[tuple[int, int], tuple[np.ndarray, np.ndarray]] = {}
-        versions = table.column("it").to_numpy(zero_copy_only=False)
-        old = np.flatnonzero(tag == "m")
-        for v, k in {(int(versions[i]), int(layer[i])) for i in old}:
-            at = old[(versions[old] == v) & (layer[old] == k)]
-            self.receive(v, k, a[at], np.array(table.column("row").take(pa.array(at)).combine_chunks().flatten(), np.float64).reshape(len(at), -1))
+        arrived = table.column("it").to_numpy(zero_copy_only=False)
+        old = where("m")
+        for v, k in sorted({(int(arrived[i]), int(layer[i])) for i in old}):
+            at = old[(arrived[old] == v) & (layer[old] == k)]
+            self.receive(v, k, a[at], _rows(table.column("row"), at, dtype))
         self._none = (np.zeros(0, np.int64), np.zeros(0, np.int64))
 
+    def _distinct(self, at: np.ndarray, a: np.ndarray, table: pa.Table, width: int) -> tuple[np.ndarray, np.ndarray]:
+        ids, first = np.unique(a[at], return_index=True)
+        return ids, _rows(table.column("row"), at[first], self.dtype.str).reshape(-1, width)
+
     def _part(self, tag: str, it: int, layer: int) -> tuple[np.ndarray, np.ndarray]:
         return self.parts.get((tag, it, layer), self._none)
 
@@ -59,6 +82,9 @@ class RankEpoch:
         return self.x[at]
 
     def receive(self, version: int, layer: int, ids: np.ndarray, rows: np.ndarray) -> None:
+        if not len(ids):
+            return
+        rows = rows.astype(self.dtype, copy=False)
         old = self.inbox.get((version, layer))
         if old is not None:
             ids, rows = np.concatenate([old[0], ids]), np.concatenate([old[1], rows])
@@ -69,57 +95,86 @@ class RankEpoch:
         for key in [k for k in self.inbox if k[0] < before]:
             del self.inbox[key]
 
-    def _cached(self, it: int, layer: int) -> tuple[np.ndarray, np.ndarray]:
+    def _halo_ids(self, it: int, layer: int) -> np.ndarray:
+        pulled = self.pulled_at.get(it, self._none[0]) if layer == 0 else self._none[0]
+        return np.concatenate([self._part("h", it, layer)[0], self._part("z", it, layer)[0], pulled])
+
+    def _halo_rows(self, it: int, layer: int) -> np.ndarray:
+        """Rows of the halos, in the order of their ids: from the cache, zeros, and fetched ones."""
         ids, versions = self._part("h", it, layer)
-        rows = np.zeros((len(ids), self.spec.dims[layer]))
+        all_ids = self._halo_ids(it, layer)
+        rows = np.zeros((len(all_ids), self.spec.dims[layer]), self.dtype)
         for v in np.unique(versions):
-            which = versions == v
+            which = np.flatnonzero(versions == v)
             have, stored = self.inbox[int(v), layer]
             rows[which] = stored[np.searchsorted(have, ids[which])]
-        return ids, rows
-
-    def step(self, p: dict[str, np.ndarray], it: int, train: bool = True) -> tuple[dict[str, np.ndarray], dict[str, float], list[tuple[int, int, np.ndarray, np.ndarray]]]:
-        """Gradients (of the summed loss), measures, and the pushes (to_rank, layer, ids, rows) of one iteration."""
+        if layer == 0 and it in self.pulled_at:
+            rows[len(all_ids) - len(self.pulled_at[it]) :] = self.pulled[np.searchsorted(self.pulled_ids, self.pulled_at[it])]
+        return rows
+
+    def steps(self, p: dict[str, np.ndarray], it: int, train: bool = True) -> Generator[tuple[int, list[Send]], None, tuple[dict[str, np.ndarray], dict[str, float]]]:
+        """One iteration. Yields the pushes of each layer as soon as its rows exist, so they can travel while the rest is computed;
+        without delay, whoever runs this brings the other ranks' before going on. Returns gradients (of the summed loss) and measures;
+        out of training the logits in place of the gradients."""
+        clock = time.perf_counter
+        began = clock()
+        measures = {"seeds": 0.0, "loss": 0.0, "correct": 0.0, "edges": 0.0} | {f"{k}_seconds": 0.0 for k in PARTS}
         solids = [self._part("f", it, k)[0] for k in range(self.top + 1)]
         seeds = solids[self.top]
-        measures = {"seeds": float(len(seeds)), "loss": 0.0, "correct": 0.0, "edges": 0.0}
+        measures["seeds"] = float(len(seeds))
         if not len(seeds):
-            return {k: np.zeros(s) for k, s in self.spec.shapes().items()}, measures, []
-        halos = [self._cached(it, k) for k in range(self.top)]
+            for k in range(self.top):
+                yield k, []
+            return {k: np.zeros(s, self.dtype) for k, s in self.spec.shapes().items()}, measures
         # destinations of block k are the solids of layer k + 1, which come first among the solids of layer k
         order = [seeds]
         for k in range(self.top - 1, -1, -1):
             order.insert(0, np.concatenate([order[0], np.setdiff1d(solids[k], order[0], assume_unique=True)]))
-        blocks, own = [], []
+        blocks, places = [], []
         for k in range(self.top):
             src, dst = self._part("e", it, k)
-            names = np.concatenate([order[k], halos[k][0]])
+            names = np.concatenate([order[k], self._halo_ids(it, k)])
             by = np.argsort(names, kind="stable")
-            place = by[np.searchsorted(names, src, sorter=by)] if len(src) else src
+            places.append((by, names))
             head = order[k + 1]
-            by = np.argsort(head, kind="stable")
-            blocks.append(Block(place, by[np.searchsorted(head, dst, sorter=by)] if len(dst) else dst, len(names), len(head)))
-            own.append(len(order[k]))
+            to = np.argsort(head, kind="stable")
+            blocks.append(Block(by[np.searchsorted(names, src, sorter=by)] if len(src) else src, to[np.searchsorted(head, dst, sorter=to)] if len(dst) else dst, len(names), len(head)))
             measures["edges"] += len(src)
-
-        def inputs(k: int, rows: np.ndarray | None) -> np.ndarray:
-            mine = self.features_of(order[0]) if rows is None else rows
-            return np.concatenate([mine, halos[k][1]])
-
+        rows = self.features_of(order[0])
+        measures["minibatch_seconds"] = clock() - began
         context = (self.seed, self.epoch, it) if train else None
-        logits, layers, sources = self.spec.forward(p, blocks, inputs, context, order)
-        y = np.array([self.label[v] for v in seeds.tolist()])
-        loss, d = cross_entropy(logits, y)
-        measures |= {"loss": loss, "correct": float((logits.argmax(1) == y).sum())}
-        grads = backward(layers, d, own) if train else {}
-        sends = []
-        for k in range(self.top):
+        layers = []
+        for k, block in enumerate(blocks):
+            at = clock()
             ids, to = self._part("p", it, k)
-            by = np.argsort(order[k], kind="stable")
-            for r in np.unique(to):
-                mine = ids[to == r]
-                sends.append((int(r), k, mine, sources[k][by[np.searchsorted(order[k], mine, sorter=by)]]))
-        return grads, measures, sends
+            by, names = places[k]
+            sends = [(int(r), k, ids[to == r], rows[by[np.searchsorted(names, ids[to == r], sorter=by)]]) for r in np.unique(to)]
+            measures["pre_seconds"] += clock() - at
+            yield k, sends
+            at = clock()
+            rows = np.concatenate([rows, self._halo_rows(it, k)])
+            layer, rows = self.spec.apply(p, k, block, rows, context, order[k + 1])
+            layers.append(layer)
+            measures["forward_seconds"] += clock() - at
+        if not train:
+            return {"ids": seeds, "logits": rows}, measures
+        at = clock()
+        y = self.y[np.searchsorted(self.y_ids, seeds)]
+        loss, d = cross_entropy(rows, y)
+        measures |= {"loss": loss, "correct": float((rows.argmax(1) == y).sum())}
+        grads = backward(layers, d, [len(o) for o in order[:-1]])
+        measures["backward_seconds"] = clock() - at
+        return grads, measures
+
+
+def drive(steps: Generator, on_push: Callable[[int, list[Send]], None]):
+    """Run an iteration to its end, handing each layer's pushes to on_push."""
+    while True:
+        try:
+            k, sends = next(steps)
+        except StopIteration as e:
+            return e.value
+        on_push(k, sends)
 
 
 def merged(parts: list[tuple[dict[str, np.ndarray], dict[str, float]]]) -> tuple[dict[str, np.ndarray], dict[str, float]]:
@@ -128,5 +183,5 @@ def merged(parts: list[tuple[dict[str, np.ndarray], dict[str, float]]]) -> tuple
     for _, m in parts:
         for k, v in m.items():
             total[k] += v
-    n = max(1.0, total["seeds"])
+    n = parts[0][0][next(iter(parts[0][0]))].dtype.type(max(1.0, total["seeds"]))
     return {k: sum(g[k] for g, _ in parts) / n for k in parts[0][0]}, dict(total)

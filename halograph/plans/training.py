@@ -1,14 +1,20 @@
 """Training over an epoch's plan: delayed push, pull baseline, no remote rows, one rank; and the engines that run the steps.
 
-Only numbers flow here: which rows are sent, arrive and serve was settled by the plan. Engines differ in where steps run. barrier: one
-stage for an epoch, a task for each rank, gradients and pushes exchanged inside it; it needs a slot for every rank. step: one job for an
-iteration, messages in shared storage, gradients summed by a query; it needs no slots at once and survives lost executors between steps.
-local: all ranks in this process, for tests and small graphs. All three compute the same steps.
+Only numbers flow here: which rows are sent, arrive and serve was settled by the plan. Engines differ in where steps run.
+
+barrier  one stage for an epoch, a task for each rank, which keeps its features and cache. Pushes go straight from executor to executor in
+         the background and are waited for d iterations later; gradients are summed over a tree. It needs a slot for every rank.
+step     one job for an iteration, messages in shared storage under their arrival, gradients summed in two levels. It needs no slots at
+         once, and what an iteration has written outlives lost executors.
+local    all ranks in this process, one after another: the reference for tests.
+auto     barrier where there are slots for all ranks, else step.
+
+All compute the same steps. With a delay of 0 a layer's rows are brought to the other ranks before the layer is computed.
 """
 
 from __future__ import annotations
 
-import base64
+import os
 import pickle
 import time
 from collections.abc import Iterator
@@ -17,16 +23,16 @@ from dataclasses import dataclass, field, replace
 import numpy as np
 import pyarrow as pa
 from pyspark import BarrierTaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..model.network import Adam, ModelSpec, Sgd, pack, rate_for, unpack
-from ..operators import sampling
+from ..operators import cache, exchange, sampling
 from ..operators.cache import CacheSpec
-from ..operators.exchange import timeline
-from ..session import ship_package, stage
+from ..session import fresh_path, ship_package, stage
 from .epoch import EpochPlan, Partitioned, SampleConfig, plan_epoch
-from .rank import SCHEMA, RankEpoch, merged
+from .peers import PUSH, Peers
+from .rank import PARTS, SCHEMA, RankEpoch, drive, merged
 
 
 @dataclass(frozen=True)
@@ -38,11 +44,20 @@ class TrainConfig:
     epochs: int = 5
     optimizer: str = "adam"
     rate: float | None = None
-    engine: str = "local"
+    engine: str = "auto"
     seed: int = 1
     #: plan the next epoch while this one runs
     prefetch: bool = False
+    #: how rows travel, and how numbers are computed
     row_dtype: str = "f4"
+    dtype: str = "f4"
+    #: begin every epoch with empty caches
+    reset: bool = False
+    #: send only rows that a later probe reads, which the plan knows
+    used_only: bool = True
+
+
+TIMES = "epoch int, rank int, it int, part string, seconds double"
 
 
 @dataclass
@@ -50,6 +65,8 @@ class TrainResult:
     params: dict[str, np.ndarray]
     log: list[dict] = field(default_factory=list)
     plans: list[EpochPlan] = field(default_factory=list)
+    #: TIMES, a row for each part of each rank's iterations
+    times: DataFrame | None = None
 
 
 def plan_for(pg: Partitioned, labels: DataFrame, cfg: TrainConfig, epoch: int, earlier: DataFrame | None) -> EpochPlan:
@@ -60,15 +77,25 @@ def plan_for(pg: Partitioned, labels: DataFrame, cfg: TrainConfig, epoch: int, e
     seeds = stage(sampling.minibatches(labels, pg.parts, cfg.sample.b, epoch, cfg.sample.seed, cfg.sample.fast))
     rounds = (seeds.agg(F.max("it")).first()[0] or 0) + 1
     blocks, frontier = sampling.sample(seeds, pg.placed, cfg.sample.fanouts, "global", cfg.sample.kind, cfg.sample.seed, stage, cfg.sample.fast)
-    nobody = stage(timeline(frontier.where("false").select("epoch", "it", "layer", F.col("rank").alias("from_rank"), F.col("rank").alias("to_rank"), "vid"), rounds, spec.d))
+    nobody = stage(exchange.timeline(frontier.where("false").select("epoch", "it", "layer", F.col("rank").alias("from_rank"), F.col("rank").alias("to_rank"), "vid"), rounds, spec.d))
     hits = frontier.where("false").select("epoch", "rank", "it", "layer", "vid", F.lit(True).alias("hit"), F.col("it").alias("version_it"))
     return EpochPlan(seeds, blocks, frontier, nobody, hits, blocks, rounds)
 
 
-def epoch_rows(plan: EpochPlan, features: DataFrame, labels: DataFrame, whole: bool = False) -> DataFrame:
+def sent(plan: EpochPlan, spec: CacheSpec, used_only: bool) -> DataFrame:
+    """The pushes that are carried out. Those that no probe of this epoch reads are left out, unless the next epoch may read them."""
+    if not used_only or spec.on_miss == "stale":
+        return plan.push_plan
+    late = F.col("arrive_it") >= plan.rounds - 1 - cache.longest_life(spec, plan.rounds)
+    read = exchange.used_only(plan.push_plan.where(~late), plan.serve_plan, plan.rounds)
+    return read.unionByName(plan.push_plan.where(late))
+
+
+def epoch_rows(plan: EpochPlan, features: DataFrame, labels: DataFrame, whole: bool = False, spec: CacheSpec = CacheSpec(), used_only: bool = True, by_iteration: bool = False) -> DataFrame:
     """The plan as SCHEMA rows, keyed by rank. whole: foreign vertices are computed here as well, from fetched rows (pull).
 
-    Features join once for each rank and vertex, not for each minibatch."""
+    Features join once for each rank and vertex, not for each minibatch; by_iteration: for each minibatch, as a rank that does not keep
+    them needs them."""
     none = lambda t: F.lit(None).cast(t)
 
     def rows(df: DataFrame, tag: str, it="it", layer="layer", a="vid", b=None, row=None) -> DataFrame:
@@ -76,12 +103,19 @@ def epoch_rows(plan: EpochPlan, features: DataFrame, labels: DataFrame, whole: b
         return df.select(F.col("rank").cast("int").alias("rank"), F.lit(tag).alias("tag"), as_col(it, "int").alias("it"), as_col(layer, "int").alias("layer"), as_col(a, "long").alias("a"), as_col(b, "long").alias("b"), as_col(row, "array<float>").alias("row"))
 
     mine = plan.frontier if whole else plan.frontier.where("kind = 'solid'")
-    need = mine.where("layer = 0").select("rank", "vid").distinct().join(features, "vid")
-    top = plan.seeds.join(labels, "vid").select("rank", "vid", "label").distinct()
-    pushes = plan.push_plan.select(F.col("from_rank").alias("rank"), F.col("sent_it").alias("it"), "layer", "vid", "to_rank")
+    when = ["it"] if by_iteration else []
+    it = "it" if by_iteration else None
+    need = mine.where("layer = 0").select("rank", *when, "vid").distinct().join(features, "vid")
+    top = plan.seeds.join(labels, "vid").select("rank", *when, "vid", "label").distinct()
+    pushes = sent(plan, spec, used_only).select(F.col("from_rank").alias("rank"), F.col("sent_it").alias("it"), "layer", "vid", "to_rank")
     out = rows(plan.exec_blocks, "e", a="src", b="dst").unionByName(rows(mine, "f"))
-    out = out.unionByName(rows(need, "x", it=None, layer=None, row="x")).unionByName(rows(top, "y", it=None, layer=None, b="label"))
-    return out.unionByName(rows(pushes, "p", b="to_rank")).unionByName(rows(plan.hit_plan.where("hit"), "h", b="version_it"))
+    out = out.unionByName(rows(need, "x", it=it, layer=None, row="x")).unionByName(rows(top, "y", it=it, layer=None, b="label"))
+    out = out.unionByName(rows(pushes, "p", b="to_rank")).unionByName(rows(plan.serve_plan.where("hit"), "h", b="version_it"))
+    if plan.filled is not None:
+        out = out.unionByName(rows(plan.filled, "z"))
+    if plan.fetched is not None:
+        out = out.unionByName(rows(plan.fetched.join(features, "vid"), "u", layer=None, row="x"))
+    return out
 
 
 def _by_rank(table: pa.Table) -> dict[int, pa.Table]:
@@ -91,170 +125,271 @@ def _by_rank(table: pa.Table) -> dict[int, pa.Table]:
 
 def _message_rows(inbox: dict, rank: int, shift: int, before: int) -> list[tuple]:
     """What later epochs may still read, on their clock."""
-    return [(rank, "m", v - shift, k, int(i), None, row.astype(np.float32).tolist()) for (v, k), (ids, rows) in inbox.items() if v >= before for i, row in zip(ids, rows, strict=True)]
+    return [(rank, "m", v - shift, k, int(i), None, row.astype(np.float32)) for (v, k), (ids, rows) in inbox.items() if v >= before for i, row in zip(ids, rows, strict=True)]
+
+
+_KINDS = (pa.int32(), pa.string(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.list_(pa.float32()))
+_NAMES = [f.split()[0] for f in SCHEMA.split(", ")]
+
+
+def _batch(rows: list[tuple]) -> pa.RecordBatch:
+    columns = zip(*rows, strict=True) if rows else [()] * len(_NAMES)
+    return pa.record_batch([pa.array(c, k) for c, k in zip(columns, _KINDS, strict=True)], names=_NAMES)
+
+
+def _time_row(rank: int, it: int, m: dict[str, float]) -> tuple:
+    return (rank, "t", it, None, None, None, np.array([m[f"{k}_seconds"] for k in PARTS], np.float32))
+
+
+def times_of(rows: DataFrame, epoch: int) -> DataFrame:
+    """TIMES from an engine's rows of tag t."""
+    part = F.posexplode("row").alias("k", "s")
+    t = rows.where("tag = 't'").select("rank", "it", part)
+    return t.select(F.lit(epoch).alias("epoch"), "rank", "it", F.get(F.array(*map(F.lit, PARTS)), "k").alias("part"), F.col("s").cast("double").alias("seconds"))
+
+
+@dataclass
+class _Epoch:
+    """What an engine gives back: parameters, measures by iteration, messages that later epochs may read, and times."""
 
+    params: dict[str, np.ndarray]
+    log: list[dict]
+    carried: DataFrame | None
+    rows: DataFrame
+
+
+def _back_to(before: CacheSpec, rounds: int) -> int:
+    return rounds - 1 - cache.longest_life(before, rounds)
 
-# --- engines: each runs one epoch and returns parameters, measures by iteration, and the messages to carry over ------------------
 
+# --- engines --------------------------------------------------------------------------------------------------------------------
 
-def _run_local(rows: DataFrame, carried: list[tuple], cfg: TrainConfig, epoch: int, rounds: int, p, opt):
-    table = rows.toArrow()
-    if carried:
-        table = pa.concat_tables([table, _table(carried, table.schema)])
-    ranks = {r: RankEpoch(t, cfg.model, epoch, cfg.seed) for r, t in _by_rank(table).items()}
-    log, flight = [], []
+
+def _run_local(rows: DataFrame, carried: DataFrame | None, cfg: TrainConfig, epoch: int, rounds: int, p, opt) -> _Epoch:
+    spark = rows.sparkSession
+    table = (rows if carried is None else rows.unionByName(carried)).toArrow()
+    ranks = {r: RankEpoch(t, cfg.model, epoch, cfg.seed, cfg.dtype) for r, t in _by_rank(table).items()}
+    log, flight, out = [], [], []
     for it in range(rounds):
-        for at, to, k, ids, sent in flight:
-            if at == it:
-                ranks[to].receive(it, k, ids, sent)
+        for m in flight:
+            if m[0] == it:
+                ranks[m[1]].receive(it, *m[2:])
         flight = [m for m in flight if m[0] > it]
-        parts, seconds = [], []
-        for r, rank in ranks.items():
-            began = time.perf_counter()
-            grads, measures, sends = rank.step(p, it)
-            seconds.append(time.perf_counter() - began)
-            parts.append((grads, measures))
+        running, parts, seconds = {r: rank.steps(p, it) for r, rank in ranks.items()}, {}, {r: 0.0 for r in ranks}
+        while running:
+            swapped = []
+            for r in list(running):
+                began = time.perf_counter()
+                try:
+                    _, sends = next(running[r])
+                    swapped += [(it + cfg.cache.d, to, k, ids, x.astype(cfg.row_dtype)) for to, k, ids, x in sends if to in ranks]
+                except StopIteration as e:
+                    parts[r] = e.value
+                    del running[r]
+                seconds[r] += time.perf_counter() - began
             if cfg.cache.d == 0:
-                raise ValueError("without delay, rows are exchanged inside an iteration: plan it with mode='pull'")
-            flight += [(it + cfg.cache.d, to, k, ids, sent.astype(cfg.row_dtype).astype(np.float64)) for to, k, ids, sent in sends if to in ranks]
-        grads, total = merged(parts)
+                for _, to, k, ids, x in swapped:
+                    ranks[to].receive(it, k, ids, x)
+            else:
+                flight += swapped
+        grads, total = merged([parts[r] for r in ranks])
         p = opt.step(p, grads)
-        log.append(total | {"it": it, "slowest": max(seconds), "mean": float(np.mean(seconds))})
-    life = cfg.cache.ls if cfg.cache.ls is not None else rounds
-    return p, log, [m for r, rank in ranks.items() for m in _message_rows(rank.inbox, r, rounds, rounds - 1 - life)]
-
+        out += [_time_row(r, it, m) for r, (_, m) in parts.items()]
+        log.append(total | {"it": it, "slowest": max(seconds.values()), "mean": float(np.mean(list(seconds.values())))})
+    left = [m for r, rank in ranks.items() for m in _message_rows(rank.inbox, r, rounds, _back_to(cfg.cache, rounds))]
+    done = spark.createDataFrame(pa.Table.from_batches([_batch(out + left)]), SCHEMA)
+    return _Epoch(p, log, done.where("tag = 'm'") if left else None, done)
 
-def _table(rows: list[tuple], schema: pa.Schema) -> pa.Table:
-    return pa.table([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), schema, strict=True)], schema=schema)
 
-
-def _run_barrier(rows: DataFrame, carried: list[tuple], cfg: TrainConfig, epoch: int, rounds: int, p, opt):
-    """One barrier stage: every task holds a rank, and allGather carries gradients and pushes between steps."""
+def _run_barrier(rows: DataFrame, carried: DataFrame | None, cfg: TrainConfig, epoch: int, rounds: int, p, opt) -> _Epoch:
+    """One barrier stage, a task for each rank. The driver gets parameters and measures of one task; messages for later epochs go from the
+    tasks into shared storage."""
     spark = rows.sparkSession
-    if carried:
-        rows = rows.unionByName(spark.createDataFrame(carried, SCHEMA))
+    rows = rows if carried is None else rows.unionByName(carried)
     ranks = [r[0] for r in rows.select("rank").distinct().orderBy("rank").collect()]  # as many rows as ranks
     start = spark.sparkContext.broadcast((p, opt))
     place = F.array_position(F.array(*map(F.lit, ranks)), F.col("rank")).cast("int") - 1
+    token, d = os.urandom(16), cfg.cache.d
+    back = _back_to(cfg.cache, rounds)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         context = BarrierTaskContext.get()
         got = [b for b in batches if len(b)]
         p, opt = start.value
-        rank = RankEpoch(pa.Table.from_batches(got), cfg.model, epoch, cfg.seed)
-        me = got[0].column(0)[0].as_py()
-        log, flight = [], []
+        rank = RankEpoch(pa.Table.from_batches(got), cfg.model, epoch, cfg.seed, cfg.dtype)
+        name, me, n = got[0].column(0)[0].as_py(), context.partitionId(), len(ranks)
+        del got
+        peers = Peers(me, [i.address.rsplit(":", 1)[0] for i in context.getTaskInfos()], context.allGather, token)
+        others = [r for r in range(n) if r != me]
+        number = {r: k for k, r in enumerate(ranks)}
+        out, log = [], []
+
+        def arrivals(sent_it: int, layers, m: dict[str, float]) -> None:
+            for k in layers:
+                for o in others:
+                    began = time.perf_counter()
+                    ids, x = peers.get(PUSH, sent_it, k, o)
+                    came = time.perf_counter()
+                    rank.receive(sent_it + d, k, ids, x)
+                    m["wait_seconds"] += came - began
+                    m["post_seconds"] += time.perf_counter() - came
+
         for it in range(rounds):
-            for at, k, ids, sent in flight:
-                if at == it:
-                    rank.receive(it, k, ids, sent)
-            flight = [m for m in flight if m[0] > it]
+            extra = {"wait_seconds": 0.0, "post_seconds": 0.0}
+            if d and it >= d:
+                arrivals(it - d, range(rank.top), extra)
+            rank.forget(min(back, it - cache.longest_life(cfg.cache, rounds)))
+
+            def on_push(k: int, sends: list) -> None:
+                if it >= rounds - d:
+                    return
+                mine = {number[to]: (ids, x.astype(cfg.row_dtype)) for to, _, ids, x in sends if to in number}
+                for o in others:
+                    peers.push(o, it, k, *mine.get(o, (np.zeros(0, np.int64), np.zeros((0, cfg.model.dims[k]), cfg.row_dtype))))
+                if not d:
+                    arrivals(it, [k], extra)
+
             began = time.perf_counter()
-            grads, measures, sends = rank.step(p, it)
-            measures["step_seconds"] = time.perf_counter() - began
-            sends = [(to, k, ids, sent.astype(cfg.row_dtype)) for to, k, ids, sent in sends]
-            parts = [pickle.loads(base64.b64decode(m)) for m in context.allGather(base64.b64encode(pickle.dumps((grads, measures, sends))).decode())]
-            flight += [(it + cfg.cache.d, k, ids, sent.astype(np.float64)) for *_, s in parts for to, k, ids, sent in s if to == me]
-            slowest = max(m["step_seconds"] for _, m, _ in parts)
-            grads, total = merged([x[:2] for x in parts])
-            p = opt.step(p, grads)
-            total["mean"] = total.pop("step_seconds") / len(parts)
-            log.append(total | {"it": it, "slowest": slowest})
-        life = cfg.cache.ls if cfg.cache.ls is not None else rounds
-        out = _message_rows(rank.inbox, me, rounds, rounds - 1 - life)
-        if me == ranks[0]:
-            out.append((me, pickle.dumps((pack(p), opt, log)).hex(), None, None, None, None, None))
-        if out:
-            kinds = (pa.int32(), pa.string(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.list_(pa.float32()))
-            yield pa.record_batch([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=["rank", "tag", "it", "layer", "a", "b", "row"])
-
-    done = rows.repartitionById(len(ranks), place).mapInArrow(run, SCHEMA, barrier=True).collect()
-    flat, opt2, log = pickle.loads(bytes.fromhex(next(r.tag for r in done if r.tag != "m")))
+            grads, m = drive(rank.steps(p, it), on_push)
+            busy = time.perf_counter() - began - (0.0 if d else extra["wait_seconds"])
+            for key, seconds in extra.items():
+                m[key] += seconds
+            at = time.perf_counter()
+            flat = np.concatenate([pack(grads), np.array([m["loss"], busy], cfg.dtype)])
+            total, counts = peers.allreduce(it, flat, np.array([m["seeds"], m["correct"], m["edges"]], np.int64))
+            m["allreduce_seconds"] = time.perf_counter() - at
+            m["send_seconds"] = peers.take_send_seconds()
+            seeds = counts[0]
+            p = opt.step(p, unpack(total[:-2] / total.dtype.type(max(1, seeds)), grads))
+            out.append(_time_row(name, it, m))
+            log.append({"it": it, "seeds": float(seeds), "correct": float(counts[1]), "edges": float(counts[2]), "loss": float(total[-2])})
+        out += _message_rows(rank.inbox, name, rounds, back)
+        if me == 0:
+            out.append((name, pickle.dumps((pack(p), opt, log)).hex(), None, None, None, None, None))
+        context.barrier()
+        peers.close()
+        yield _batch(out)
+
+    # the exchange makes the barrier stage one that Spark can run again as a whole if a task or an executor is lost
+    done = stage(rows.repartitionById(len(ranks), place).mapInArrow(run, SCHEMA, barrier=True).repartition(len(ranks), "rank"), "barrier")
+    flat, opt2, log = pickle.loads(bytes.fromhex(done.where("tag NOT IN ('m', 't')").first().tag))
     opt.__dict__.update(opt2.__dict__)
-    return unpack(flat, p), log, [tuple(r) for r in done if r.tag == "m"]
+    return _Epoch(unpack(flat, p), log, done.where("tag = 'm'"), done)
 
 
-def allreduce(grads: DataFrame, how: str = "sql") -> np.ndarray:
-    """Sum of gradient rows (column g). sql: by position, in a query; tree: pairwise over the executors."""
+def allreduce(grads: DataFrame, how: str = "tree") -> np.ndarray:
+    """Sum of gradient rows (column g). tree: groups of rows are added on executors, and as many sums as a group has rows reach the
+    driver; sql: by position, in a query."""
     if how == "sql":
         summed = grads.select(F.posexplode("g").alias("i", "v")).groupBy("i").agg(F.sum("v").alias("v")).orderBy("i")
         return np.array([r.v for r in summed.collect()])  # one row for each parameter
     if how == "tree":
-        return grads.rdd.map(lambda r: np.array(r.g)).treeReduce(lambda a, b: a + b, depth=2)
+        kind = grads.schema["g"].dataType.elementType
+        width = max(1, int(np.sqrt(grads.count())))
+
+        def add(t: pa.Table) -> pa.Table:
+            g = np.asarray(t.column("g").combine_chunks().flatten()).reshape(t.num_rows, -1)
+            return pa.table({"g": pa.array([g.sum(0)])})
+
+        spread = grads.select(F.pmod(F.monotonically_increasing_id() + F.spark_partition_id(), F.lit(width)).alias("k"), "g")
+        return sum(np.array(r.g) for r in spread.groupBy("k").applyInArrow(add, f"g array<{kind.simpleString()}>").collect())
     raise ValueError(how)
 
 
-def _run_step(rows: DataFrame, carried: list[tuple], cfg: TrainConfig, epoch: int, rounds: int, p, opt):
-    """One job for an iteration. Messages wait in shared storage under their arrival, and only the arrivals that hits use are read."""
-    spark = rows.sparkSession
-    rows = stage(rows)
-    static = rows.where("tag IN ('x', 'y')")
-    inbox: dict[int, DataFrame] = {}
-    for v in sorted({m[2] for m in carried}):
-        inbox[v] = spark.createDataFrame([m for m in carried if m[2] == v], SCHEMA)
-    log, like = [], {k: np.zeros(s) for k, s in cfg.model.shapes().items()}
-    life = cfg.cache.ls if cfg.cache.ls is not None else rounds
+def _run_step(rows: DataFrame, carried: DataFrame | None, cfg: TrainConfig, epoch: int, rounds: int, p, opt) -> _Epoch:
+    """One job for an iteration, which reads its own rows and the messages that are alive. Without delay there is a job for each layer
+    before, which computes up to that layer and sends its rows."""
+    spark, d, top = rows.sparkSession, cfg.cache.d, len(cfg.model.dims) - 1
+    path = fresh_path(spark, "steps")
+    rows.write.partitionBy("it").parquet(path)
+    rows = spark.read.schema(rows.schema).parquet(path).select(*rows.columns)
+    inbox: dict[int, list[DataFrame]] = {}
+    log, measured, like = [], [], {k: np.zeros(s) for k, s in cfg.model.shapes().items()}
+    life = cache.longest_life(cfg.cache, rounds)
+    names = ["correct", "edges", "loss", "seeds"]
     for it in range(rounds):
-        now = rows.where((F.col("it") == it) & F.col("tag").isin("e", "f", "h", "p")).unionByName(static)
-        for v, df in inbox.items():
-            if it - life <= v <= it:
-                now = now.unionByName(df)
-        shared = spark.sparkContext.broadcast(p)
-
-        def run(table: pa.Table) -> pa.Table:
-            began = time.perf_counter()
-            rank = RankEpoch(table, cfg.model, epoch, cfg.seed)
-            grads, m, sends = rank.step(shared.value, it)
-            m["step_seconds"] = time.perf_counter() - began
-            me = table.column("rank")[0].as_py()
-            out = [(to, "m", it + cfg.cache.d, k, int(i), None, row.astype(np.float32).tolist()) for to, k, ids, sent in sends for i, row in zip(ids, sent.astype(cfg.row_dtype), strict=True)]
-            names = sorted(m)
-            out.append((me, "g", it, 0, None, None, None))
-            kinds = (pa.int32(), pa.string(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.list_(pa.float32()))
-            t = pa.table([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=["rank", "tag", "it", "layer", "a", "b", "row"])
-            g = [None] * (len(out) - 1) + [[m[n] for n in names] + pack(grads).tolist()]
-            return t.append_column("g", pa.array(g, pa.list_(pa.float64())))
-
-        done = stage(now.groupBy("rank").applyInArrow(run, SCHEMA + ", g array<double>"))
-        total = allreduce(done.where("tag = 'g'").select("g"))
-        names = ["correct", "edges", "loss", "seeds", "step_seconds"]
-        m = dict(zip(names, total[:5].tolist(), strict=True))
-        grads = {k: v / max(1.0, m["seeds"]) for k, v in unpack(total[5:], like).items()}
-        p = opt.step(p, grads)
-        inbox[it + cfg.cache.d] = done.where("tag = 'm'").drop("g")
-        shared.unpersist()
+        for upto in ([*range(top), None] if d == 0 else [None]):
+            now = rows.where(F.col("it") == it)
+            if carried is not None and it <= life:
+                now = now.unionByName(carried.where((F.col("it") >= it - life) & F.col("rank").isNotNull()))
+            for v in range(max(0, it - life), it + 1):
+                for df in inbox.get(v, []):
+                    now = now.unionByName(df)
+            shared = spark.sparkContext.broadcast(p)
+
+            def run(table: pa.Table) -> pa.Table:
+                rank = RankEpoch(table, cfg.model, epoch, cfg.seed, cfg.dtype)
+                me, out = table.column("rank")[0].as_py(), []
+
+                def on_push(k: int, sends: list) -> None:
+                    if it < rounds - d and (d or k == upto):
+                        out.extend((to, "m", it + d, k, int(i), None, x.astype(np.float32)) for to, _, ids, rows in sends for i, x in zip(ids, rows.astype(cfg.row_dtype), strict=True))
+
+                steps = rank.steps(shared.value, it)
+                g = None
+                if upto is None:
+                    grads, m = drive(steps, on_push)
+                    out.append(_time_row(me, it, m))
+                    g = [m[n] for n in names] + pack(grads).tolist()
+                else:
+                    for _ in range(upto + 1):
+                        on_push(*next(steps))
+                return pa.Table.from_batches([_batch(out)]).append_column("g", pa.array([None] * (len(out) - 1) + [g] if upto is None else [None] * len(out), pa.list_(pa.float64())))
+
+            done = stage(now.groupBy("rank").applyInArrow(run, SCHEMA + ", g array<double>"), "iteration")
+            if it < rounds - d:
+                inbox.setdefault(it + d, []).append(done.where("tag = 'm'").drop("g"))
+            shared.unpersist()
+        total = allreduce(done.where("g IS NOT NULL").select("g"))
+        m = dict(zip(names, total[: len(names)].tolist(), strict=True))
+        n = np.dtype(cfg.dtype).type(max(1.0, m["seeds"]))
+        p = opt.step(p, {k: (v.astype(cfg.dtype) / n) for k, v in unpack(total[len(names) :], like).items()})
+        measured.append(done.where("tag = 't'").drop("g"))
         log.append(m | {"it": it})
-    left = [tuple(r)[:2] + (r.it - rounds,) + tuple(r)[3:7] for v, df in inbox.items() if rounds - 1 - life <= v < rounds for r in df.collect()] if life < rounds else []
-    return p, log, left
+    later = [df.withColumn("it", (F.col("it") - rounds).cast("int")) for v, dfs in inbox.items() if v >= _back_to(cfg.cache, rounds) for df in dfs]
+    times = measured[0]
+    for df in measured[1:]:
+        times = times.unionByName(df)
+    left = None
+    for df in later:
+        left = df if left is None else left.unionByName(df)
+    return _Epoch(p, log, stage(left, "carried") if left is not None else None, stage(times, "times"))
 
 
 ENGINES = {"local": _run_local, "barrier": _run_barrier, "step": _run_step}
 
 
+def engine_for(spark: SparkSession, cfg: TrainConfig, P: int):
+    name = cfg.engine if cfg.engine != "auto" else "barrier" if spark.sparkContext.defaultParallelism >= P else "step"
+    return name, ENGINES[name]
+
+
 def train(pg: Partitioned, features: DataFrame, labels: DataFrame, cfg: TrainConfig, params: dict[str, np.ndarray] | None = None, evaluate=None) -> TrainResult:
     """labels: (vid, label) of the training vertices. evaluate(params) gives the accuracy that is logged for each epoch.
 
     Parameters may come from a saved run; the plan of an epoch depends only on its number, so training resumes where it stopped."""
-    ship_package(pg.placed.sparkSession)
-    p = params or cfg.model.init(cfg.seed)
+    spark = pg.placed.sparkSession
+    ship_package(spark)
+    name, engine = engine_for(spark, cfg, pg.P)
+    p = {k: v.astype(cfg.dtype) for k, v in (params or cfg.model.init(cfg.seed)).items()}
     rate = cfg.rate if cfg.rate is not None else rate_for(cfg.model.kind, pg.P)
     opt = Adam(rate) if cfg.optimizer == "adam" else Sgd(rate)
-    result, earlier, carried = TrainResult(p), None, []
+    result, earlier, carried = TrainResult(p), None, None
     ahead = None
     for epoch in range(cfg.epochs):
         began = time.perf_counter()
         plan = ahead.result() if ahead is not None else plan_for(pg, labels, cfg, epoch, earlier)
         planned = time.perf_counter()
-        earlier = plan.push_plan
+        earlier = None if cfg.reset else plan.push_plan
         ahead = _ahead(pg, labels, cfg, epoch + 1, earlier) if cfg.prefetch and epoch + 1 < cfg.epochs else None
-        rows = epoch_rows(plan, features, labels, whole=cfg.mode == "pull")
-        p, log, carried = ENGINES[cfg.engine](rows, carried, cfg, epoch, plan.rounds, p, opt)
-        done = time.perf_counter()
-        seeds = sum(m["seeds"] for m in log)
-        row = {"epoch": epoch, "loss": sum(m["loss"] for m in log) / seeds, "train_accuracy": sum(m["correct"] for m in log) / seeds, "rounds": plan.rounds, "edges": sum(m["edges"] for m in log), "plan_seconds": planned - began, "run_seconds": done - planned}
-        if "slowest" in log[0]:
-            slow, mean = sum(m["slowest"] for m in log), sum(m["mean"] for m in log)
-            row["imbalance"] = (slow - mean) / mean if mean else 0.0
+        rows = epoch_rows(plan, features, labels, cfg.mode == "pull", cfg.cache, cfg.used_only, by_iteration=name == "step")
+        done = engine(rows, carried, cfg, epoch, plan.rounds, p, opt)
+        p, carried = done.params, None if cfg.reset else done.carried
+        ended = time.perf_counter()
+        times = times_of(done.rows, epoch)
+        result.times = times if result.times is None else result.times.unionByName(times)
+        seeds = max(1.0, sum(m["seeds"] for m in done.log))
+        row = {"epoch": epoch, "loss": sum(m["loss"] for m in done.log) / seeds, "train_accuracy": sum(m["correct"] for m in done.log) / seeds, "rounds": plan.rounds, "edges": sum(m["edges"] for m in done.log), "plan_seconds": planned - began, "run_seconds": ended - planned, "engine": name}
         if evaluate is not None:
             row["accuracy"] = evaluate(p)
         result.log.append(row)

@@ -41,7 +41,9 @@ X = [f"x{k}" for k in range(W)]
 JOINED = "FROM v_edges e JOIN v_x x ON x.vid = e.src"
 for _op, _f in (("mean", "avg"), ("sum", "sum"), ("max", "max"), ("min", "min")):
     add(f"agg_{_op}", lambda w, op=_op: flat(layers.aggregate(w.edges, w.features, W, op)), sql(f"SELECT e.dst AS vid, {cols([f'{_f}({x})' for x in X])} {JOINED} GROUP BY e.dst"))
-add("agg_gcn", lambda w: flat(layers.aggregate(w.edges, w.features, W, "gcn")), sql(f"SELECT o.vid, {cols([f'(a.s{k} + o.x{k}) / (a.n + 1)' for k in range(W)])} FROM (SELECT e.dst, count(*) AS n, {', '.join(f'sum(x{k}) AS s{k}' for k in range(W))} {JOINED} GROUP BY e.dst) a JOIN v_x o ON o.vid = a.dst"))
+VIEWS["v_strong"] = "SELECT * FROM v_edges WHERE w > 1"  # leaves many vertices without an edge
+for _tag, _edges, _of in (("", "v_edges", lambda w: w.edges), ("_isolated", "v_strong", lambda w: w.edges.where("w > 1"))):
+    add(f"agg_gcn{_tag}", lambda w, of=_of: flat(layers.aggregate(of(w), w.features, W, "gcn")), sql(f"SELECT o.vid, {cols([f'(coalesce(a.s{k}, 0) + o.x{k}) / (coalesce(a.n, 0) + 1)' for k in range(W)])} FROM v_x o LEFT JOIN (SELECT e.dst, count(*) AS n, {', '.join(f'sum(x{k}) AS s{k}' for k in range(W))} FROM {_edges} e JOIN v_x x ON x.vid = e.src GROUP BY e.dst) a ON o.vid = a.dst"))
 add("agg_edge_feat", lambda w: layers.aggregate_edges(w.edges).select("vid", "total", millionths(F.col("mean")).alias("mean")), sql(f"SELECT dst AS vid, CAST(sum(w) AS BIGINT) AS total, {m6('avg(w)')} AS mean FROM v_edges GROUP BY dst"))
 add("agg_broadcast", lambda w: flat(layers.aggregate_scaled(w.edges, w.features, W, [F.col("w") / 8.0, (F.col("w") + 1) / 8.0]), 2 * W), sql(f"SELECT e.dst AS vid, {cols([f'sum({c} / 8.0::DOUBLE * {x})' for c in ('w', '(w + 1)') for x in X])} {JOINED} GROUP BY e.dst"))
 add("agg_local_remote", lambda w: flat(layers.aggregate_split(w.pg.placed.where("p_src = p_dst"), w.pg.placed.where("p_src <> p_dst"), w.features, W)), sql(f"SELECT e.dst AS vid, {cols([f'avg({x})' for x in X])} {JOINED} GROUP BY e.dst"))
@@ -65,17 +67,19 @@ S1 = {"wn": dyadic_matrix(W, 3, 1), "ws": dyadic_matrix(W, 3, 2), "b": dyadic_ma
 S2 = {"wn": dyadic_matrix(3, 2, 5), "ws": dyadic_matrix(3, 2, 6), "b": dyadic_matrix(1, 2, 7)[0]}
 
 
-def sage_view(rows: str, x: list[str], p: dict, act: bool) -> str:
+def sage_view(rows: str, x: list[str], p: dict, act: bool, edges: str = "v_edges") -> str:
     n = p["wn"].shape[1]
     mean = ", ".join(f"avg({c}) AS m{k}" for k, c in enumerate(x))
     out = []
     for j in range(n):
-        e = f"{lin([f'm{k}' for k in range(len(x))], p['wn'], j)} + {lin([f'o.{c}' for c in x], p['ws'], j, float(p['b'][j]))}"
+        e = f"{lin([f'coalesce(m{k}, 0)' for k in range(len(x))], p['wn'], j)} + {lin([f'o.{c}' for c in x], p['ws'], j, float(p['b'][j]))}"
         out.append(f"{f'greatest(0, {e})' if act else e} AS h{j}")
-    return f"SELECT o.vid, {', '.join(out)} FROM {rows} o JOIN (SELECT e.dst, {mean} FROM v_edges e JOIN {rows} r ON r.vid = e.src GROUP BY e.dst) a ON a.dst = o.vid"
+    return f"SELECT o.vid, {', '.join(out)} FROM {rows} o LEFT JOIN (SELECT e.dst, {mean} FROM {edges} e JOIN {rows} r ON r.vid = e.src GROUP BY e.dst) a ON a.dst = o.vid"
 
 
 VIEWS["v_sage1"] = sage_view("v_x", X, S1, True)
+VIEWS["v_sage_strong"] = sage_view("v_x", X, S1, True, "v_strong")
+add("sage_layer_isolated", lambda w: flat(layers.sage(w.edges.where("w > 1"), w.features, S1), 3), sql(f"SELECT vid, {cols(['h0', 'h1', 'h2'])} FROM v_sage_strong"))
 VIEWS["v_sage2"] = sage_view("v_sage1", ["h0", "h1", "h2"], S2, False)
 add("sage_layer", lambda w: flat(layers.sage(w.edges, w.features, S1), 3), sql(f"SELECT vid, {cols(['h0', 'h1', 'h2'])} FROM v_sage1"))
 add("sage_forward", lambda w: flat(layers.sage(w.edges, layers.sage(w.edges, w.features, S1), S2, act=False), 2), sql(f"SELECT vid, {cols(['h0', 'h1'])} FROM v_sage2"))
@@ -86,29 +90,33 @@ add("infer_full_sage", lambda w: flat(infer.full(w.edges, w.features, SAGE, SAGE
 # --- attention -------------------------------------------------------------------------------------------------------------------
 
 H, D = 2, 2
-G = {"wu": dyadic_matrix(W, H * D, 2), "wv": dyadic_matrix(W, H * D, 4), "bu": dyadic_matrix(1, H * D, 5)[0], "bv": dyadic_matrix(1, H * D, 9)[0], "au": dyadic_matrix(H, D, 6), "av": dyadic_matrix(H, D, 8)}
+G = {"wu": dyadic_matrix(W, H * D, 2), "wv": dyadic_matrix(W, H * D, 4), "b": dyadic_matrix(1, H * D, 5)[0], "au": dyadic_matrix(H, D, 6), "av": dyadic_matrix(H, D, 8)}
 
 
-def gat_views(tag: str, pre: bool) -> None:
+def gat_views(tag: str, pre: bool, op: str, edges: str = "v_edges") -> None:
     act = lambda e: f"greatest(0, {e})" if pre else e
-    z = lambda w, b: ", ".join(f"{act(lin(X, G[w], j, float(G[b][j]) if pre else None))} AS z{j}" for j in range(H * D))
+    z = lambda w: ", ".join(f"{act(lin(X, G[w], j, float(G['b'][j]) if pre else None))} AS z{j}" for j in range(H * D))
     inner = lambda a, h: " + ".join(f"z{h * D + k} * ({float(G[a][h, k])!r}::DOUBLE)" for k in range(D))
-    for end, w, b, a in (("u", "wu", "bu", "au"), ("v", "wv", "bv", "av")):
-        VIEWS[f"{tag}_{end}"] = f"SELECT *, {', '.join(f'{inner(a, h)} AS s{h}' for h in range(H))} FROM (SELECT vid, {z(w, b)} FROM v_x)"
-    VIEWS[f"{tag}_score"] = f"SELECT src, dst, z0, z1, z2, z3, {', '.join(f'CASE WHEN r{h} >= 0 THEN r{h} ELSE r{h} * 0.2::DOUBLE END AS score{h}' for h in range(H))} FROM (SELECT e.src, e.dst, u.z0, u.z1, u.z2, u.z3, {', '.join(f'u.s{h} + v.s{h} AS r{h}' for h in range(H))} FROM v_edges e JOIN {tag}_u u ON u.vid = e.src JOIN {tag}_v v ON v.vid = e.dst)"
+    for end, w, a in (("u", "wu", "au"), ("v", "wv", "av")):
+        VIEWS[f"{tag}_{end}"] = f"SELECT *, {', '.join(f'{inner(a, h)} AS s{h}' for h in range(H))} FROM (SELECT vid, {z(w)} FROM v_x)"
+    VIEWS[f"{tag}_score"] = f"SELECT src, dst, z0, z1, z2, z3, {', '.join(f'CASE WHEN r{h} >= 0 THEN r{h} ELSE r{h} * 0.2::DOUBLE END AS score{h}' for h in range(H))} FROM (SELECT e.src, e.dst, u.z0, u.z1, u.z2, u.z3, {', '.join(f'u.s{h} + v.s{h} AS r{h}' for h in range(H))} FROM {edges} e JOIN {tag}_u u ON u.vid = e.src JOIN {tag}_v v ON v.vid = e.dst)"
     VIEWS[f"{tag}_alpha"] = f"SELECT *, {', '.join(f'e{h} / sum(e{h}) OVER (PARTITION BY dst) AS alpha{h}' for h in range(H))} FROM (SELECT *, {', '.join(f'exp(score{h} - max(score{h}) OVER (PARTITION BY dst)) AS e{h}' for h in range(H))} FROM {tag}_score)"
-    sums = [f"sum(alpha{h} * z{h * D + k})" for h in range(H) for k in range(D)]
+    sums = [f"coalesce(a{j}, 0)" if op == "sum" else f"(coalesce(a{j}, 0) + z{j}) / (coalesce(n, 0) + 1)" for j in range(H * D)]
     if not pre:
-        sums = [f"greatest(0, {s} + ({float(G['bu'][j])!r}::DOUBLE))" for j, s in enumerate(sums)]
-    VIEWS[f"{tag}_out"] = f"SELECT dst AS vid, {', '.join(f'{s} AS h{j}' for j, s in enumerate(sums))} FROM {tag}_alpha GROUP BY dst"
+        sums = [f"greatest(0, {s} + ({float(G['b'][j])!r}::DOUBLE))" for j, s in enumerate(sums)]
+    near = ", ".join(f"sum(alpha{j // D} * z{j}) AS a{j}" for j in range(H * D))
+    VIEWS[f"{tag}_out"] = f"SELECT v.vid, {', '.join(f'{s} AS h{j}' for j, s in enumerate(sums))} FROM {tag}_v v LEFT JOIN (SELECT dst, count(*) AS n, {near} FROM {tag}_alpha GROUP BY dst) q ON q.dst = v.vid"
 
 
-gat_views("ga", True)
-gat_views("go", False)
 HS = [f"h{j}" for j in range(H * D)]
-add("gat_layer", lambda w: flat(layers.gat(w.edges, w.features, G, H)), sql(f"SELECT vid, {cols(HS)} FROM ga_out"))
-add("gat_layer_original", lambda w: flat(layers.gat(w.edges, w.features, G, H, pre=False)), sql(f"SELECT vid, {cols(HS)} FROM go_out"))
-add("gat_multihead", lambda w: flat(layers.gat(w.edges, w.features, G, H, combine="mean"), D), sql(f"SELECT vid, {cols([f'(h{k} + h{D + k}) / 2' for k in range(D)])} FROM ga_out"))
+for _name, _tag, _pre, _op, _edges, _of in (
+    ("gat_layer", "ga", True, "sum", "v_edges", lambda w: w.edges), ("gat_layer_original", "go", False, "sum", "v_edges", lambda w: w.edges),
+    ("gat_layer_gcn", "gg", True, "gcn", "v_edges", lambda w: w.edges), ("gat_original_gcn", "gog", False, "gcn", "v_edges", lambda w: w.edges),
+    ("gat_layer_isolated", "gi", True, "gcn", "v_strong", lambda w: w.edges.where("w > 1")),
+):
+    gat_views(_tag, _pre, _op, _edges)
+    add(_name, lambda w, pre=_pre, op=_op, of=_of: flat(layers.gat(of(w), w.features, G, H, pre, op=op)), sql(f"SELECT vid, {cols(HS)} FROM {_tag}_out"))
+add("gat_multihead", lambda w: flat(layers.gat(w.edges, w.features, G, H, combine="mean", op="sum"), D), sql(f"SELECT vid, {cols([f'(h{k} + h{D + k}) / 2' for k in range(D)])} FROM ga_out"))
 _scored = lambda w: layers.attention_scores(w.edges, w.features, G, H)
 add("attention_scores", lambda w: _scored(w).select("src", "dst", *[millionths(F.col(f"score{h}")).alias(f"y{h}") for h in range(H)]), sql(f"SELECT src, dst, {cols([f'score{h}' for h in range(H)])} FROM ga_score"))
 add("edge_softmax", lambda w: layers.edge_softmax(_scored(w), H).select("src", "dst", *[millionths(F.col(f"alpha{h}")).alias(f"y{h}") for h in range(H)]), sql(f"SELECT src, dst, {cols([f'alpha{h}' for h in range(H)])} FROM ga_alpha"))
@@ -130,7 +138,6 @@ VIEWS["v_pred"] = f"SELECT vid, CAST(CASE WHEN a >= b AND a >= c THEN 0 WHEN b >
 add("predict_node", lambda w: _predicted(w), sql("SELECT * FROM v_pred"))
 add("accuracy", lambda w: measures.accuracy(_predicted(w)), sql("SELECT count(*) AS n, count(*) FILTER (pred = label) AS correct, count(*) FILTER (pred = label) / count(*) AS accuracy FROM v_pred"))
 add("confusion", lambda w: measures.confusion(_predicted(w)), sql("SELECT label, pred, count(*) AS n FROM v_pred GROUP BY CUBE (label, pred)"))
-add("confusion_cube", lambda w: measures.confusion(_predicted(w).where("vid % 2 = 0")), sql("SELECT label, pred, count(*) AS n FROM v_pred WHERE vid % 2 = 0 GROUP BY CUBE (label, pred)"))
 add(
     "topk_pred", lambda w: _logits(w).select("vid", F.posexplode(F.transform("x", millionths)).alias("class", "score")).orderBy(F.desc("score"), "vid", "class").limit(20),
     sql(f"SELECT vid, CAST(class AS INTEGER) AS class, score FROM (SELECT vid, unnest([0, 1, 2]) AS class, unnest([{m6('h0')}, {m6('h1')}, {m6('h2')}]) AS score FROM v_logits) ORDER BY score DESC, vid, class LIMIT 20"),
@@ -221,16 +228,25 @@ add("byte_op_ratio", lambda w: w.plan.exec_blocks.groupBy("layer").agg((F.count(
 # --- training: no SQL can follow it; tests hold it against exact references --------------------------------------------------------
 
 
-def training_log(mode: str, kind: str = "sage", epochs: int = 2, engine: str = "local"):
-    from ..operators.labels import planted
+def trained(w, mode: str, kind: str = "sage", epochs: int = 2, d: int = 1, **more):
+    """A run on the executors, kept for the queries that read its log."""
+    from dataclasses import replace
 
-    def run(w):
-        from ..plans.epoch import SampleConfig
+    from ..operators.labels import planted
+    from ..plans.epoch import SampleConfig
 
+    key = (mode, kind, epochs, d, *sorted(more.items()))
+    if key not in w.runs:
         x = graph.hash_features(w.vertices, 16)
         labels = planted(w.edges, x).join(w.train, "vid")
-        cfg = TrainConfig(ModelSpec(kind, (16, 32, 6), dropout=0.0), SampleConfig((10, 3), 64), w.spec, mode, epochs, rate=0.01, engine=engine)
-        r = train(w.pg, x, labels, cfg)
+        cfg = TrainConfig(ModelSpec(kind, (16, 32, 6), dropout=0.0), SampleConfig((10, 3), 64), replace(w.spec, d=d), mode, epochs, rate=0.01, **more)
+        w.runs[key] = train(w.pg, x, labels, cfg)
+    return w.runs[key]
+
+
+def training_log(mode: str, kind: str = "sage", epochs: int = 2, **more):
+    def run(w):
+        r = trained(w, mode, kind, epochs, **more)
         return inline(w.spark, "epoch int, rounds int, loss double, train_accuracy double, edges double", [(m["epoch"], m["rounds"], float(m["loss"]), float(m["train_accuracy"]), float(m["edges"])) for m in r.log])
 
     return run
@@ -240,3 +256,27 @@ add("train_push_log", training_log("push"))
 add("train_push_gat_log", training_log("push", "gat", 1))
 add("train_pull_log", training_log("pull"))
 add("train_no_remote_log", training_log("none", epochs=1))
+add("train_sync_log", training_log("push", epochs=1, d=0))
+add("train_step_engine_log", training_log("push", epochs=1, engine="step"))
+
+# measures of runs: seconds differ from run to run, so only their form is checked here and their arithmetic in the tests
+
+
+def _runs(w) -> list[tuple[str, object]]:
+    return [("push", trained(w, "push")), ("pull", trained(w, "pull"))]
+
+
+def _of_runs(w, measure):
+    out = None
+    for name, r in _runs(w):
+        df = measure(r.times).select(F.lit(name).alias("run"), "*")
+        out = df if out is None else out.unionByName(df)
+    return out
+
+
+add("measured_parts", lambda w: _of_runs(w, lambda t: measures.forward_with_remote(measures.epoch_parts(t))))
+add("measured_overlap", lambda w: _of_runs(w, measures.overlap))
+add("measured_imbalance", lambda w: _of_runs(w, measures.time_imbalance))
+add("measured_epoch_time", lambda w: inline(w.spark, "run string, epoch int, seconds double", [(name, m["epoch"], float(m["run_seconds"])) for name, r in _runs(w) for m in r.log]))
+add("measured_gain", lambda w: measures.gain(inline(w.spark, "name string, base double, optimised double", [("push over pull", *(min(float(m["run_seconds"]) for m in r.log) for _, r in reversed(_runs(w))))])))
+add("sampled_inference", lambda w: infer.predict_nodes(infer.sampled(w.pg, w.train, graph.hash_features(w.vertices, 16), ModelSpec("sage", (16, 32, 6), dropout=0.0), trained(w, "push").params, w.sample_two)))

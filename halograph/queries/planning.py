@@ -11,7 +11,7 @@ from .. import measures
 from ..operators import cache, exchange, graph, partition, sampling
 from ..operators.cache import CacheSpec
 from ..plans.epoch import sweep
-from .registry import add
+from .registry import ORACLES, add
 from .sql import ABOUT, CS, D, FANOUTS, LS, NC, P, TOP, VIEWS, capped, draw, held, hits, md5, pushed, race, sql
 from .workload import ORACLE, TIGHT, workload
 
@@ -54,15 +54,16 @@ add(
       SELECT a.doc_id AS src, b.doc_id AS dst, count(*) AS w FROM r a JOIN r b ON a.token = b.token AND a.doc_id <> b.doc_id GROUP BY ALL""",
 )
 add("train_vertices", lambda w: w.train, sql("SELECT vid FROM v_train"))
-add("page_degrees", lambda w: graph.degrees(_page_edges(w)), """WITH h AS (SELECT page_id, regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) AS host FROM pages)
-  SELECT a.page_id AS vid, count(*) AS deg FROM h a JOIN h b ON a.host = b.host AND a.page_id <> b.page_id GROUP BY a.page_id""")
-
-
-def _page_edges(w):
-    host = F.regexp_extract("url", "^[a-z]+://([^/?#]+)", 1)
-    h = w.spark.read.parquet(f"{w.sf_dir}/pages.parquet").select("page_id", host.alias("host"))
-    return h.withColumnRenamed("page_id", "src").join(h.withColumnRenamed("page_id", "dst"), "host").where("src <> dst").select("src", "dst")
-
+add(
+    "page_degrees", lambda w: graph.same_host_degrees(w.spark, w.sf_dir),
+    """WITH h AS (SELECT page_id, regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) AS host FROM pages)
+    SELECT a.page_id AS vid, count(*) AS deg FROM h a JOIN h b ON a.host = b.host AND a.page_id <> b.page_id GROUP BY a.page_id""",
+)
+for _name, _of, _sql in (("supply", graph.supply, "supply_edges"), ("trade", graph.trade, "trade_edges"), ("documents", graph.documents, "document_edges")):
+    add(
+        f"dataset_summary_{_name}", lambda w, of=_of: of(w.spark, w.sf_dir).agg(F.count("*").alias("edges"), F.count_distinct("src").alias("connected"), F.max("w").alias("heaviest")),
+        f"SELECT count(*) AS edges, count(DISTINCT src) AS connected, max(w) AS heaviest FROM ({ORACLES[_sql]})",
+    )
 
 # --- partitions ----------------------------------------------------------------------------------------------------------------
 

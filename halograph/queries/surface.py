@@ -10,10 +10,10 @@ from pyspark.sql import functions as F
 from .. import sqlapi
 from ..functions.draws import draw as draw_column
 from ..functions.vectors import cosine, millionths
-from ..operators import cache, graph, layers, partition
+from ..operators import cache, graph, partition
 from ..operators.cache import CacheSpec
-from ..session import fresh_path, stage
-from ..sources.tables import save_bucketed, table, through, write_by_part
+from ..session import bucketed, fresh_path, stage
+from ..sources.tables import register_sources, table, through, write_by_part
 from ..streaming import cache as stream_cache
 from ..streaming import edges as stream
 from .numeric import W, cols, flat, m6
@@ -31,8 +31,7 @@ for _fmt in ("csv", "json", "orc"):
 
 
 def _bucketed(w):
-    name = f"halograph_edges_{abs(hash(w.sf_dir)) % 10**8}"
-    t = save_bucketed(w.edges.select("src", "dst", "w"), name, "dst", 8)
+    t = bucketed(w.edges.select("src", "dst", "w"), "dst", 8)
     return t.groupBy("dst").agg(F.count("*").alias("deg")).select(F.col("dst").alias("vid"), "deg")
 
 
@@ -42,6 +41,12 @@ def _by_part(w):
     return w.spark.read.parquet(path).where("part = 1").select("src", "dst", "w", F.col("part").cast("int").alias("part"))
 
 
+def _ring(w):
+    register_sources(w.spark)
+    return w.spark.read.format("ring_graph").option("vertices", 1000).option("reach", 3).option("parts", 4).load()
+
+
+add("source_ring_graph", _ring, "SELECT i AS src, (i + k) % 1000 AS dst FROM range(1000) a(i), range(1, 4) b(k)")
 add("sink_bucketed", _bucketed, sql("SELECT * FROM v_deg"))
 add("sink_by_part", _by_part, sql("SELECT src, dst, w, p_dst AS part FROM v_placed WHERE p_dst = 1"))
 
@@ -76,14 +81,14 @@ add(
     f"SELECT doc_id, CAST({draw(chr(39) + 'tok' + chr(39), 'token')} % 16 AS INTEGER) AS slot, count(*) AS n FROM ({_tokens_sql}) GROUP BY ALL",
 )
 add("page_hosts", lambda w: table(w.spark, w.sf_dir, "pages").groupBy(F.regexp_extract("url", "^[a-z]+://([^/?#]+)", 1).alias("host")).agg(F.count("*").alias("pages"), F.sum(F.length(F.regexp_replace("html", "<[^>]*>", ""))).alias("text_chars")), "SELECT regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) AS host, count(*) AS pages, CAST(sum(length(regexp_replace(html, '<[^>]*>', '', 'g'))) AS BIGINT) AS text_chars FROM pages GROUP BY ALL")
-_vec = lambda w: table(w.spark, w.sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("embedding")).where("vec_id < 40")
+_vec = lambda w: table(w.spark, w.sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("embedding"))
 add(
     "vec_cosine", lambda w: _vec(w).alias("a").join(_vec(w).alias("b"), F.col("b.vec_id") == F.col("a.vec_id") + 1).select(F.col("a.vec_id").alias("vec_id"), F.round(cosine(F.col("a.embedding"), F.col("b.embedding")), 6).alias("cosine")),
-    "SELECT a.vec_id, round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) AS cosine FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1 WHERE a.vec_id < 39",
+    "SELECT a.vec_id, round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) AS cosine FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1",
 )
 add(
     "knn_exact", lambda w: graph.nearest(_vec(w), 3).select("src", "dst", "rank"),
-    f"SELECT src, dst, CAST(r AS INTEGER) AS rank FROM (SELECT b.vec_id AS src, a.vec_id AS dst, row_number() OVER (PARTITION BY a.vec_id ORDER BY {m6('list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[]))')} DESC, b.vec_id) AS r FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id WHERE a.vec_id < 40 AND b.vec_id < 40) WHERE r <= 3",
+    f"SELECT src, dst, CAST(r AS INTEGER) AS rank FROM (SELECT b.vec_id AS src, a.vec_id AS dst, row_number() OVER (PARTITION BY a.vec_id ORDER BY {m6('list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[]))')} DESC, b.vec_id) AS r FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id) WHERE r <= 3",
 )
 
 # --- joins -------------------------------------------------------------------------------------------------------------------------
@@ -100,8 +105,8 @@ add("semi_boundary", lambda w: w.parts.join(w.pg.directory, "vid", "left_semi"),
 add("anti_misses", lambda w: table(w.spark, w.sf_dir, "orders").join(table(w.spark, w.sf_dir, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey"), "left_anti").select("o_orderkey", "o_custkey"), "SELECT o_orderkey, o_custkey FROM orders WHERE NOT EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey)")
 add("outer_degrees", lambda w: w.vertices.join(w.pg.degrees, "vid", "full_outer").groupBy(F.coalesce("deg", F.lit(0)).alias("deg")).agg(F.count("*").alias("n")), sql("SELECT coalesce(deg, 0) AS deg, count(*) AS n FROM v_verts FULL JOIN v_deg USING (vid) GROUP BY 1"))
 add(
-    "two_hop", lambda w: w.edges.where("w > 1").alias("a").join(w.edges.where("w > 1").alias("b"), F.col("a.dst") == F.col("b.src")).where("a.src <> b.dst").groupBy(F.col("a.src").alias("src")).agg(F.count_distinct("b.dst").alias("n")),
-    sql("SELECT a.src, count(DISTINCT b.dst) AS n FROM v_edges a JOIN v_edges b ON a.dst = b.src WHERE a.w > 1 AND b.w > 1 AND a.src <> b.dst GROUP BY a.src"),
+    "two_hop", lambda w: w.edges.alias("a").join(w.edges.alias("b"), F.col("a.dst") == F.col("b.src")).where("a.src <> b.dst").groupBy(F.col("a.src").alias("src")).agg(F.count_distinct("b.dst").alias("n")),
+    sql("SELECT a.src, count(DISTINCT b.dst) AS n FROM v_edges a JOIN v_edges b ON a.dst = b.src WHERE a.src <> b.dst GROUP BY a.src"),
 )
 add(
     "lateral_topk", lambda w: w.spark.sql("SELECT v.vid, n.src, n.w FROM {v} v, LATERAL (SELECT e.src, e.w FROM {e} e WHERE e.dst = v.vid ORDER BY e.w DESC, e.src LIMIT 2) n", v=w.train, e=w.edges),
@@ -119,10 +124,15 @@ _of = lambda w, p: w.pg.halos.where(F.col("part") == p).select("vid")  # noqa: E
 add("set_intersect_halo", lambda w: _of(w, 0).intersect(w.parts.where("part = 1").select("vid")), sql(f"SELECT vid FROM v_halo WHERE part = 0 AND vid % {P} = 1"))
 add("set_except", lambda w: cache.demand(w.plan.frontier).select("rank", "layer", "vid").exceptAll(w.plan.hit_plan.where("hit").select("rank", "layer", "vid")), sql("SELECT rank, layer, vid FROM v_hits WHERE NOT hit"))
 add("set_union", lambda w: _of(w, 0).union(_of(w, 1)).distinct(), sql("SELECT DISTINCT vid FROM v_halo WHERE part IN (0, 1)"))
-add("adjacency_lists", lambda w: w.edges.groupBy(F.col("dst").alias("vid")).agg(F.sort_array(F.collect_set("src")).alias("a")).select("vid", F.size("a").cast("long").alias("n"), F.md5(F.array_join(F.transform("a", lambda x: x.cast("string")), ",")).alias("digest")), sql("SELECT dst AS vid, count(*) AS n, md5(string_agg(CAST(src AS VARCHAR), ',' ORDER BY src)) AS digest FROM v_edges GROUP BY dst"))
+BLOCK = 1000  # neighbours in one row, however many a hub has
+add(
+    "adjacency_lists",
+    lambda w: w.edges.withColumn("block", F.floor((F.row_number().over(Window.partitionBy("dst").orderBy("src")) - 1) / BLOCK)).groupBy(F.col("dst").alias("vid"), "block").agg(F.sort_array(F.collect_list("src")).alias("a")).select("vid", "block", F.size("a").cast("long").alias("n"), F.md5(F.array_join(F.transform("a", lambda x: x.cast("string")), ",")).alias("digest")),
+    sql(f"SELECT dst AS vid, block, count(*) AS n, md5(string_agg(CAST(src AS VARCHAR), ',' ORDER BY src)) AS digest FROM (SELECT dst, src, CAST(floor((row_number() OVER (PARTITION BY dst ORDER BY src) - 1) / {BLOCK}) AS BIGINT) AS block FROM v_edges) GROUP BY dst, block"),
+)
 add(
-    "array_mean_rows", lambda w: flat(w.features.groupBy(F.pmod("vid", F.lit(100)).alias("vid")).agg(F.collect_list("x").alias("r")).select("vid", F.transform(F.sequence(F.lit(0), F.lit(W - 1)), lambda k: F.aggregate("r", F.lit(0.0), lambda s, x: s + F.get(x, k)) / F.size("r")).alias("x"))),
-    sql(f"SELECT vid % 100 AS vid, {cols([f'avg(x{k})' for k in range(W)])} FROM v_x GROUP BY 1"),
+    "array_mean_rows", lambda w: flat(w.features.groupBy(F.floor(F.col("vid") / 64).alias("vid")).agg(F.collect_list("x").alias("r")).select("vid", F.transform(F.sequence(F.lit(0), F.lit(W - 1)), lambda k: F.aggregate("r", F.lit(0.0), lambda s, x: s + F.get(x, k)) / F.size("r")).alias("x"))),
+    sql(f"SELECT CAST(floor(vid / 64) AS BIGINT) AS vid, {cols([f'avg(x{k})' for k in range(W)])} FROM v_x GROUP BY 1"),
 )
 
 # --- user-defined functions ------------------------------------------------------------------------------------------------------------
@@ -181,10 +191,4 @@ from .sql import hits as _hits  # noqa: E402 - beside its only use
 
 add("stream_cache_hits", lambda w: stream_hits(w, replace(ORACLE, cs=40)), sql(f"SELECT rank, it, layer, vid, hit, version_it FROM ({_hits(cs=40)})"))
 add("stream_cache_tight", lambda w: stream_hits(w, TIGHT), sql(f"SELECT rank, it, layer, vid, hit, version_it FROM ({_hits('v_tight_push', 50, 3, 2)})"))
-add("layers_kernel_weights", lambda w: flat(layers.update(w.features, *_identity()), W), sql(f"SELECT vid, {cols([f'greatest(x{k}, 0)' for k in range(W)])} FROM v_x"))
-
-
-def _identity():
-    import numpy as np
-
-    return np.eye(W), np.zeros(W)
+add("stream_clock", lambda w: stream.ticked(stream.clock(w.spark, 5, 4), 4), "SELECT CAST(i AS BIGINT) AS tick, CAST(floor(i / 5) AS BIGINT) AS it FROM range(20) a(i)")

@@ -21,6 +21,8 @@ class Workload:
 
     def __init__(self, spark: SparkSession, sf_dir: str, P: int = 4, sample: SampleConfig = SampleConfig((3, 3, 3), 64), spec: CacheSpec = ORACLE, train_share: float = 0.3, width: int = 4) -> None:
         self.spark, self.sf_dir, self.P, self.sample, self.spec, self.train_share, self.width = spark, sf_dir, P, sample, spec, train_share, width
+        self.runs: dict = {}
+        self.sample_two = SampleConfig((10, 3), 64)
 
     @cached_property
     def edges(self) -> DataFrame:

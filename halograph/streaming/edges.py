@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import threading
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -39,6 +41,26 @@ def drained(stream: DataFrame, mode: str, name: str = "stream") -> DataFrame:
     return spark.read.schema(stream.schema).parquet(path).select(*stream.columns)
 
 
+def ticked(stream: DataFrame, batches: int, name: str = "ticks", seconds: float = 120) -> DataFrame:
+    """The first so many micro-batches of a stream that never ends."""
+    spark = stream.sparkSession
+    path, check, done = fresh_path(spark, name), fresh_path(spark, f"{name}-checkpoint"), threading.Event()
+
+    def write(df: DataFrame, batch: int) -> None:
+        if batch < batches:
+            df.write.mode("overwrite").parquet(f"{path}/batch={batch}")
+        else:
+            done.set()
+
+    query = stream.writeStream.foreachBatch(write).option("checkpointLocation", check).start()
+    try:
+        if not done.wait(seconds):
+            raise TimeoutError("the stream gave too few batches")
+    finally:
+        query.stop()
+    return spark.read.schema(stream.schema).parquet(path).select(*stream.columns)
+
+
 def tumbling(stream: DataFrame, length: str = "1 hour") -> DataFrame:
     return stream.groupBy(F.window("at", length).alias("w"), "event_type").agg(F.count("*").alias("n")).select(F.unix_seconds("w.start").alias("start"), "event_type", "n")
 
@@ -57,8 +79,16 @@ def late_edges(stream: DataFrame, delay: str = "1 hour", length: str = "1 hour")
     return stream.withWatermark("at", delay).groupBy(F.window("at", length).alias("w")).agg(F.count("*").alias("n")).select(F.unix_seconds("w.start").alias("start"), "n")
 
 
-def distinct_edges(stream: DataFrame) -> DataFrame:
-    return stream.where("key IS NOT NULL").select(F.col("user_id").alias("src"), F.col("key").alias("dst")).dropDuplicates(["src", "dst"])
+def distinct_edges(stream: DataFrame, within: str = "400 days") -> DataFrame:
+    """Edges that did not come in the time `within` before. State of older ones is dropped as the watermark passes."""
+    edges = stream.where("key IS NOT NULL").select("at", F.col("user_id").alias("src"), F.col("key").alias("dst"))
+    return edges.withWatermark("at", within).dropDuplicatesWithinWatermark(["src", "dst"]).select("src", "dst")
+
+
+def clock(spark: SparkSession, rows: int, batches: int) -> DataFrame:
+    """(tick, it): the iteration as a micro-batch clock of so many rows a batch, for so many batches."""
+    ticks = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", rows).option("numPartitions", 1).load()
+    return ticks.where(F.col("value") < rows * batches).select(F.col("value").alias("tick"), F.floor(F.col("value") / rows).alias("it"))
 
 
 def edge_parts(stream: DataFrame, parts: DataFrame) -> DataFrame:

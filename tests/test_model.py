@@ -1,16 +1,27 @@
 """Kernels, gradients, engines, limiting cases and convergence."""
 
+import os
+import sys
+import threading
+from dataclasses import dataclass, replace
+
 import numpy as np
+import pyarrow as pa
 import pytest
+from pyspark import cloudpickle
+from pyspark.sql import functions as F
 
+from halograph import measures
 from halograph.model import kernels
 from halograph.model.layers import Block, GatLayer, SageLayer, cross_entropy
 from halograph.model.network import Adam, ModelSpec, Sgd, backward, load, pack, rate_for, save, unpack
-from halograph.operators import graph, layers, partition
+from halograph.operators import cache, graph, layers, partition, sampling
 from halograph.operators.cache import CacheSpec
 from halograph.operators.labels import planted
-from halograph.plans.epoch import Partitioned, SampleConfig
-from halograph.plans.infer import WholeGraph, full
+from halograph.plans.epoch import Partitioned, SampleConfig, plan_epoch
+from halograph.plans.infer import WholeGraph, full, sampled
+from halograph.plans.peers import PUSH, Peers
+from halograph.plans.rank import PARTS, RankEpoch, drive
 from halograph.plans.training import TrainConfig, train
 from halograph.session import fresh_path, stage
 
@@ -33,7 +44,8 @@ def numeric(f, x, eps=1e-6):
 
 
 LAYERS = {f"sage-{op}": lambda p, op=op: SageLayer(p, "l", op) for op in ("mean", "sum", "gcn")} | {
-    f"gat-{'new' if pre else 'old'}-{h}-{c}": lambda p, pre=pre, h=h, c=c: GatLayer(p, "l", h, pre, combine=c) for pre in (True, False) for h in (1, 4) for c in ("concat", "mean")
+    f"gat-{'new' if pre else 'old'}-{h}-{c}-{op}": lambda p, pre=pre, h=h, c=c, op=op: GatLayer(p, "l", h, pre, combine=c, op=op)
+    for pre in (True, False) for h in (1, 4) for c in ("concat", "mean") for op in ("sum", "gcn")
 }
 
 
@@ -88,7 +100,7 @@ def test_kernels_agree():
 def test_sql_layers_equal_kernels(spark):
     n, width = 12, 4
     x = RNG.integers(-8, 8, (n, width)) / 16
-    src, dst = RNG.integers(0, n, 60), np.concatenate([np.arange(n), RNG.integers(0, n, 48)])
+    src, dst = RNG.integers(0, n, 60), RNG.integers(0, n - 3, 60)  # three vertices have no sources
     src, dst = np.unique(np.stack([src, dst]), axis=1)
     rows = spark.createDataFrame([(i, x[i].tolist()) for i in range(n)], "vid long, x array<double>")
     edges = spark.createDataFrame([(int(a), int(b), 1) for a, b in zip(src, dst)], "src long, dst long, w long")
@@ -100,8 +112,9 @@ def test_sql_layers_equal_kernels(spark):
     g = {k: RNG.normal(size=s) for k, s in GatLayer.shapes(4, 4, 2).items()}
     for pre in (True, False):
         for combine in ("concat", "mean"):
-            got = of(layers.gat(edges, rows, g, 2, pre, combine))
-            assert np.allclose(got, GatLayer({f"l.{k}": v for k, v in g.items()}, "l", 2, pre, combine=combine).forward(block, x))
+            for op in ("sum", "gcn"):
+                got = of(layers.gat(edges, rows, g, 2, pre, combine, op))
+                assert len(got) == n and np.allclose(got, GatLayer({f"l.{k}": v for k, v in g.items()}, "l", 2, pre, combine=combine, op=op).forward(block, x))
 
 
 @pytest.fixture(scope="module")
@@ -119,7 +132,7 @@ def task(spark):
 def run(task, mode="push", P=2, engine="local", epochs=2, spec=CacheSpec(cs=400, ls=2, nc=64, d=1), kind="sage", dropout=0.0, **more):
     edges, v, x, y, whole, test = task
     pg = Partitioned.build(edges, partition.by_hash(v, P), P)
-    cfg = TrainConfig(ModelSpec(kind, (16, 16, 6), dropout=dropout), SampleConfig((10, 3), 16), spec, mode, epochs, rate=0.01, engine=engine, **more)
+    cfg = TrainConfig(ModelSpec(kind, (16, 16, 6), dropout=dropout), SampleConfig((10, 3), 16), spec, mode, epochs, rate=0.01, engine=engine, **({"dtype": "f8"} | more))
     return train(pg, x, y, cfg, evaluate=lambda p: whole.accuracy(cfg.model, p, test.vid.to_numpy(), test.label.to_numpy())), cfg
 
 
@@ -133,6 +146,159 @@ def test_engines_take_the_same_steps(task):
     assert same(a, run(task, engine="barrier", dropout=0.2)[0], 1e-9)
     assert same(a, run(task, engine="step", dropout=0.2)[0], 1e-6)
     assert same(a, run(task, dropout=0.2, prefetch=True)[0], 0)
+    assert same(a, run(task, dropout=0.2, used_only=False)[0], 0)
+    assert same(a, run(task, dropout=0.2, dtype="f4")[0], 1e-3) and not same(a, run(task, dropout=0.2, dtype="f4")[0])
+
+
+def test_three_ranks_and_longer_delays(task):
+    spec = CacheSpec(cs=100, ls=3, nc=16, d=2)
+    a = run(task, P=3, spec=spec)[0]
+    b, cfg = run(task, P=3, spec=spec, engine="barrier")
+    assert same(a, b, 1e-9)
+    rows = b.times.toPandas()
+    assert set(rows.part) == set(PARTS) and set(rows["rank"]) == {0, 1, 2} and (rows.seconds >= 0).all()
+    assert rows.groupby(["epoch", "it"]).size().eq(3 * len(PARTS)).all()
+    parts = {(r.epoch, r.part): r.seconds for r in measures.epoch_parts(b.times).collect()}
+    step = rows.groupby(["epoch", "it", "part"]).seconds.agg(["max", "min"]).reset_index()
+    for (e, part), seconds in parts.items():
+        mine = step[(step.epoch == e) & (step.part == part)]
+        assert abs(seconds - mine["min" if part == "allreduce" else "max"].sum()) < 1e-6
+    four = {(r.epoch, r.part): r.seconds for r in measures.forward_with_remote(measures.epoch_parts(b.times)).collect()}
+    assert abs(four[0, "forward"] - sum(parts[0, p] for p in ("pre", "wait", "post", "forward"))) < 1e-6
+    hidden = {r.epoch: r for r in measures.overlap(b.times).collect()}
+    assert abs(hidden[0].send - rows[(rows.epoch == 0) & (rows.part == "send")].seconds.sum()) < 1e-6 and 0 <= hidden[0].hidden <= 1
+    assert all(r.imbalance >= 0 for r in measures.time_imbalance(b.times).collect())
+
+
+def test_without_delay_rows_are_fresh(task):
+    """d = 0: all engines agree, and a halo that is hit has this iteration's row."""
+    spec = CacheSpec(cs=None, ls=0, nc=None, d=0)
+    a = run(task, spec=spec)[0]
+    assert same(a, run(task, spec=spec, engine="barrier")[0], 1e-9)
+    assert same(a, run(task, spec=spec, engine="step")[0], 1e-6)
+    assert not same(a, run(task, spec=replace(spec, d=1, ls=1))[0])
+    assert a.plans[0].hit_plan.where("hit AND version_it <> it").count() == 0
+
+
+@dataclass(frozen=True)
+class FailsOnce(ModelSpec):
+    """Fails in the third iteration of one rank, until a file is there."""
+
+    marker: str = ""
+
+    def apply(self, p, k, block, rows, context, ids):
+        if context and context[-1] == 2 and len(ids) % 2 == 0 and not os.path.exists(self.marker):
+            open(self.marker, "w").close()
+            raise RuntimeError("lost")
+        return super().apply(p, k, block, rows, context, ids)
+
+
+def test_an_epoch_runs_again_when_a_task_fails(task, tmp_path):
+    cloudpickle.register_pickle_by_value(sys.modules[__name__])
+    edges, v, x, y, *_ = task
+    pg = Partitioned.build(edges, partition.by_hash(v, 2), 2)
+    out = []
+    for marker in (tmp_path / "first", tmp_path / "first"):
+        model = FailsOnce("sage", (16, 16, 6), dropout=0.0, marker=str(marker))
+        out.append(train(pg, x, y, TrainConfig(model, SampleConfig((5, 3), 16), CacheSpec(cs=400, ls=2, nc=64, d=1), "push", 1, rate=0.01, engine="barrier", dtype="f8")))
+    assert (tmp_path / "first").exists() and same(*out, 1e-9)
+
+
+def test_what_a_miss_can_do(task):
+    base = CacheSpec(cs=50, ls=1, nc=16, d=1)
+    runs = {m: run(task, spec=replace(base, on_miss=m))[0] for m in ("drop", "zero", "stale", "pull")}
+    assert all(not same(runs[a], runs[b]) for a in runs for b in runs if a < b)
+    edges = {m: r.plans[0].exec_blocks.count() for m, r in runs.items()}
+    blocks = runs["drop"].plans[0].blocks.count()
+    assert edges["drop"] < edges["stale"] < edges["zero"] == blocks and edges["drop"] < edges["pull"] <= blocks
+    for m in ("zero", "stale", "pull"):
+        assert same(runs[m], run(task, spec=replace(base, on_miss=m), engine="barrier")[0], 1e-9)
+
+
+def test_caches_that_are_emptied_and_rounds_that_end_with_the_first_rank(task):
+    spec = CacheSpec(cs=400, ls=4, nc=64, d=1)
+    kept, emptied = run(task, spec=spec)[0], run(task, spec=spec, reset=True)[0]
+    assert not same(kept, emptied)
+    first = emptied.plans[1].hit_plan.where("hit AND version_it < 0").count()
+    assert first == 0 and kept.plans[1].hit_plan.where("hit AND version_it < 0").count() > 0
+    assert same(emptied, run(task, spec=spec, reset=True, engine="barrier")[0], 1e-9)
+    assert same(kept, run(task, spec=spec, engine="step")[0], 1e-6)
+    edges, v, x, y, *_ = task
+    pg = Partitioned.build(edges, partition.by_range(v, 3), 3)
+    most, least = (plan_epoch(pg, y, SampleConfig((3, 3), 16, pad=pad), spec) for pad in ("max", "min"))
+    per = [r.n for r in most.seeds.groupBy("rank").agg(F.max("it").alias("n")).collect()]
+    assert most.rounds == max(per) + 1 and least.rounds == min(per) + 1 and least.seeds.where(f"it > {min(per)}").count() == 0
+
+
+def test_lives_by_layer_and_by_epoch(task):
+    edges, v, x, y, *_ = task
+    pg = Partitioned.build(edges, partition.by_hash(v, 2), 2)
+    spec = CacheSpec(cs=None, ls=2, nc=32, d=1)
+    plan = plan_epoch(pg, y, SampleConfig((3, 3), 8), spec)
+    rate = lambda s: {r.layer: r.hits for r in measures.hit_rate(cache.residency(cache.demand(plan.frontier), plan.push_plan, s, plan.rounds)).collect()}
+    two, zero, ever = rate(spec), rate(replace(spec, ls=0)), rate(replace(spec, ls=None))
+    assert rate(replace(spec, ls=(None, 0))) == {0: ever[0], 1: zero[1]} and rate(replace(spec, ls=(0, 2))) == {0: zero[0], 1: two[1]}
+    assert rate(replace(spec, ls=(None, 2), cs=10**6)) == {0: ever[0], 1: two[1]}
+    assert rate(replace(spec, ls=0, clock="epoch")) == ever == rate(replace(spec, ls=0, clock="epoch", cs=10**6))
+
+
+def test_ids_are_whole_numbers_of_64_bits():
+    big = 2**53
+    rows = [(0, "f", 0, 1, big + 1, None, None), (0, "f", 0, 0, big + 1, None, None), (0, "f", 0, 0, big, None, None), (0, "e", 0, 0, big, big + 1, None)]
+    rows += [(0, "x", None, None, big + k, None, [float(k), 1.0]) for k in (0, 1)] + [(0, "y", None, None, big + 1, 1, None)]
+    kinds = (pa.int32(), pa.string(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.list_(pa.float32()))
+    t = pa.table([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=["rank", "tag", "it", "layer", "a", "b", "row"])
+    rank = RankEpoch(t, ModelSpec("sage", (2, 3), dropout=0.0), 0)
+    assert rank.x_ids.tolist() == [big, big + 1] and rank.features_of(np.array([big + 1])).tolist() == [[1.0, 1.0]]
+    grads, m = drive(rank.steps(ModelSpec("sage", (2, 3)).init(1), 0), lambda k, sends: None)
+    assert m["edges"] == 1 and m["seeds"] == 1
+
+
+def test_peers_add_up_and_fail_together():
+    for n in (1, 2, 3, 5, 8):
+        ports: dict[int, str] = {}
+        ready = threading.Barrier(n)
+        out = {}
+
+        def gather(me, s):
+            ports[me] = s
+            ready.wait(20)
+            return [ports[k] for k in range(n)]
+
+        def go(me):
+            p = Peers(me, ["127.0.0.1"] * n, lambda s: gather(me, s), b"0" * 16)
+            for it in range(3):
+                for o in range(n):
+                    if o != me:
+                        p.push(o, it, 0, np.array([me]), np.full((1, 2), me + it, np.float32))
+                got = [p.get(PUSH, it, 0, o)[1].tolist() for o in range(n) if o != me]
+                total, counts = p.allreduce(it, np.array([1.0, me]), np.array([me]))
+                out[me, it] = (got, total.tolist(), counts.tolist())
+            ready.wait(20)
+            p.close()
+
+        threads = [threading.Thread(target=go, args=(k,)) for k in range(n)]
+        for t in threads:
+            t.start()
+        for t in threads:
+            t.join(60)
+        for me in range(n):
+            for it in range(3):
+                assert out[me, it] == ([[[o + it] * 2] for o in range(n) if o != me], [n, n * (n - 1) / 2], [n * (n - 1) // 2])
+
+
+def test_a_hop_leaves_the_edges_where_they_are(spark, task):
+    edges, v, x, y, *_ = task
+    pg = Partitioned.build(edges, partition.by_hash(v, 2), 2)
+    seeds = sampling.minibatches(y, pg.parts, 16)
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        plan = sampling.hop(stage(seeds), pg.placed, 3, 1)._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+        spark.conf.unset("spark.sql.adaptive.enabled")
+    assert plan.count("Exchange") == 1 and "WindowGroupLimit" in plan, plan
 
 
 def test_limiting_cases(task):
@@ -162,12 +328,24 @@ def test_inference_over_whole_neighbourhoods(task):
         assert np.allclose(got, whole.logits(spec, p)[0])
 
 
+def test_inference_by_samples(task):
+    """With fan-outs above every degree, sampled inference is inference over whole neighbourhoods."""
+    edges, v, x, y, whole, _ = task
+    pg = Partitioned.build(edges, partition.by_hash(v, 2), 2)
+    for kind in ("sage", "gat"):
+        spec = ModelSpec(kind, (16, 8, 6), dropout=0.0)
+        p = spec.init(2)
+        got = {r.vid: r.logits for r in sampled(pg, v, x, spec, p, SampleConfig((1000, 1000), 40)).collect()}
+        want = whole.logits(spec, p)[0]
+        assert len(got) == len(whole.ids) and all(np.allclose(got[i], want[k], atol=1e-4) for k, i in enumerate(whole.ids.tolist()))
+
+
 def test_wide_samples_on_one_rank_are_full_batch(task):
     """With a fan-out above every degree and one minibatch, a step's gradient is that of the full batch."""
     edges, v, x, y, whole, _ = task
     pg = Partitioned.build(edges, partition.by_hash(v, 1), 1)
     model = ModelSpec("sage", (16, 8, 6), dropout=0.0)
-    cfg = TrainConfig(model, SampleConfig((1000, 1000), 10_000), CacheSpec(), "push", 1, "sgd", 0.1)
+    cfg = TrainConfig(model, SampleConfig((1000, 1000), 10_000), CacheSpec(), "push", 1, "sgd", 0.1, engine="local", dtype="f8")
     got = train(pg, x, y, cfg).params
     labels = y.toPandas()
     want, _ = whole.train(model, labels.vid.to_numpy(), labels.label.to_numpy(), 1, Sgd(0.1), seed=1)
