@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import fresh_path, shared_dir, stage  # noqa: F401 - for the operators
@@ -14,6 +14,13 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     return stage(df, f"llm-{name}")
 
 
+def observed(df: DataFrame, name: str, **measures: Column) -> tuple[DataFrame, dict]:
+    """materialise(), with measures of all rows that are taken while they are written, in no job of their own."""
+    got = Observation()
+    out = materialise(df.observe(got, *[c.alias(n) for n, c in measures.items()]), name)
+    return out, got.get
+
+
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
     """Bind value once and use it many times in body. A plain column used inside a lambda is computed again for every element."""
     return F.transform(F.array(value), body)[0]

@@ -2,12 +2,18 @@
 
 Images are columns of bytes (grey or RGB PNG, or binary PGM). Each is searched for Harris corners on several scales; a corner gets an
 orientation from the centroid of its patch, and TESTS comparisons of points of the rotated patch as a binary descriptor. Descriptors are
-cut into CHUNKS parts; two that differ in fewer bits than there are chunks agree in one whole chunk, so joining the chunk tables finds
-all pairs within RADIUS bits, and no others are needed. Matches of two images vote for a rotation, a scale and a shift; images are linked
-where MIN_VOTES different corners agree. Classes are the components of the links.
+cut into blocks; two within RADIUS bits agree in all but RADIUS of them, so tables keyed by every choice of the others find all such
+pairs. How many blocks there are, and so how wide a key is, follows from the number of corners: chance agreements stay few however many
+images there are. Corners that match propose pairs of images; a pair's matches then vote for a rotation, a scale and a shift, and images
+are linked where MIN_VOTES different corners agree. Classes are the components of the links.
+
+Pairs are proposed twice. First each corner's image is paired with the one of the smallest id under the same key, so copies of one
+image find each other in as many steps as there are copies. Then images of different classes are paired, from all corners but the
+MIN_VOTES - 1 whose keys are the most crowded in an image: images that share MIN_VOTES matches share one of the others, and what very
+many images have in common, such as a frame's corners, proposes nothing by itself.
 
 Images with equal bytes are one image in the joins, however many there are. Null or unreadable images have no corners and are classes of
-their own (equal ones share it). Repeated ids keep their rows; an empty table gives an empty result.
+their own (equal ones share it). Repeated ids keep their rows; an empty table gives an empty result; other columns are left out.
 """
 
 from __future__ import annotations
@@ -16,10 +22,11 @@ import struct
 import zlib
 from collections import defaultdict
 from collections.abc import Iterator
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..session import ship_package
@@ -30,7 +37,7 @@ SCALES = (1.0, 0.75, 0.5)
 PATCH = 8
 MARGIN = PATCH + 2
 ANGLES = 24
-TESTS, CHUNKS, RADIUS = 128, 5, 4
+TESTS, RADIUS = 128, 4
 #: corners per scale: one for so many pixels inside the margin
 PIXELS_PER_CORNER = 36
 MIN_VOTES = 4
@@ -216,47 +223,124 @@ def features(images: DataFrame) -> DataFrame:
 # --- joins and consensus --------------------------------------------------------------------------------------------------------
 
 
-def chunk_tables(points: DataFrame) -> DataFrame:
-    """Each descriptor once for each chunk of its bits."""
-    cut = lambda word, low, n: F.shiftrightunsigned(word, low).bitwiseAND(F.lit((1 << n) - 1))
-    middle = cut("d0", 52, 12) + F.shiftleft(cut("d1", 0, 14), 12)
-    chunks = (cut("d0", 0, 26), cut("d0", 26, 26), middle, cut("d1", 14, 25), cut("d1", 39, 25))
-    return points.select("*", F.posexplode(F.array(*chunks)).alias("chunk", "part"))
-
-
-def matches(points: DataFrame, least: int = 1) -> DataFrame:
-    """Pairs of corners of different images whose descriptors differ in at most RADIUS bits, for image pairs with at least so many: (id_a,
-    id_b, m: set of corner_a, corner_b, places, levels and angles). Pairs that several chunks find are one in the set; an image pair's
-    set is bounded by the corners of two images."""
-    t = chunk_tables(points)
-    names = ("corner", "y", "x", "level", "angle")
-    a, b = (t.select("chunk", "part", *[F.col(c).alias(f"{c}_{s}") for c in ("id", *names, "d0", "d1")]) for s in "ab")
-    near = F.bit_count(F.col("d0_a").bitwiseXOR(F.col("d0_b"))) + F.bit_count(F.col("d1_a").bitwiseXOR(F.col("d1_b"))) <= RADIUS
-    found = a.join(b, ["chunk", "part"]).where((F.col("id_a") < F.col("id_b")) & near)
-    sets = found.groupBy("id_a", "id_b").agg(F.collect_set(F.struct(*[f"{c}_{s}" for s in "ab" for c in names])).alias("m"))
-    return sets.where(F.size("m") >= least)
-
-
-def consensus(found: DataFrame, votes: int = MIN_VOTES) -> DataFrame:
-    """Image pairs (u, v) whose matches agree on a rotation, a scale and a shift. Bins overlap, so no agreement is cut by an edge. Votes
-    are counted where an image pair's matches already are; nothing is exchanged again."""
-    one = found.select("id_a", "id_b", F.explode("m").alias("m")).select("id_a", "id_b", "m.*")
-    size = F.array(*[F.lit(s) for s in SCALES])
-    scale = F.get(size, F.col("level_a")) / F.get(size, F.col("level_b"))  # pixels of b for one of a
-    turn = F.pmod(F.col("angle_b") - F.col("angle_a"), F.lit(ANGLES))
-    c, s = F.cos(turn * (2 * np.pi / ANGLES)) * scale, F.sin(turn * (2 * np.pi / ANGLES)) * scale
-    dy, dx = F.col("y_b") - (c * F.col("y_a") + s * F.col("x_a")), F.col("x_b") - (c * F.col("x_a") - s * F.col("y_a"))
-    half = [(i, j, k) for i in (0, 1) for j in (0, 1) for k in (0, 1)]
-    bins = F.explode(F.array(*[
-        F.struct(
-            F.lit(4 * i + 2 * j + k).alias("grid"), F.floor(dy / (2 * SHIFT_BIN) + 0.5 * i).alias("by"), F.floor(dx / (2 * SHIFT_BIN) + 0.5 * j).alias("bx"),
-            F.floor(F.pmod(turn + ANGLE_BIN * k, F.lit(ANGLES)) / (2 * ANGLE_BIN)).alias("bt"),
-        )
-        for i, j, k in half
-    ]))
-    ballots = one.select("id_a", "id_b", "corner_a", "corner_b", F.round(F.log2(scale) * 2).cast("int").alias("bs"), bins.alias("bin"))
-    tally = ballots.groupBy("id_a", "id_b", "bin", "bs").agg(F.size(F.collect_set("corner_a")).alias("n_a"), F.size(F.collect_set("corner_b")).alias("n_b"))
-    return tally.where(F.least("n_a", "n_b") >= votes).select(F.col("id_a").alias("u"), F.col("id_b").alias("v")).distinct()
+def n_blocks(corners: int) -> int:
+    """Blocks of a descriptor: RADIUS of them may differ, and the others must be wide enough for chance agreements to stay few."""
+    blocks = RADIUS + 1
+    while TESTS * (blocks - RADIUS) // blocks < np.log2(max(2, corners)) and blocks < 2 * RADIUS:
+        blocks += 1
+    return blocks
+
+
+def _bits(low: int, high: int) -> Column:
+    """Bits low to high of a descriptor, as a number."""
+
+    def cut(word: str, a: int, b: int) -> Column:
+        return F.shiftrightunsigned(word, a).bitwiseAND(F.lit((1 << (b - a)) - 1).cast("long"))
+
+    if high <= 64:
+        return cut("d0", low, high)
+    if low >= 64:
+        return cut("d1", low - 64, high - 64)
+    return F.shiftleft(cut("d1", 0, high - 64), 64 - low) + cut("d0", low, 64)
+
+
+def keyed(points: DataFrame, blocks: int) -> DataFrame:
+    """Each descriptor under every key: a choice of blocks, and a hash of what stands there (one block's bits are their own)."""
+    edges = [TESTS * k // blocks for k in range(blocks + 1)]
+    part = [_bits(a, b) for a, b in zip(edges[:-1], edges[1:], strict=True)]
+    choices = list(combinations(range(blocks), blocks - RADIUS))
+    values = [part[c[0]] if len(c) == 1 else F.xxhash64(*[part[k] for k in c]) for c in choices]
+    return points.select("id", "corner", "d0", "d1", F.posexplode(F.array(*values)).alias("choice", "value"))
+
+
+def _near(a: str, b: str) -> Column:
+    return F.bit_count(F.col(f"{a}0").bitwiseXOR(F.col(f"{b}0"))) + F.bit_count(F.col(f"{a}1").bitwiseXOR(F.col(f"{b}1"))) <= RADIUS
+
+
+def with_smallest(keys: DataFrame) -> DataFrame:
+    """Pairs (u, v) of images whose corners match, v the smallest id under a key."""
+    w = Window.partitionBy("choice", "value").orderBy("id", "corner")
+    first = lambda c: F.first(c).over(w)
+    rows = keys.select("id", "d0", "d1", first("id").alias("v"), first("d0").alias("e0"), first("d1").alias("e1"))
+    return rows.where((F.col("id") != F.col("v")) & _near("d", "e")).select(F.col("id").alias("u"), "v").distinct()
+
+
+def between_classes(keys: DataFrame, classes: DataFrame) -> DataFrame:
+    """Pairs (u, v) of images of different classes whose corners match, the smaller one's not among its most crowded."""
+    key = ["choice", "value"]
+    crowd = keys.groupBy(*key).agg(F.count("*").alias("crowd"))
+    k = keys.join(classes, "id").join(crowd, key)
+    mixed = k.groupBy(*key).agg(F.min("class").alias("lo"), F.max("class").alias("hi")).where("lo <> hi").select(*key)
+    heat = k.groupBy("id", "corner").agg(F.max("crowd").alias("heat"))
+    rank = F.row_number().over(Window.partitionBy("id").orderBy(F.desc("heat"), "corner"))
+    cool = heat.withColumn("r", rank).where(F.col("r") >= MIN_VOTES).select("id", "corner")
+    right = materialise(k.join(mixed, key, "left_semi").select(*key, "class", "id", "corner", "d0", "d1"), "mixed")
+    left = right.join(cool, ["id", "corner"], "left_semi")
+    sides = [df.select(*key, F.col("class").alias(f"class_{s}")).distinct() for df, s in ((left, "a"), (right, "b"))]
+    apart = sides[0].join(sides[1], key).where("class_a <> class_b")
+    a, b = (df.select(*key, F.col("class").alias(f"class_{s}"), F.col("id").alias(f"id_{s}"), F.col("d0").alias(f"{s}0"), F.col("d1").alias(f"{s}1")) for df, s in ((left, "a"), (right, "b")))
+    found = apart.join(a, [*key, "class_a"]).join(b, [*key, "class_b"]).where((F.col("id_a") < F.col("id_b")) & _near("a", "b"))
+    return found.select(F.col("id_b").alias("u"), F.col("id_a").alias("v")).distinct()
+
+
+_PACKED = np.dtype([("y", "<f4"), ("x", "<f4"), ("level", "<i4"), ("angle", "<i4"), ("d0", "<u8"), ("d1", "<u8")])
+
+
+def packed(points: DataFrame) -> DataFrame:
+    """(id, corners): all corners of an image in one value of bytes; their number is bounded by the image's size."""
+
+    def run(t: pa.Table) -> pa.Table:
+        out = np.zeros(t.num_rows, _PACKED)
+        for name in _PACKED.names:
+            column = t.column(name).to_numpy()
+            out[name] = column.view(np.uint64) if name in ("d0", "d1") else column
+        return pa.table({"id": t.column("id").slice(0, 1), "corners": pa.array([out[np.argsort(t.column("corner").to_numpy())].tobytes()], pa.binary())})
+
+    return points.groupBy("id").applyInArrow(run, "id long, corners binary")
+
+
+def votes(a: np.ndarray, b: np.ndarray) -> int:
+    """How many different corners of both images agree on one rotation, scale and shift. Bins overlap, so no agreement is cut by an
+    edge."""
+    i, j = np.nonzero(np.bitwise_count(a["d0"][:, None] ^ b["d0"]) + np.bitwise_count(a["d1"][:, None] ^ b["d1"]) <= RADIUS)
+    if min(len(np.unique(i)), len(np.unique(j))) < MIN_VOTES:
+        return min(len(np.unique(i)), len(np.unique(j)))
+    p, q, size = a[i], b[j], np.array(SCALES)
+    scale = size[p["level"]] / size[q["level"]]  # pixels of b for one of a
+    turn = (q["angle"] - p["angle"]) % ANGLES
+    c, s = np.cos(2 * np.pi * turn / ANGLES) * scale, np.sin(2 * np.pi * turn / ANGLES) * scale
+    dy, dx = q["y"] - (c * p["y"] + s * p["x"]), q["x"] - (c * p["x"] - s * p["y"])
+    zoom = np.round(np.log2(scale) * 2)
+    best = 0
+    for n in range(8):
+        bins = np.stack([np.floor(dy / (2 * SHIFT_BIN) + 0.5 * (n & 1)), np.floor(dx / (2 * SHIFT_BIN) + 0.5 * (n >> 1 & 1)), (turn + ANGLE_BIN * (n >> 2)) % ANGLES // (2 * ANGLE_BIN), zoom])
+        _, which = np.unique(bins, axis=1, return_inverse=True)
+        which = which.ravel()
+        ends = [np.bincount(np.unique(np.stack([which, x]), axis=1)[0]) for x in (i, j)]
+        best = max(best, int(np.minimum(*ends).max()))
+    return best
+
+
+def consensus(pairs: DataFrame, corners: DataFrame, least: int = MIN_VOTES) -> DataFrame:
+    """Of the pairs (u, v) those whose corners agree."""
+    joined = pairs.join(corners.select(F.col("id").alias("u"), F.col("corners").alias("a")), "u").join(corners.select(F.col("id").alias("v"), F.col("corners").alias("b")), "v")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            of = lambda k: [np.frombuffer(x, _PACKED) for x in batch.column(k).to_pylist()]
+            good = pa.array([votes(a, b) >= least for a, b in zip(of(2), of(3), strict=True)], pa.bool_())
+            yield pa.record_batch([batch.column(0).filter(good), batch.column(1).filter(good)], names=["u", "v"])
+
+    return joined.select("u", "v", "a", "b").mapInArrow(run, "u long, v long")
+
+
+def linked(points: DataFrame) -> DataFrame:
+    """Links (u, v) that join all images whose corners agree, from a table of FEATURES."""
+    corners = materialise(packed(points), "packed")
+    keys = materialise(keyed(points, n_blocks(points.count())), "keys")
+    near = materialise(consensus(with_smallest(keys), corners), "near")
+    classes = corners.select("id").join(components(near).withColumnRenamed("u", "id"), "id", "left").select("id", F.coalesce("root", "id").alias("class"))
+    return near.union(consensus(between_classes(keys, materialise(classes, "by-smallest")), corners))
 
 
 def copy_classes(images: DataFrame) -> DataFrame:
@@ -266,14 +350,14 @@ def copy_classes(images: DataFrame) -> DataFrame:
     distinct = materialise(rows.groupBy("sha").agg(F.min("id").alias("rep")), "reps")
     some = hashed.join(distinct, "sha").where("id = rep").select("id", "image")
     points = materialise(features(some), "corners")
-    stars = components(consensus(matches(points, MIN_VOTES)))
+    stars = components(linked(points))
     rooted = materialise(distinct.join(stars, distinct["rep"] == stars["u"], "left").select("sha", F.coalesce("root", "rep").alias("class_id")), "classes")
     return rows.join(rooted, "sha").select("id", "class_id")
 
 
 # --- images for the given tables, which hold none ---------------------------------------------------------------------------------
 
-SIDE = 64
+SIDE, GRID = 64, 24
 #: every so many rows also come as a cropped and as an edited copy
 COPIED_EVERY = 20
 
@@ -281,7 +365,7 @@ COPIED_EVERY = 20
 def render(vector: bytes) -> np.ndarray:
     """A grey texture that depends on all of a vector's bytes."""
     rng = np.random.Generator(np.random.PCG64(zlib.crc32(vector)))
-    grid = rng.random((1, 24, 24), np.float32) * 255
+    grid = rng.random((1, GRID, GRID), np.float32) * 255
     return resize(grid, SIDE, SIDE)[0].astype(np.uint8)
 
 

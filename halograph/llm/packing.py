@@ -3,11 +3,12 @@
 Pieces are range-sorted by length over the cluster, and a piece is known by its length and its rank among those of that length. Lengths
 are whole numbers up to the sequence size, so equal documents, and equal gaps, are swept as runs (a first rank or sequence, and a count):
 a hot length is one run. Runs of documents and of gaps are dealt to RANGES ranges of sizes. In a superstep every range sweeps its own in
-ascending order, all ranges at once: a gap takes the longest free document that is not longer; which gap gets which document is
-settled by rank within the runs. Then gaps are updated: a gap that took a document goes, shorter, to the range of its new size, and one
-that found none to the next lower range that still has documents. Supersteps repeat until no gap can take anything; the longest
+ascending order, all ranges at once: a gap takes the longest free document that is not longer, and the same length again where that
+fits and is there for every gap of its run; which gap gets which document is settled by rank within the runs. Then gaps are updated: a
+gap that took a document is swept again in its range, or goes to the range of its new size, and one that found none goes to the next
+lower range that still has documents. Supersteps repeat until no gap can take anything; the longest
 documents left then open new sequences, never more at once than their tokens need. At last pieces look up their place by length and rank.
-The driver sees counts for each range, and at the end the runs of the plan, which depend on the sequence size and not on the input.
+The driver sees sums for each range, and at the end the runs of the plan, which depend on the sequence size and not on the input.
 
 Null text is an empty document, which is its closing id alone. Repeated rows are packed once each, with the doc_id that they have, null
 too. An empty table gives an empty result. Other columns of the input are left out.
@@ -29,12 +30,12 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..session import ship_package
-from .common import materialise
+from .common import materialise, observed
 
 SIZE = 2048
 END_ID = 0
 #: ranges of sizes that are swept at once
-RANGES = 16
+RANGES = 8
 LONG_SPACE = re.compile(r"\s{2000}")
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 PLACED = PIECES + ", sequence_id long, offset long"
@@ -131,33 +132,42 @@ def range_of(size: int | np.ndarray, most: int):
 
 
 def sweep(t: pa.Table, most: int) -> pa.Table:
-    """One superstep of one range."""
-    runs = sorted((r["size"], r["kind"], r["first"], r["n"]) for r in t.select(["kind", "size", "first", "n"]).to_pylist())
+    """One superstep of one range: sweeps until no gap of its own sizes is new."""
+    runs = [tuple(r.values()) for r in t.select(["size", "kind", "first", "n"]).to_pylist()]
     here = t.column("place")[0].as_py()
-    free: list[list[int]] = []  # [size, first, n], the longest last
     out: list[tuple] = []
-    for size, kind, first, n in runs:
-        if kind == FREE:
-            free.append([size, first, n])
-            continue
-        while n and free:
-            top = free[-1]
-            use = min(n, top[2])
-            out.append((PUT, top[0], top[1], use, size, first, here))
-            if size > top[0]:
-                out.append((GAP, size - top[0], first, use, None, None, range_of(size - top[0], most)))
-            top[1], top[2], first, n = top[1] + use, top[2] - use, first + use, n - use
-            if not top[2]:
-                free.pop()
-        if n:
-            out.append((GAP, size, first, n, None, None, here - 1))
+    while runs:
+        free: list[list[int]] = []  # [size, first, n], the longest last
+        again = []
+        for size, kind, first, n in sorted(runs):
+            if kind == FREE:
+                free.append([size, first, n])
+                continue
+            while n and free:
+                top = free[-1]
+                use = min(n, top[2])
+                # what is longest for a gap is longest again for what it leaves, as often as it fits and there is one for every gap
+                each = min(size // top[0], top[2] // use)
+                out += [(PUT, top[0], top[1] + k * use, use, size - k * top[0], first, here) for k in range(each)]
+                left = size - each * top[0]
+                if left and range_of(left, most) == here:
+                    again.append((left, GAP, first, use))
+                elif left:
+                    out.append((GAP, left, first, use, None, None, range_of(left, most)))
+                top[1], top[2], first, n = top[1] + each * use, top[2] - each * use, first + use, n - use
+                if not top[2]:
+                    free.pop()
+            if n:
+                out.append((GAP, size, first, n, None, None, here - 1))
+        runs = [(size, FREE, first, n) for size, first, n in free] + again if again else []
     out += [(FREE, size, first, n, None, None, here) for size, first, n in free]
     kinds = (pa.int32(), *[pa.int64()] * 5, pa.int32())
     return pa.table([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=[f.split()[0] for f in RUNS.split(", ")])
 
 
 def opened(state: DataFrame, n_sequences: int, most: int, need: int | None) -> DataFrame:
-    """The state after the `need` longest free documents (None: all that are longer than half a sequence) have begun new sequences."""
+    """The state after the `need` longest free documents (None: all that are longer than half a sequence) have begun new sequences. Gaps of
+    before go: nothing that is left fits them."""
     free = state.where(f"kind = {FREE}")  # a run for each size, so the window below has at most `most` rows
     before = F.coalesce(F.sum("n").over(Window.orderBy(F.desc("size")).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     take = F.when(F.col("size") * 2 > most, F.col("n")).otherwise(0) if need is None else F.greatest(F.lit(0), F.least(F.col("n"), F.lit(need) - F.col("before")))
@@ -168,7 +178,7 @@ def opened(state: DataFrame, n_sequences: int, most: int, need: int | None) -> D
     left = F.lit(most).cast("long") - F.col("size")
     gap = F.struct(F.lit(GAP).alias("kind"), left.alias("size"), F.col("new").alias("first"), F.when(left > 0, F.col("take")).otherwise(0).alias("n"), none.alias("gap"), none.alias("seq"), F.floor(left * RANGES / (most + 1)).cast("int").alias("place"))
     made = cut.select(F.inline(F.array(*[x.cast(f"struct<{RUNS.replace(' ', ':').replace(',:', ',')}>") for x in (rest, put, gap)]))).where("n > 0")
-    return made.unionByName(state.where(f"kind = {GAP}"))
+    return made
 
 
 def plan(lengths: DataFrame, size: int = SIZE) -> DataFrame:
@@ -179,25 +189,25 @@ def plan(lengths: DataFrame, size: int = SIZE) -> DataFrame:
     state = lengths.select(
         F.lit(FREE).alias("kind"), F.col("length").cast("long").alias("size"), F.lit(0).cast("long").alias("first"), F.col("n").cast("long").alias("n"), none.alias("gap"), none.alias("seq"), place.alias("place")
     )
-    state = materialise(opened(state, 0, size, None), "runs")
-    steps, n_sequences = [state], 0
-    fresh = True
-    while True:
-        # at most two counts for each range, and the sequences that were opened
-        counted = state.groupBy("kind", F.when(F.col("kind") == PUT, F.lit(0)).otherwise(F.col("place")).alias("place")).agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.col("size")).alias("tokens")).collect()
-        if fresh:
-            n_sequences += sum(r.n for r in counted if r.kind == PUT)
-        free = {r.place: r.tokens for r in counted if r.kind == FREE}
-        if not free:
-            break
+
+    def put(df: DataFrame) -> tuple[DataFrame, dict]:
+        """The state in shared storage, with the free tokens and the gaps of each range and the sequences or places that were given."""
+        total = lambda kind, place, c: F.sum(F.when((F.col("kind") == kind) & (F.col("place") == place), c))
+        tokens = {f"t{r}": total(FREE, r, F.col("n") * F.col("size")) for r in range(RANGES)}
+        gaps = {f"g{r}": total(GAP, r, F.col("n")) for r in range(RANGES)}
+        return observed(df, "runs", given=F.sum(F.when(F.col("kind") == PUT, F.col("n"))), **tokens, **gaps)
+
+    state, seen = put(opened(state, 0, size, None))
+    steps, n_sequences = [state], seen["given"] or 0
+    while free := {r: seen[f"t{r}"] for r in range(RANGES) if seen[f"t{r}"]}:
         target = [max((k for k in free if k <= r), default=-1) for r in range(RANGES)]
-        fresh = not any(r.kind == GAP and r.place >= 0 and target[r.place] >= 0 for r in counted)
-        if fresh:
-            state = opened(state, n_sequences, size, max(1, -(-sum(free.values()) // size)))
-        else:
+        if any(seen[f"g{r}"] and target[r] >= 0 for r in range(RANGES)):
             to = F.when(F.col("kind") == FREE, F.col("place")).when(F.col("place") >= 0, F.get(F.array(*map(F.lit, target)), F.col("place"))).otherwise(-1)
-            state = state.where(f"kind <> {PUT}").withColumn("place", to).where("place >= 0").groupBy("place").applyInArrow(lambda t: sweep(t, size), RUNS)
-        state = materialise(state, "runs")
+            now = state.where(f"kind <> {PUT}").withColumn("place", to).where("place >= 0").groupBy("place").applyInArrow(lambda t: sweep(t, size), RUNS)
+            state, seen = put(now)
+        else:
+            state, seen = put(opened(state, n_sequences, size, max(1, -(-sum(free.values()) // size))))
+            n_sequences += seen["given"]
         steps.append(state)
     return spark.read.schema(RUNS).parquet(*[f for s in steps for f in s.inputFiles()]).where(f"kind = {PUT}") if any(s.inputFiles() for s in steps) else state.where("false")
 

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import ship_package
-from .common import materialise
+from .common import materialise, observed
 
 SHINGLE = 4
 SEED = 42
@@ -235,9 +235,11 @@ def _with_least(edges: DataFrame) -> DataFrame:
 
 def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     """(u, root) for every vertex other than its component's smallest, by alternating large-star and small-star contractions."""
-    edges = materialise(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "edges")
-    sign = lambda e: e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-    before = sign(edges)
+    def put(e: DataFrame) -> tuple[DataFrame, tuple]:
+        out, m = observed(e, "edges", n=F.count(F.lit(1)), h=F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")))
+        return out, (m["n"], m["h"])
+
+    edges, before = put(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct())
     for _ in range(rounds):
         if not before[0]:
             break
@@ -245,9 +247,8 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
         large = _with_least(mirrored).where("v > u").select(F.col("v").alias("u"), F.least("u", "m").alias("v"))
         large = large.where("u <> v").distinct()
         small = _with_least(large)
-        edges = small.select(F.col("v").alias("u"), F.col("m").alias("v")).union(small.select("u", F.col("m").alias("v")))
-        edges = materialise(edges.where("u <> v").distinct(), "edges")
-        after = sign(edges)
+        again = small.select(F.col("v").alias("u"), F.col("m").alias("v")).union(small.select("u", F.col("m").alias("v")))
+        edges, after = put(again.where("u <> v").distinct())
         if after == before:
             break
         before = after

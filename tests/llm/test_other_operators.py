@@ -1,12 +1,15 @@
 """Transducer, archives, shards, chat and license scans against libraries, plain Python and exact round trips."""
 
 import hashlib
+import math
+import re
 import struct
 import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
+import regex
 from pyspark.sql import functions as F
 
 from halograph.llm import chat, common, licenses, sharding, warc, wfst
@@ -246,28 +249,108 @@ def test_license_scan(spark):
         6: (None, None, None), 7: ("MIT", "MIT", None), 8: (None, None, None), 9: ("CC-BY-NC-4.0", "CC-BY-NC-4.0", None),
     }
     assert licenses.scan(df, F.col("p")).count() == len(rows)
+    filler = " ".join(f"ordinary{k} words" for k in range(30))
+    isc = dict(licenses.FILES)["ISC"]
+    odd = [
+        (20, "m/LICENSE", dict(licenses.FILES)["MIT"]), (21, "m/a.py", "Licensed under the Apache License, Version 2.0. " + filler), (22, "m/b.py", filler + " released under the mit license and " + filler), (23, "m/c.py", filler),
+        (24, "i/COPYING", "\n".join(isc[k : k + 70] for k in range(0, len(isc), 70))), (25, "i/x.c", "int main"), (26, "z/notes.txt", "She asked for permission to copy the poem. The warranty of the car was void."), (27, "b/LICENSE", dict(licenses.FILES)["BSD-2-Clause"]),
+        (28, "u/LICENSE", dict(licenses.FILES)["Unlicense"]), (29, "q/LICENSE", "nothing of this kind " + filler),
+    ]
+    got = {r.id: (r.own_license, r.license, r.inherited_from) for r in licenses.scan(spark.createDataFrame(odd, "doc_id long, p string, text string"), F.col("p")).collect()}
+    assert got == {
+        20: ("MIT", "MIT", None), 21: ("Apache-2.0", "Apache-2.0", None), 22: ("MIT", "MIT", None), 23: (None, "MIT", "m"), 24: ("ISC", "ISC", None), 25: (None, "ISC", "i"), 26: (None, None, None),
+        27: ("BSD-2-Clause", "BSD-2-Clause", None), 28: ("Unlicense", "Unlicense", None), 29: (None, None, None),
+    }
     assert licenses.scan(df.limit(0), F.col("p")).count() == 0
 
 
-def test_license_scores_match_plain_cosines(spark):
-    import math
-    import re
+TOKEN = re.compile(r"[a-z]+[0-9]*|[0-9]+(?:\.[0-9]+)*")
 
-    lines = [t for _, t in licenses.TEMPLATES] + ["licensed under the MIT license version 2.0 or later", "a copyright notice of nobody", "License license LICENSE"]
-    df = spark.createDataFrame([(x,) for x in lines], "line string")
-    got = {r.line: (r.license, r.score) for r in licenses.cosines(df).collect()}
-    tok = lambda s: re.findall(r"[a-z]+[0-9]*|[0-9]+(?:\.[0-9]+)*", s.lower())
-    n = len(set(lines)) + len(licenses.TEMPLATES)
-    df_of = Counter(w for x in set(lines) for w in set(tok(x)))
-    vocabulary = {w for _, t in licenses.TEMPLATES for w in tok(t)}
+
+def plain_cosines(units, frequencies, shelf, n):
+    """{unit: (score, template's place, license, within, shared)} by dictionaries."""
+    df_of = Counter(w for x in frequencies for w in set(TOKEN.findall(x.lower())))
+    vocabulary = {w for _, t in shelf for w in TOKEN.findall(t.lower())}
     idf = lambda w: math.log(n / (1 + df_of[w])) + 1 if w in vocabulary else math.log(n / 2) + 1
-    vec = lambda s: {w: (1 + math.log(c)) * idf(w) for w, c in Counter(tok(s)).items()}
+    vec = lambda s: {w: (1 + math.log(c)) * idf(w) for w, c in Counter(TOKEN.findall(s.lower())).items()}
     norm = lambda v: math.sqrt(sum(x * x for x in v.values()))
-    for x in lines:
+    right = [(name, u, norm(u)) for name, t in shelf for u in [vec(t)]]
+    out = {}
+    for x in units:
         v = vec(x)
-        scores = []
-        for k, (name, t) in enumerate(licenses.TEMPLATES):
-            u = vec(t)
-            scores.append((round(sum(v[w] * u.get(w, 0) for w in v) / norm(v) / norm(u), 6), -k, name))
-        s, _, name = max(scores)
-        assert got[x][0] == name and abs(got[x][1] - s) < 2e-6, x
+        inner = norm({w: c for w, c in v.items() if w in vocabulary})
+        found = []
+        for k, (name, u, length) in enumerate(right):
+            both = v.keys() & u.keys()
+            if both:
+                dot = sum(v[w] * u[w] for w in both) / length
+                found.append((round(dot / norm(v), 6), -k, name, round(dot / inner, 6), len(both)))
+        if found:
+            out[x] = max(found)
+    return out
+
+
+def test_license_scores_match_plain_cosines(spark):
+    lines = [t for _, t in licenses.TEMPLATES] + ["licensed under the MIT license version 2.0 or later", "a copyright notice of nobody", "License license LICENSE"]
+    df = spark.createDataFrame([(x,) for x in lines], "line string")
+    want = plain_cosines(set(lines), set(lines), licenses.TEMPLATES, len(set(lines)) + len(licenses.TEMPLATES))
+    got = {r.line: r for r in licenses.cosines(df).collect()}
+    assert got.keys() == want.keys()
+    for x, (score, _, name, within, shared) in want.items():
+        assert (got[x].license, got[x].shared) == (name, shared) and abs(got[x].score - score) < 2e-6 and abs(got[x].within - within) < 2e-6, x
+
+
+def test_license_query_against_plain_python(spark):
+    """All rows of the query on a table."""
+    sf = SF.replace("sf0.001", "sf0.01")
+    cue = re.compile(licenses.CUE)
+    docs = {r.doc_id: r for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    found = defaultdict(set)  # id -> (line number, passage, is a window, words)
+    for i, r in docs.items():
+        for at, line in enumerate(re.split("\r?\n", r.text or "")):
+            if not cue.search(line):
+                continue
+            for sentence in regex.split(r"(?<=[.;!?])\s+(?=[\p{Lu}(\"'])", line):
+                if not cue.search(sentence):
+                    continue
+                w = re.findall(r"\S+", sentence)
+                found[i].add((at, sentence, False, len(w)))
+                for n, step in licenses.WINDOWS if len(w) > licenses.LONG else ():
+                    for k in range(0, max(0, len(w) - n) + 1, step):
+                        part = " ".join(w[k : k + n])
+                        if cue.search(part):
+                            found[i].add((at, part, True, step))
+    lines = {x[1] for v in found.values() for x in v}
+    scores = plain_cosines(lines, lines, licenses.TEMPLATES, len(lines) + len(licenses.TEMPLATES))
+    own, paths, n_lines, files = {}, {}, {}, {}
+    for i, r in docs.items():
+        paths[i] = f"{r.source}/{r.lang}/{i // 100}/{i}.txt"
+        by_line = defaultdict(list)
+        for at, x, cut, words in found[i]:
+            score, _, name, within, shared = scores.get(x, (0, 0, None, 0, 0))
+            if (within >= licenses.SIMILAR_WINDOW and shared >= licenses.WINDOW_WORDS) if cut else score >= licenses.SIMILAR:
+                by_line[at].append((within if cut else score, name, cut, words))
+        n_lines[i] = len(by_line)
+        own[i] = max(((s, n) for v in by_line.values() for s, n, *_ in v), default=None)
+        share = sum(max(sum(x[3] for x in v if x[2]), sum(x[3] for x in v if not x[2])) for v in by_line.values())
+        files[i] = bool(by_line) and share >= licenses.FILE_SHARE * len(re.findall(r"\S+", r.text or ""))
+    whole = plain_cosines({docs[i].text for i in docs if files[i]}, lines, licenses.FILES, len(lines) + len(licenses.FILES))
+    for i in docs:
+        if files[i] and (f := whole.get(docs[i].text)) and f[0] >= licenses.SIMILAR:
+            own[i] = max(own[i], (f[0], f[2]))
+    given = {}
+    for i in docs:
+        if files[i] and own[i]:
+            d = paths[i].rsplit("/", 1)[0]
+            given[d] = max(given.get(d, (0, "")), own[i])
+    rows = {r.doc_id: r for r in licenses.op10_license_scan(spark, sf).collect()}
+    assert rows.keys() == docs.keys() and sum(v is not None for v in own.values()) > 20
+    for i, r in rows.items():
+        d, near = paths[i].rsplit("/", 1)[0], None
+        while d and near is None:
+            near = d if d in given else None
+            d = d.rsplit("/", 1)[0] if "/" in d else ""
+        mine = own[i][1] if own[i] else None
+        want = (paths[i], n_lines[i], mine, files[i] and own[i] is not None, mine or (given[near][1] if near else None), None if mine else near)
+        assert (r.path, r.n_license_lines, r.own_license, r.is_license_file, r.license, r.inherited_from) == want, i
+        assert (r.own_score is None) == (own[i] is None) and (own[i] is None or abs(r.own_score - own[i][0]) < 2e-6)

@@ -332,26 +332,37 @@ def test_plan_is_close_to_the_least(spark, seed):
     assert len(filled) <= best * 1.01 + 1
 
 
-def test_a_sweep_gives_each_gap_the_longest_document_that_fits():
-    """One range against a plain stack of single documents and gaps."""
+def test_a_sweep_leaves_no_gap_that_a_document_fits():
+    """One range: documents are kept, fill their gaps without holes, and nothing fits a gap that is passed on."""
     import pyarrow as pa
 
     rng = np.random.default_rng(4)
-    for _ in range(50):
-        docs = {int(x): int(rng.integers(1, 5)) for x in rng.choice(np.arange(1, 60), 8, replace=False)}
-        gaps = [(int(g), 100 * k, int(rng.integers(1, 5))) for k, g in enumerate(rng.integers(1, 60, 8))]
-        rows = [(packing.FREE, d, 0, n, None, None, 3) for d, n in docs.items()] + [(packing.GAP, g, f, n, None, None, 3) for g, f, n in gaps]
-        names = [f.split()[0] for f in packing.RUNS.split(", ")]
+    names = [f.split()[0] for f in packing.RUNS.split(", ")]
+    for case in range(60):
+        docs = {int(x): int(rng.integers(1, 30)) for x in rng.choice(np.arange(1, 60), 8, replace=False)}
+        gaps = [(int(g), 100 * k, int(rng.integers(1, 6))) for k, g in enumerate(rng.integers(1, 60, 8))]
+        here = case % packing.RANGES
+        rows = [(packing.FREE, d, 7, n, None, None, here) for d, n in docs.items()] + [(packing.GAP, g, f, n, None, None, here) for g, f, n in gaps]
         got = packing.sweep(pa.table(dict(zip(names, map(list, zip(*rows, strict=True)), strict=True))), 63).to_pylist()
-        put = {r["seq"] + k: r["size"] for r in got if r["kind"] == packing.PUT for k in range(r["n"])}
-        free, want = Counter(docs), {}
-        for g, seq in sorted((g, f + k) for g, f, n in gaps for k in range(n)):
-            fits = [d for d, c in free.items() if c and d <= g]
-            if fits:
-                want[seq] = max(fits)
-                free[max(fits)] -= 1
-        assert put == want
-        assert {r["size"]: r["n"] for r in got if r["kind"] == packing.FREE} == +free
+        gap_of = {f + k: g for g, f, n in gaps for k in range(n)}
+        ranks, filled = defaultdict(list), defaultdict(list)
+        for r in got:
+            for k in range(r["n"]):
+                if r["kind"] != packing.GAP:
+                    ranks[r["size"]].append(r["first"] + k)
+                if r["kind"] == packing.PUT:
+                    filled[r["seq"] + k].append((r["gap"], r["size"]))
+        assert {d: sorted(v) for d, v in ranks.items()} == {d: list(range(7, 7 + n)) for d, n in docs.items()}
+        left = dict(gap_of)
+        for seq, parts in filled.items():
+            for gap, size in sorted(parts, reverse=True):
+                assert gap == left[seq] and size <= gap
+                left[seq] = gap - size
+        passed = {r["first"] + k: r for r in got if r["kind"] == packing.GAP for k in range(r["n"])}
+        assert all(left[s] == (passed[s]["size"] if s in passed else 0) for s in left)
+        free = [r["size"] for r in got if r["kind"] == packing.FREE]
+        assert all(r["place"] != here for r in passed.values())
+        assert not any(d <= r["size"] for r in passed.values() if r["place"] == here - 1 and packing.range_of(r["size"], 63) >= here for d in free)
 
 
 def test_very_long_white_space():
