@@ -29,6 +29,7 @@ def main() -> None:
         return out
 
     import numpy as np
+    from pyspark.sql import functions as F
 
     from halograph import measures
     from halograph.model.kernels import blocked_matmul, update_fused, update_unfused
@@ -37,6 +38,7 @@ def main() -> None:
     from halograph.operators import exchange, graph, layers, partition
     from halograph.operators.cache import CacheSpec
     from halograph.operators.labels import planted
+    from halograph.operators.multilevel import by_multilevel
     from halograph.plans.epoch import Partitioned, SampleConfig, plan_epoch
     from halograph.plans.training import TrainConfig, train
     from halograph.session import stage
@@ -68,6 +70,15 @@ def main() -> None:
         facts[f"imbalance_{P}"] = round(measures.load_imbalance(plan.exec_blocks.groupBy("rank").count(), "count").first()["imbalance"], 4)
         facts[f"used_pushes_{P}"] = exchange.used_only(plan.push_plan, plan.hit_plan, plan.rounds).count()
 
+    def measured(name: str, r) -> None:
+        """Seconds in the ranks by component, the share of sending that nobody waited for, and imbalance of the last epoch."""
+        last = r.log[-1]["epoch"]
+        for p in measures.forward_with_remote(measures.epoch_parts(r.times)).where(F.col("epoch") == last).collect():
+            facts[f"{name}_{p.part}_seconds"] = round(p.seconds, 3)
+        facts[f"{name}_epoch_seconds"] = round(sum(v for k, v in facts.items() if k in {f"{name}_{c}_seconds" for c in ("minibatch", "forward", "backward", "allreduce")}), 3)
+        facts[f"{name}_hidden"] = round(measures.overlap(r.times).where(F.col("epoch") == last).first().hidden, 3)
+        facts[f"{name}_imbalance"] = round(measures.time_imbalance(r.times).where(F.col("epoch") == last).first().imbalance, 3)
+
     # push against pull: the same graph, seeds and model
     for kind in ("sage", "gat"):
         for mode in ("push", "pull"):
@@ -77,6 +88,27 @@ def main() -> None:
             r = timed(f"train_{mode}_{kind}", lambda pg=pg, cfg=cfg: train(pg, x, labels.join(seeds, "vid"), cfg))
             facts[f"{mode}_{kind}_edges"] = r.log[0]["edges"]
             facts[f"{mode}_{kind}_run_seconds"] = round(r.log[0]["run_seconds"], 3)
+            measured(f"{mode}_{kind}", r)
+
+    # the document graph on parts of few cut edges, at two numbers of ranks
+    doc = timed("graph_documents", lambda: stage(graph.documents(spark, SF_DIR)))
+    linked = stage(doc.selectExpr("src AS vid").distinct())
+    dx = stage(graph.trigram_features(spark, SF_DIR).join(linked, "vid"))
+    dy = stage(graph.with_split(graph.language_labels(spark, SF_DIR).join(linked, "vid"), 0.5).where("is_train").select("vid", "label"))
+    size = linked.count()
+    for P in (4, 8):
+        parts = timed(f"multilevel_{P}", lambda P=P: stage(by_multilevel(doc, linked, dy, P)))
+        pg = Partitioned.build(doc, parts, P)
+        facts[f"documents_cut_{P}"] = round(partition.cut_edges(pg.placed).count() / pg.placed.count(), 4)
+        for kind in ("sage", "gat") if P == 8 else ("sage",):
+            for mode in ("push", "pull"):
+                spec = CacheSpec(cs=int(0.58 * size / P), ls=2, nc=512, d=1)
+                cfg = TrainConfig(ModelSpec(kind, (64, 64, 64, 4)), SampleConfig((5, 10, 15), 128, fast=True), spec, mode, 1, engine="barrier")
+                r = timed(f"documents_{mode}_{kind}_{P}", lambda pg=pg, cfg=cfg: train(pg, dx, dy, cfg))
+                measured(f"documents_{mode}_{kind}_{P}", r)
+                if mode == "push":
+                    for h in measures.hit_rate(r.plans[0].hit_plan).collect():
+                        facts[f"documents_{kind}_{P}_hit_rate_layer{h.layer}"] = round(h.hit_rate, 4)
 
     # single-node ladder on one block of the paper's shape
     rng = np.random.default_rng(0)

@@ -30,12 +30,14 @@ def segment_extreme(values: np.ndarray, index: np.ndarray, n: int, op: np.ufunc)
     return out
 
 
-def aggregate(rows: np.ndarray, src: np.ndarray, dst: np.ndarray, n: int, op: str = "mean", own: np.ndarray | None = None, coef: np.ndarray | None = None) -> np.ndarray:
+def aggregate(rows: np.ndarray, src: np.ndarray, dst: np.ndarray, n: int, op: str = "mean", own: np.ndarray | None = None, coef: np.ndarray | None = None, repeat: bool = False) -> np.ndarray:
     """Rows of the sources reduced by destination. coef: a scalar for each edge (or edge and head) that is broadcast over the row's last
-    axis, never replicated. own: the destinations' rows, for gcn."""
+    axis; repeat: written out along it first, as a baseline. own: the destinations' rows, for gcn."""
     taken = rows[src]
-    if coef is not None:
-        taken = taken * coef[..., None]
+    if coef is not None and repeat:
+        taken = taken * np.repeat(coef[..., None], rows.shape[-1], -1)
+    elif coef is not None:
+        np.multiply(taken, coef[..., None], out=taken)
     if op in ("max", "min"):
         return segment_extreme(taken, dst, n, np.maximum if op == "max" else np.minimum)
     total = segment_sum(taken, dst, n)

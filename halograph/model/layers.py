@@ -6,7 +6,7 @@ from dataclasses import dataclass
 
 import numpy as np
 
-from .kernels import aggregate, edge_softmax, leaky, segment_sum, update_fused, weight_grad
+from .kernels import aggregate, edge_softmax, leaky, segment_sum, update_fused, update_unfused, weight_grad
 
 
 @dataclass
@@ -20,10 +20,10 @@ class Block:
 
 
 class SageLayer:
-    """out = act(neighbours W_n + own W_s + b), the neighbours reduced by mean, sum or gcn."""
+    """out = act(neighbours W_n + own W_s + b), the neighbours reduced by mean, sum or gcn. kernel: fused or unfused update."""
 
-    def __init__(self, p: dict[str, np.ndarray], name: str, op: str = "mean", relu: bool = True, chunks: int = 1) -> None:
-        self.p, self.name, self.op, self.relu, self.chunks = p, name, op, relu, chunks
+    def __init__(self, p: dict[str, np.ndarray], name: str, op: str = "mean", relu: bool = True, chunks: int = 1, kernel: str = "fused") -> None:
+        self.p, self.name, self.op, self.relu, self.chunks, self.kernel = p, name, op, relu, chunks, kernel
 
     @staticmethod
     def shapes(n_in: int, n_out: int) -> dict[str, tuple[int, ...]]:
@@ -35,7 +35,7 @@ class SageLayer:
         near = aggregate(x, block.src, block.dst, block.n_dst, self.op, own)
         # both products in one, with the bias: [near own] [W_n; W_s]
         both = np.concatenate([near, own], axis=1)
-        out = update_fused(both, np.concatenate([w("wn"), w("ws")]), w("b"), self.relu)
+        out = (update_fused if self.kernel == "fused" else update_unfused)(both, np.concatenate([w("wn"), w("ws")]), w("b"), self.relu)
         self.kept = (block, both, out if drop is None else out.copy(), drop)
         return out if drop is None else np.multiply(out, drop, out=out)
 
@@ -64,8 +64,8 @@ class GatLayer:
     aggregation (the original form). Both ends share the bias. op: sum of the weighed sources, or gcn, which adds the own transformed
     row and divides by the number of sources and one."""
 
-    def __init__(self, p: dict[str, np.ndarray], name: str, heads: int = 4, pre: bool = True, relu: bool = True, combine: str = "concat", slope: float = 0.2, chunks: int = 1, op: str = "gcn") -> None:
-        self.p, self.name, self.heads, self.pre, self.relu, self.combine, self.slope, self.chunks, self.op = p, name, heads, pre, relu, combine, slope, chunks, op
+    def __init__(self, p: dict[str, np.ndarray], name: str, heads: int = 4, pre: bool = True, relu: bool = True, combine: str = "concat", slope: float = 0.2, chunks: int = 1, op: str = "gcn", kernel: str = "fused") -> None:
+        self.p, self.name, self.heads, self.pre, self.relu, self.combine, self.slope, self.chunks, self.op, self.kernel = p, name, heads, pre, relu, combine, slope, chunks, op, kernel
 
     @staticmethod
     def shapes(n_in: int, n_out: int, heads: int = 4, combine: str = "concat") -> dict[str, tuple[int, ...]]:
@@ -77,16 +77,14 @@ class GatLayer:
 
     def forward(self, block: Block, x: np.ndarray, drop: np.ndarray | None = None) -> np.ndarray:
         own, shape = x[: block.n_dst], (-1, self.heads, self._w("au").shape[1])
-        pu, pv = x @ self._w("wu"), own @ self._w("wv")
-        if self.pre:
-            pu, pv = pu + self._w("b"), pv + self._w("b")
-            if self.relu:
-                pu, pv = np.maximum(pu, 0), np.maximum(pv, 0)
+        update = update_fused if self.kernel == "fused" else update_unfused
+        bias = self._w("b") if self.pre else np.zeros(1, x.dtype)
+        pu, pv = (update(rows, self._w(w), bias, self.pre and self.relu) for rows, w in ((x, "wu"), (own, "wv")))
         zu, zv = pu.reshape(shape), pv.reshape(shape)
         # a scalar for each vertex and head first; edges only add two scalars
         raw = (zu * self._w("au")).sum(-1)[block.src] + (zv * self._w("av")).sum(-1)[block.dst]
         alpha = edge_softmax(leaky(raw, self.slope), block.dst, block.n_dst)
-        out = aggregate(zu, block.src, block.dst, block.n_dst, self.op, zv, coef=alpha)
+        out = aggregate(zu, block.src, block.dst, block.n_dst, self.op, zv, coef=alpha, repeat=self.kernel != "fused")
         flat = out.reshape(len(out), -1)
         after = flat
         if not self.pre:

@@ -31,6 +31,8 @@ class ModelSpec:
     dropout: float = 0.5
     pre_activation: bool = True
     chunks: int = 1
+    #: fused, or unfused with repeated scalars: the baseline of the single-node ladder
+    kernel: str = "fused"
 
     def _last(self, k: int) -> bool:
         return k == len(self.dims) - 2
@@ -38,8 +40,8 @@ class ModelSpec:
     def layer(self, p: dict[str, np.ndarray], k: int):
         name = f"layer{k}"
         if self.kind == "sage":
-            return SageLayer(p, name, self.op or "mean", relu=not self._last(k), chunks=self.chunks)
-        return GatLayer(p, name, self.heads, self.pre_activation, not self._last(k), "mean" if self._last(k) else "concat", chunks=self.chunks, op=self.op or "gcn")
+            return SageLayer(p, name, self.op or "mean", relu=not self._last(k), chunks=self.chunks, kernel=self.kernel)
+        return GatLayer(p, name, self.heads, self.pre_activation, not self._last(k), "mean" if self._last(k) else "concat", chunks=self.chunks, op=self.op or "gcn", kernel=self.kernel)
 
     def shapes(self) -> dict[str, tuple[int, ...]]:
         out = {}

@@ -20,6 +20,7 @@ from halograph.operators.cache import CacheSpec
 from halograph.operators.labels import planted
 from halograph.plans.epoch import Partitioned, SampleConfig, plan_epoch
 from halograph.plans.infer import WholeGraph, full, sampled
+from halograph.plans import single
 from halograph.plans.peers import PUSH, Peers
 from halograph.plans.rank import PARTS, RankEpoch, drive
 from halograph.plans.training import TrainConfig, train
@@ -352,6 +353,50 @@ def test_wide_samples_on_one_rank_are_full_batch(task):
     assert all(np.allclose(got[k], want[k], atol=1e-6) for k in got)
 
 
+def test_the_ladder_trains_the_same_model(task):
+    """Rungs differ in speed, not in what they learn; a wide sample gives every neighbour."""
+    _, _, _, y, whole, _ = task
+    graph_ = single.Csr(whole.block.src, whole.block.dst, len(whole.ids))
+    labels = y.toPandas()
+    seeds, x = np.searchsorted(whole.ids, labels.vid.to_numpy()), whole.x
+    rng = np.random.default_rng(0)
+    for how in ("at once", "one by one"):
+        blocks, ids = graph_.minibatch(seeds[:20], (3, 2), rng, how)
+        assert all(len(np.unique(i)) == len(i) for i in ids) and (ids[1][:20] == seeds[:20]).all()
+        assert np.bincount(blocks[1].dst).max() <= 3 and np.bincount(blocks[0].dst).max() <= 2
+        edges = set(zip(whole.block.src.tolist(), whole.block.dst.tolist(), strict=True))
+        assert all((int(ids[0][a]), int(ids[1][b])) in edges for a, b in zip(blocks[0].src, blocks[0].dst, strict=True))
+        pairs = list(zip(blocks[0].src.tolist(), blocks[0].dst.tolist(), strict=True))
+        assert len(set(pairs)) == len(pairs)
+    for kind in ("sage", "gat"):
+        out = [single.train_single(graph_, x, seeds, labels.label.to_numpy(), ModelSpec(kind, (16, 8, 6), dropout=0.2), (1000, 1000), 40, 2, kernel=k, sampler=s, beside=n) for _, k, s, n in single.LADDER]
+        assert all(np.allclose(out[0][0][k], o[0][k], atol=1e-8) for o in out[1:] for k in o[0])
+        assert out[0][1][1]["loss"] < out[0][1][0]["loss"]
+
+
+def test_held_out_links_are_told_from_others(spark):
+    """Every fifth link is kept for the test; the model never sees it, neither as a pair nor as an edge."""
+    sf = SF.replace("sf0.001", "sf0.01")
+    edges = stage(graph.documents(spark, sf))
+    x = graph.trigram_features(spark, sf).join(edges.select(F.col("src").alias("vid")).distinct(), "vid")
+    whole = WholeGraph(edges, x)
+    pairs = np.stack([whole.block.src, whole.block.dst], 1)
+    pairs = pairs[pairs[:, 0] < pairs[:, 1]]
+    held = np.random.default_rng(0).random(len(pairs)) < 0.2
+    seen, test = pairs[~held], pairs[held]
+    g = single.Csr(np.concatenate(seen.T), np.concatenate(seen.T[::-1]), len(whole.ids))
+    spec = ModelSpec("sage", (64, 32, 16), dropout=0.0)
+    p, losses = single.train_links(g, whole.x, seen, spec, (5, 5), 256, 4, 0.01)
+    assert losses[-1] < losses[0]
+    whole.block = Block(np.concatenate(seen.T), np.concatenate(seen.T[::-1]), len(whole.ids), len(whole.ids))
+    h = whole.logits(spec, p)[0]
+    rng = np.random.default_rng(1)
+    false = np.stack([test[:, 0], rng.integers(0, len(whole.ids), len(test))], 1)
+    score = lambda e: (h[e[:, 0]] * h[e[:, 1]]).sum(1)
+    assert single.area_under_curve(score(test), score(false)) > 0.65  # 0.5 is chance
+    assert single.area_under_curve(np.array([3.0, 1.0]), np.array([2.0, 1.0])) == 0.625
+
+
 def test_full_batch_learns(task):
     edges, v, x, y, whole, test = task
     labels = y.toPandas()
