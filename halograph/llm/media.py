@@ -7,10 +7,11 @@ pairs. How many blocks there are, and so how wide a key is, follows from the num
 images there are. Corners that match propose pairs of images; a pair's matches then vote for a rotation, a scale and a shift, and images
 are linked where MIN_VOTES different corners agree. Classes are the components of the links.
 
-Pairs are proposed twice. First each corner's image is paired with the one of the smallest id under the same key, so copies of one
-image find each other in as many steps as there are copies. Then images of different classes are paired, from all corners but the
-MIN_VOTES - 1 whose keys are the most crowded in an image: images that share MIN_VOTES matches share one of the others, and what very
-many images have in common, such as a frame's corners, proposes nothing by itself.
+Under a key with at most CROWD corners all pairs are compared where they lie. A more crowded key, of many copies of one image or of what
+very many images have in common, such as a frame's corners, proposes pairs in two ways. First each corner's image is paired with the one of
+the smallest id there, so copies of one image find each other in as many steps as there are copies. Then images of classes that are still
+different are paired, from all corners but the MIN_VOTES - 1 most crowded ones of an image: images that share MIN_VOTES matches share
+one of the others.
 
 Images with equal bytes are one image in the joins, however many there are. Null or unreadable images have no corners and are classes of
 their own (equal ones share it). Repeated ids keep their rows; an empty table gives an empty result; other columns are left out.
@@ -41,6 +42,8 @@ TESTS, RADIUS = 128, 4
 #: corners per scale: one for so many pixels inside the margin
 PIXELS_PER_CORNER = 36
 MIN_VOTES = 4
+#: corners under a key up to which all pairs are compared, and crowded keys up to which they are sent to all tasks, 12 bytes each
+CROWD, FEW_KEYS = 48, 500_000
 #: tolerance of a vote in pixels of the full scale, and in steps of orientation
 SHIFT_BIN, ANGLE_BIN = 6, 3
 SEED = 11
@@ -181,43 +184,60 @@ def corners(stack: np.ndarray, scale: float) -> dict[str, np.ndarray]:
     return {"image": image, "y": y / scale, "x": x / scale, "angle": angle, "d0": words[:, 0], "d1": words[:, 1]}
 
 
-FEATURES = "id long, corner int, y double, x double, level int, angle int, d0 long, d1 long"
+#: a corner as it is stored: an image's corners are one value of bytes, whose size is bounded by the image's
+_PACKED = np.dtype([("y", "<f4"), ("x", "<f4"), ("level", "<i4"), ("angle", "<i4"), ("d0", "<u8"), ("d1", "<u8")])
 
 
-def describe(ids: list, images: list[bytes | None]) -> pa.RecordBatch:
+def describe(images: list[bytes | None]) -> list[np.ndarray]:
+    """The corners of each image, in a fixed order; images of one shape are worked on together."""
+    out = [np.zeros(0, _PACKED)] * len(images)
     shapes = defaultdict(list)
-    for i, data in zip(ids, images, strict=True):
+    for i, data in enumerate(images):
         grey = read_image(data)
         if grey is not None and min(grey.shape) > 2 * MARGIN + 2:
             shapes[grey.shape].append((i, grey))
-    parts: list[list[np.ndarray]] = []
     for (h, w), group in shapes.items():
-        who, stack = np.array([i for i, _ in group], np.int64), np.stack([g for _, g in group])
-        count = np.zeros(len(who), np.int64)
+        stack, parts = np.stack([g for _, g in group]), []
         for level, scale in enumerate(SCALES):
-            small = stack if scale == 1 else resize(stack, int(h * scale), int(w * scale))
-            c = corners(small, scale)
-            first = np.concatenate(([0], np.cumsum(np.bincount(c["image"], minlength=len(who)))))
-            number = count[c["image"]] + np.arange(len(c["image"])) - first[c["image"]]
-            count += np.diff(first)
-            parts.append([who[c["image"]], number, c["y"], c["x"], np.full(len(number), level), c["angle"], c["d0"].view(np.int64), c["d1"].view(np.int64)])
-    names = [f.split()[0] for f in FEATURES.split(", ")]
-    kinds = [pa.int64(), pa.int32(), pa.float64(), pa.float64(), pa.int32(), pa.int32(), pa.int64(), pa.int64()]
-    columns = [np.concatenate(x) for x in zip(*parts, strict=True)] if parts else [np.zeros(0)] * len(names)
-    return pa.record_batch([pa.array(c).cast(k) for c, k in zip(columns, kinds, strict=True)], names=names)
+            c = corners(stack if scale == 1 else resize(stack, int(h * scale), int(w * scale)), scale)
+            rows = np.zeros(len(c["image"]), _PACKED)
+            rows["level"] = level
+            for name in ("y", "x", "angle", "d0", "d1"):
+                rows[name] = c[name]
+            parts.append((c["image"], rows))
+        image, rows = (np.concatenate(x) for x in zip(*parts, strict=True))
+        order = np.argsort(image, kind="stable")
+        ends = np.searchsorted(image[order], np.arange(len(group) + 1))
+        for k, (i, _) in enumerate(group):
+            out[i] = rows[order[ends[k] : ends[k + 1]]]
+    return out
 
 
 def features(images: DataFrame) -> DataFrame:
-    """FEATURES of every image of (id, image)."""
+    """(id, corners) of every image of (id, image)."""
     ship_package(images.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for at in range(0, len(b), 256):
                 part = b.slice(at, 256)
-                yield describe(part.column(0).to_pylist(), part.column(1).to_pylist())
+                yield pa.record_batch([part.column(0), pa.array([c.tobytes() for c in describe(part.column(1).to_pylist())], pa.binary())], names=["id", "corners"])
+
+    return images.select(F.col("id").cast("long").alias("id"), "image").mapInArrow(run, "id long, corners binary")
 
-    return images.select(F.col("id").cast("long").alias("id"), "image").mapInArrow(run, FEATURES)
+
+def descriptors(corners: DataFrame) -> DataFrame:
+    """(id, corner, d0, d1), a row for each corner."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            got = [np.frombuffer(x, _PACKED) for x in b.column(1).to_pylist()]
+            n = np.array([len(x) for x in got], np.int64)
+            flat = np.concatenate(got) if got else np.zeros(0, _PACKED)
+            number = np.arange(len(flat)) - np.repeat(np.cumsum(n) - n, n)
+            yield pa.record_batch([b.column(0).take(pa.array(np.repeat(np.arange(len(n)), n))), pa.array(number.astype(np.int32)), *[pa.array(np.ascontiguousarray(flat[c]).view(np.int64)) for c in ("d0", "d1")]], names=["id", "corner", "d0", "d1"])
+
+    return corners.select("id", "corners").mapInArrow(run, "id long, corner int, d0 long, d1 long")
 
 
 # --- joins and consensus --------------------------------------------------------------------------------------------------------
@@ -257,6 +277,22 @@ def _near(a: str, b: str) -> Column:
     return F.bit_count(F.col(f"{a}0").bitwiseXOR(F.col(f"{b}0"))) + F.bit_count(F.col(f"{a}1").bitwiseXOR(F.col(f"{b}1"))) <= RADIUS
 
 
+def grouped(keys: DataFrame) -> DataFrame:
+    """(choice, value, g): the corners under each key that has several, at most CROWD + 1 of them."""
+    order = Window.partitionBy("choice", "value").orderBy("id", "corner")
+    few = keys.withColumn("r", F.row_number().over(order)).where(F.col("r") <= CROWD + 1)
+    lists = few.groupBy("choice", "value").agg(F.collect_list(F.struct("id", "d0", "d1")).alias("g"))
+    return lists.where(F.size("g") > 1)
+
+
+def within_keys(groups: DataFrame) -> DataFrame:
+    """Pairs (u, v) of images whose corners match, under keys that are not crowded."""
+    one = groups.where(F.size("g") <= CROWD).select(F.posexplode("g").alias("k", "a"), "g").select("a", F.explode(F.slice("g", F.col("k") + 2, F.size("g"))).alias("b"))
+    flat = one.select(*[F.col(f"{s}.{c}").alias(f"{s}{c[-1]}") for s in "ab" for c in ("id", "d0", "d1")])
+    near = flat.where((F.col("ad") != F.col("bd")) & _near("a", "b"))
+    return near.select(F.greatest("ad", "bd").alias("u"), F.least("ad", "bd").alias("v")).distinct()
+
+
 def with_smallest(keys: DataFrame) -> DataFrame:
     """Pairs (u, v) of images whose corners match, v the smallest id under a key."""
     w = Window.partitionBy("choice", "value").orderBy("id", "corner")
@@ -266,7 +302,8 @@ def with_smallest(keys: DataFrame) -> DataFrame:
 
 
 def between_classes(keys: DataFrame, classes: DataFrame) -> DataFrame:
-    """Pairs (u, v) of images of different classes whose corners match, the smaller one's not among its most crowded."""
+    """Pairs (u, v) of images of different classes whose corners match under crowded keys, the smaller image's corner not among its most
+    crowded."""
     key = ["choice", "value"]
     crowd = keys.groupBy(*key).agg(F.count("*").alias("crowd"))
     k = keys.join(classes, "id").join(crowd, key)
@@ -283,22 +320,6 @@ def between_classes(keys: DataFrame, classes: DataFrame) -> DataFrame:
     return found.select(F.col("id_b").alias("u"), F.col("id_a").alias("v")).distinct()
 
 
-_PACKED = np.dtype([("y", "<f4"), ("x", "<f4"), ("level", "<i4"), ("angle", "<i4"), ("d0", "<u8"), ("d1", "<u8")])
-
-
-def packed(points: DataFrame) -> DataFrame:
-    """(id, corners): all corners of an image in one value of bytes; their number is bounded by the image's size."""
-
-    def run(t: pa.Table) -> pa.Table:
-        out = np.zeros(t.num_rows, _PACKED)
-        for name in _PACKED.names:
-            column = t.column(name).to_numpy()
-            out[name] = column.view(np.uint64) if name in ("d0", "d1") else column
-        return pa.table({"id": t.column("id").slice(0, 1), "corners": pa.array([out[np.argsort(t.column("corner").to_numpy())].tobytes()], pa.binary())})
-
-    return points.groupBy("id").applyInArrow(run, "id long, corners binary")
-
-
 def votes(a: np.ndarray, b: np.ndarray) -> int:
     """How many different corners of both images agree on one rotation, scale and shift. Bins overlap, so no agreement is cut by an
     edge."""
@@ -334,13 +355,25 @@ def consensus(pairs: DataFrame, corners: DataFrame, least: int = MIN_VOTES) -> D
     return joined.select("u", "v", "a", "b").mapInArrow(run, "u long, v long")
 
 
-def linked(points: DataFrame) -> DataFrame:
-    """Links (u, v) that join all images whose corners agree, from a table of FEATURES."""
-    corners = materialise(packed(points), "packed")
-    keys = materialise(keyed(points, n_blocks(points.count())), "keys")
-    near = materialise(consensus(with_smallest(keys), corners), "near")
-    classes = corners.select("id").join(components(near).withColumnRenamed("u", "id"), "id", "left").select("id", F.coalesce("root", "id").alias("class"))
-    return near.union(consensus(between_classes(keys, materialise(classes, "by-smallest")), corners))
+def linked(corners: DataFrame) -> DataFrame:
+    """Links (u, v) that join all images whose corners agree, from a table of (id, corners)."""
+    points = descriptors(corners)
+    n = corners.agg(F.sum(F.octet_length("corners"))).first()[0] or 0
+    keys = keyed(points, n_blocks(n // _PACKED.itemsize))
+    groups = materialise(grouped(keys), "groups")
+    pairs = within_keys(groups)
+    crowded = materialise(groups.where(F.size("g") > CROWD).select("choice", "value"), "crowded")
+    n_crowded = crowded.count()
+    if not n_crowded:
+        return consensus(pairs, corners)
+    many = materialise(keys.join(F.broadcast(crowded) if n_crowded <= FEW_KEYS else crowded, ["choice", "value"]), "many")
+    near = materialise(consensus(pairs.union(with_smallest(many)).distinct(), corners), "near")
+    classes = corners.select("id").distinct().join(components(near).withColumnRenamed("u", "id"), "id", "left").select("id", F.coalesce("root", "id").alias("class"))
+    return near.union(consensus(between_classes(many, materialise(classes, "by-smallest")), corners))
+
+
+#: ids of images that are equal to another up to which they are sent to all tasks, 8 bytes each; more are joined by a shuffle
+FEW_IDS = 500_000
 
 
 def copy_classes(images: DataFrame) -> DataFrame:
@@ -348,9 +381,11 @@ def copy_classes(images: DataFrame) -> DataFrame:
     hashed = images.select(F.col("id").cast("long").alias("id"), F.sha2(F.coalesce("image", F.lit(b"")), 256).alias("sha"), "image")
     rows = materialise(hashed.select("id", "sha"), "shas")
     distinct = materialise(rows.groupBy("sha").agg(F.min("id").alias("rep")), "reps")
-    some = hashed.join(distinct, "sha").where("id = rep").select("id", "image")
-    points = materialise(features(some), "corners")
-    stars = components(linked(points))
+    # images are only exchanged where there are too many copies to name them to all tasks
+    again = materialise(rows.join(distinct, "sha").where("id <> rep").select("id", "sha").distinct(), "again")
+    some = hashed.join(F.broadcast(again) if again.count() <= FEW_IDS else again, ["id", "sha"], "left_anti").where("id IS NOT NULL").select("id", "image")
+    corners = materialise(features(some), "corners")
+    stars = components(linked(corners))
     rooted = materialise(distinct.join(stars, distinct["rep"] == stars["u"], "left").select("sha", F.coalesce("root", "rep").alias("class_id")), "classes")
     return rows.join(rooted, "sha").select("id", "class_id")
 

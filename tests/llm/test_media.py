@@ -64,6 +64,13 @@ def test_png_filters():
     assert np.array_equal(media.read_image(data), grey)
 
 
+FEATURES = "id long, corner int, y double, x double, level int, angle int, d0 long, d1 long"
+
+
+def pack(rows):
+    return np.array([(r[2], r[3], r[4], r[5], r[6] % (1 << 64), r[7] % (1 << 64)) for r in rows], media._PACKED)
+
+
 def _descriptors(rng, n, images):
     base = rng.integers(0, 1 << 62, (60, 2))
     rows = []
@@ -79,7 +86,7 @@ def _descriptors(rng, n, images):
 @pytest.mark.parametrize("blocks", [5, 6, 7])
 def test_keys_find_all_pairs_within_the_radius(spark, blocks):
     rows = _descriptors(np.random.default_rng(1), 240, 23)
-    keys = media.keyed(spark.createDataFrame(rows, media.FEATURES), blocks)
+    keys = media.keyed(spark.createDataFrame(rows, FEATURES), blocks)
     a, b = (keys.select("choice", "value", *[F.col(c).alias(f"{c}_{s}") for c in ("id", "corner")]) for s in "ab")
     met = {(r.corner_a, r.corner_b) for r in a.join(b, ["choice", "value"]).where("id_a < id_b").collect()}
     bits = lambda r: (r[6] % (1 << 64)) << 64 | r[7] % (1 << 64)
@@ -110,9 +117,10 @@ def plain_votes(a, b):
     return best
 
 
-def test_links_join_what_brute_force_joins(spark, monkeypatch):
+@pytest.mark.parametrize("crowd", [48, 5, 1])
+def test_links_join_what_brute_force_joins(spark, monkeypatch, crowd):
     """Classes of all image pairs that agree, with a frame that every image has and copies of one image by the dozen."""
-    monkeypatch.setattr(media, "SHIFT_BIN", 6)
+    monkeypatch.setattr(media, "CROWD", crowd)
     rng = np.random.default_rng(6)
     rows = []
     frame = [[int(x) for x in rng.integers(0, 1 << 62, 2)] for _ in range(3)]
@@ -142,8 +150,8 @@ def test_links_join_what_brute_force_joins(spark, monkeypatch):
         for j in range(i):
             if plain_votes(by[j], by[i]) >= media.MIN_VOTES:
                 parent[max(top(i), top(j))] = min(top(i), top(j))
-    points = spark.createDataFrame(rows, media.FEATURES)
-    got = {r.u: r.root for r in components(media.linked(points)).collect()}
+    corners = spark.createDataFrame([(i, pack(by[i]).tobytes()) for i in range(60)], "id long, corners binary").repartition(3)
+    got = {r.u: r.root for r in components(media.linked(corners)).collect()}
     assert {i: got.get(i, i) for i in range(60)} == {i: top(i) for i in range(60)}
     assert 2 < len({top(i) for i in range(60)}) < 50
 
@@ -153,7 +161,6 @@ def test_votes_match_plain_loops():
     for _ in range(30):
         rows = _descriptors(rng, 60, 2)
         a, b = ([r for r in rows if r[0] == k] for k in (0, 1))
-        pack = lambda side: np.array([(r[2], r[3], r[4], r[5], r[6] % (1 << 64), r[7] % (1 << 64)) for r in side], media._PACKED)
         want = plain_votes(a, b)
         got = media.votes(pack(a), pack(b))
         assert got == want or max(got, want) < media.MIN_VOTES
@@ -179,9 +186,4 @@ def test_recall_by_kind_of_edit(grid, monkeypatch):
 
 
 def _corners(data):
-    t = media.describe([0], [data])
-    out = np.zeros(len(t), media._PACKED)
-    for n in media._PACKED.names:
-        c = t.column(n).to_numpy()
-        out[n] = c.view(np.uint64) if n in ("d0", "d1") else c
-    return out
+    return media.describe([data])[0]
