@@ -29,6 +29,8 @@ LONG, WINDOWS = 24, ((10, 2), (40, 8))
 #: share of a document's words that stand in license lines, from which it is a license file
 FILE_SHARE = 0.3
 SALTS = 16
+#: distinct license files up to which their hashes are sent to all tasks, 64 bytes each; more are joined by a shuffle
+FEW_FILES = 200_000
 
 CUE = (
     r"(?i)licen[cs]|copyright|permission|redistribut|\bcc[ -]by\b|\bcc0\b|public domain|warrant(?:y|ies)\b|unencumbered"
@@ -144,7 +146,8 @@ def scan(docs: DataFrame, path: Column, text: str = "text", id_col: str = "doc_i
     named = F.coalesce(F.col("path").rlike(FILE_NAME), F.lit(False))
     joined = narrow.join(per_doc, "id", "left").withColumn("is_file", named | F.coalesce(F.col("license_words") >= FILE_SHARE * F.col("n_words"), F.lit(False)))
     joined = materialise(joined, "joined")
-    files = joined.where("is_file").select("sha").distinct()
+    files = materialise(joined.where("is_file").select("sha").distinct(), "files")
+    files = F.broadcast(files) if files.count() <= FEW_FILES else files  # so only license files' texts are exchanged
     texts = tagged.select(F.sha2(F.coalesce("text", F.lit("")), 256).alias("sha"), "text").join(files, "sha", "left_semi")
     whole = file_cosines(texts, lines).where(F.col("score") >= SIMILAR).select("sha", F.struct("score", "license").alias("f"))
     both = joined.join(whole, "sha", "left").withColumn("b", F.when(F.col("is_file"), F.greatest("b", "f")).otherwise(F.col("b")))
