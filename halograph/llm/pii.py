@@ -148,7 +148,8 @@ def _labelled(rng: random.Random, kind: str) -> tuple[str, str, str, int]:
         "card": ["card number ", "credit card: ", "visa "], "phone": ["phone ", "tel. ", "call me at ", "fax: "],
     }[kind]
     odd = ["version ", "order ", "invoice no ", "serial ", "isbn ", "total ", "build ", "section ", f"{word()}=", f'"{word()}']
-    before = f"{word()} {rng.choice(cue)}" if yes or rng.random() < 0.05 else f"{word()} {rng.choice([*odd, word() + ' '])}"
+    # what stands before tells something, and not everything: a third of the true ones have no cue, and some others have one
+    before = f"{word()} {rng.choice(cue)}" if rng.random() < (0.67 if yes else 0.15) else f"{word()} {word()} " if yes else f"{word()} {rng.choice([*odd, word() + ' '])}"
     after = rng.choice([" ", ". ", ", "]) + word() if yes or rng.random() < 0.4 else rng.choice(["-", "/", "_", '"', "", "%"]) + num(2)
     if kind == "email":
         if yes:

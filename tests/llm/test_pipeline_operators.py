@@ -12,6 +12,8 @@ from pyspark.sql import functions as F
 
 from halograph.llm import packing, pii, quality, simhash
 
+from .conftest import SF
+
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 
 
@@ -227,6 +229,29 @@ def test_pii_base_spans_and_redaction(docs, texts):
     assert pii.find(docs.limit(0)).count() == 0
 
 
+def test_trees_on_candidates_they_have_not_seen(spark):
+    """Precision and recall at the calibrated thresholds on fresh candidates of the seeded rule, a third of the true ones without a cue."""
+    import random
+
+    fitted = pii.models(spark)
+    for kind in pii.KINDS:
+        rng = random.Random(f"other-{kind}")
+        rows = [pii._labelled(rng, kind) for _ in range(600)]
+        df = spark.createDataFrame(rows, "before string, s string, after string, y int")
+        v = F.array(*[f.cast("double") for f in pii.features(F.struct("s", "before", "after"), kind)])
+        scored = df.select("y", v.alias("v")).select("y", fitted[kind].column([F.get("v", F.lit(i)) for i in range(len(pii.FEATURES))]).alias("p"))
+        got = [(r.y, r.p >= fitted[kind].threshold) for r in scored.collect()]
+        true, chosen, right = sum(y for y, _ in got), sum(c for _, c in got), sum(y for y, c in got if c)
+        print(kind, f"precision {right / chosen:.3f} recall {right / true:.3f}")
+        assert right >= 0.9 * chosen and right >= 0.8 * true, kind
+
+
+def test_documents_gain_no_wrong_spans(spark):
+    """The table's personal data is all in base form; what the trees add to it would be wrong."""
+    docs = spark.read.parquet(f"{SF.replace('sf0.001', 'sf0.01')}/documents.parquet").select("doc_id", "text")
+    assert pii.find(docs).agg(F.sum(F.size(F.filter("pii.spans", lambda s: s["added"])))).first()[0] == 0
+
+
 def test_spans_are_settled_best_first(spark):
     """Against a plain greedy choice, over chains and clusters longer than a block."""
     rng = np.random.default_rng(8)
