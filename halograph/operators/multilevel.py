@@ -12,12 +12,13 @@ import heapq
 from collections import defaultdict
 
 import numpy as np
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.draws import digest
 from ..session import stage
 from .partition import by_label_propagation
+from .ranking import running
 
 
 def match(edges: DataFrame, seed: int, level: int, rounds: int = 2) -> DataFrame:
@@ -108,11 +109,12 @@ def refine(vertices: DataFrame, edges: DataFrame, parts: DataFrame, P: int, slac
         wish = weights.join(best, "vid").join(here, ["vid", "part"], "left").withColumn("gain", F.col("pull") - F.coalesce("held", F.lit(0)))
         wish = wish.where((F.col("to") != F.col("part")) & (F.col("gain") > 0) & (F.pmod(F.xxhash64("vid"), F.lit(2)) == turn % 2))
         room = weights.groupBy(F.col("part").alias("to")).agg((F.lit(cap) - F.sum("size")).alias("room"), (F.lit(tcap) - F.sum("ntrain")).alias("troom"))
-        order = Window.partitionBy("to").orderBy(F.desc("gain"), digest(seed, turn, F.col("vid"))).rowsBetween(Window.unboundedPreceding, 0)
+        wish = wish.select("vid", "to", "gain", "size", "ntrain", digest(seed, turn, F.col("vid")).alias("draw"))
         ok = F.col("s") <= F.col("room")
         if balance_train:
             ok &= (F.col("t") <= F.col("troom")) | (F.col("ntrain") == 0)
-        moved = wish.withColumns({"s": F.sum("size").over(order), "t": F.sum("ntrain").over(order)}).join(room, "to").where(ok).select("vid", "to")
+        ranked = running(wish, "to", [("gain", True), ("draw", False), ("vid", False)], s=F.col("size"), t=F.col("ntrain"))
+        moved = ranked.join(room, "to").where(ok).select("vid", "to")
         weights = stage(weights.join(moved, "vid", "left").select("vid", "size", "ntrain", F.coalesce("to", "part").cast("int").alias("part")))
     return weights.select("vid", "part")
 

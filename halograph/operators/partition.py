@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.draws import digest
 from ..session import stage
+from .ranking import running
 
 
 def by_hash(vertices: DataFrame, parts: int) -> DataFrame:
@@ -78,8 +79,9 @@ def labelprop_round(edges: DataFrame, parts: DataFrame, limit: int, seed: int =
     wish = parts.withColumnRenamed("part", "home").join(best, "vid").join(here, ["vid", "home"], "left")
     wish = wish.withColumn("gain", F.col("pull") - F.coalesce("held", F.lit(0))).where((F.col("to") != F.col("home")) & (F.col("gain") > 0) & (F.pmod(F.col("vid"), F.lit(2)) == turn % 2))
     room = parts.groupBy("part").agg(F.greatest(F.lit(0), F.lit(limit) - F.count("*")).alias("room")).withColumnRenamed("part", "to")
-    order = Window.partitionBy("to").orderBy(F.desc("gain"), digest(seed, turn, F.col("vid")))
-    moved = wish.withColumn("n", F.row_number().over(order)).join(room, "to").where("n <= room").select("vid", "to")
+    wish = wish.select("vid", "to", "gain", digest(seed, turn, F.col("vid")).alias("draw"))
+    ranked = running(wish, "to", [("gain", True), ("draw", False), ("vid", False)], n=F.lit(1))
+    moved = ranked.join(room, "to").where("n <= room").select("vid", "to")
     return parts.join(moved, "vid", "left").select("vid", F.coalesce("to", "part").alias("part"))
 
 
