@@ -138,6 +138,7 @@ VIEWS["v_pred"] = f"SELECT vid, CAST(CASE WHEN a >= b AND a >= c THEN 0 WHEN b >
 add("predict_node", lambda w: _predicted(w), sql("SELECT * FROM v_pred"))
 add("accuracy", lambda w: measures.accuracy(_predicted(w)), sql("SELECT count(*) AS n, count(*) FILTER (pred = label) AS correct, count(*) FILTER (pred = label) / count(*) AS accuracy FROM v_pred"))
 add("confusion", lambda w: measures.confusion(_predicted(w)), sql("SELECT label, pred, count(*) AS n FROM v_pred GROUP BY CUBE (label, pred)"))
+add("confusion_cube", lambda w: _predicted(w).join(w.parts, "vid").cube("part", "label", "pred").agg(F.count("*").alias("n")), sql("SELECT part, label, pred, count(*) AS n FROM v_pred JOIN v_parts USING (vid) GROUP BY CUBE (part, label, pred)"))
 add(
     "topk_pred", lambda w: _logits(w).select("vid", F.posexplode(F.transform("x", millionths)).alias("class", "score")).orderBy(F.desc("score"), "vid", "class").limit(20),
     sql(f"SELECT vid, CAST(class AS INTEGER) AS class, score FROM (SELECT vid, unnest([0, 1, 2]) AS class, unnest([{m6('h0')}, {m6('h1')}, {m6('h2')}]) AS score FROM v_logits) ORDER BY score DESC, vid, class LIMIT 20"),
