@@ -7,11 +7,12 @@ pairs. How many blocks there are, and so how wide a key is, follows from the num
 images there are. Corners that match propose pairs of images; a pair's matches then vote for a rotation, a scale and a shift, and images
 are linked where MIN_VOTES different corners agree. Classes are the components of the links.
 
-Under a key with at most CROWD corners all pairs are compared where they lie. A more crowded key, of many copies of one image or of what
-very many images have in common, such as a frame's corners, proposes pairs in two ways. First each corner's image is paired with the one of
-the smallest id there, so copies of one image find each other in as many steps as there are copies. Then images of classes that are still
-different are paired, from all corners but the MIN_VOTES - 1 most crowded ones of an image: images that share MIN_VOTES matches share
-one of the others.
+Under a key with at most CROWD corners all pairs are compared, and two images with MIN_VOTES matching corners on either side are a
+candidate. A more crowded key, of very many copies of one image or of what very many images have in common, such as a frame's corners,
+proposes pairs in two ways. First each corner's image is paired with the one of the smallest id there, so copies of one image find each
+other in as many steps as there are copies. Then images of classes that are still different are paired, from all corners but the
+MIN_VOTES - 1 most crowded ones of an image: images that share MIN_VOTES matches share one of the others. Images that match under other
+keys as well, but too seldom there, are candidates if corners under crowded keys could make up for it.
 
 Images with equal bytes are one image in the joins, however many there are. Null or unreadable images have no corners and are classes of
 their own (equal ones share it). Repeated ids keep their rows; an empty table gives an empty result; other columns are left out.
@@ -43,7 +44,7 @@ TESTS, RADIUS = 128, 4
 PIXELS_PER_CORNER = 36
 MIN_VOTES = 4
 #: corners under a key up to which all pairs are compared, and crowded keys up to which they are sent to all tasks, 12 bytes each
-CROWD, FEW_KEYS = 48, 500_000
+CROWD, FEW_KEYS = 1024, 500_000
 #: tolerance of a vote in pixels of the full scale, and in steps of orientation
 SHIFT_BIN, ANGLE_BIN = 6, 3
 SEED = 11
@@ -281,16 +282,16 @@ def grouped(keys: DataFrame) -> DataFrame:
     """(choice, value, g): the corners under each key that has several, at most CROWD + 1 of them."""
     order = Window.partitionBy("choice", "value").orderBy("id", "corner")
     few = keys.withColumn("r", F.row_number().over(order)).where(F.col("r") <= CROWD + 1)
-    lists = few.groupBy("choice", "value").agg(F.collect_list(F.struct("id", "d0", "d1")).alias("g"))
+    lists = few.groupBy("choice", "value").agg(F.collect_list(F.struct("id", "corner", "d0", "d1")).alias("g"))
     return lists.where(F.size("g") > 1)
 
 
 def within_keys(groups: DataFrame) -> DataFrame:
-    """Pairs (u, v) of images whose corners match, under keys that are not crowded."""
-    one = groups.where(F.size("g") <= CROWD).select(F.posexplode("g").alias("k", "a"), "g").select("a", F.explode(F.slice("g", F.col("k") + 2, F.size("g"))).alias("b"))
-    flat = one.select(*[F.col(f"{s}.{c}").alias(f"{s}{c[-1]}") for s in "ab" for c in ("id", "d0", "d1")])
-    near = flat.where((F.col("ad") != F.col("bd")) & _near("a", "b"))
-    return near.select(F.greatest("ad", "bd").alias("u"), F.least("ad", "bd").alias("v")).distinct()
+    """(u, v, n_u, n_v): images whose corners match under keys that are not crowded, and how many corners of either do."""
+    rows = groups.where(F.size("g") <= CROWD).select("choice", "value", F.inline("g"))
+    a, b = (rows.select("choice", "value", *[F.col(c).alias(f"{s}_{c}") for c in ("id", "corner")], *[F.col(c).alias(f"{s}{c[1]}") for c in ("d0", "d1")]) for s in "uv")
+    found = a.join(b, ["choice", "value"]).where((F.col("u_id") > F.col("v_id")) & _near("u", "v"))
+    return found.groupBy(F.col("u_id").alias("u"), F.col("v_id").alias("v")).agg(*[F.size(F.collect_set(f"{s}_corner")).alias(f"n_{s}") for s in "uv"])
 
 
 def with_smallest(keys: DataFrame) -> DataFrame:
@@ -298,7 +299,7 @@ def with_smallest(keys: DataFrame) -> DataFrame:
     w = Window.partitionBy("choice", "value").orderBy("id", "corner")
     first = lambda c: F.first(c).over(w)
     rows = keys.select("id", "d0", "d1", first("id").alias("v"), first("d0").alias("e0"), first("d1").alias("e1"))
-    return rows.where((F.col("id") != F.col("v")) & _near("d", "e")).select(F.col("id").alias("u"), "v").distinct()
+    return rows.where((F.col("id") > F.col("v")) & _near("d", "e")).select(F.col("id").alias("u"), "v").distinct()
 
 
 def between_classes(keys: DataFrame, classes: DataFrame) -> DataFrame:
@@ -361,12 +362,17 @@ def linked(corners: DataFrame) -> DataFrame:
     n = corners.agg(F.sum(F.octet_length("corners"))).first()[0] or 0
     keys = keyed(points, n_blocks(n // _PACKED.itemsize))
     groups = materialise(grouped(keys), "groups")
-    pairs = within_keys(groups)
+    some = within_keys(groups)
     crowded = materialise(groups.where(F.size("g") > CROWD).select("choice", "value"), "crowded")
     n_crowded = crowded.count()
     if not n_crowded:
-        return consensus(pairs, corners)
+        return consensus(some.where(F.least("n_u", "n_v") >= MIN_VOTES), corners)
     many = materialise(keys.join(F.broadcast(crowded) if n_crowded <= FEW_KEYS else crowded, ["choice", "value"]), "many")
+    hot = materialise(many.groupBy("id").agg(F.count_distinct("corner").alias("hot")), "hot")
+    of = lambda c: hot.select(F.col("id").alias(c), F.col("hot").alias(f"hot_{c}"))
+    some = some.join(of("u"), "u", "left").join(of("v"), "v", "left").na.fill(0, ["hot_u", "hot_v"])
+    helped = F.when((F.col("hot_u") > 0) & (F.col("hot_v") > 0), F.least(F.col("n_u") + F.col("hot_u"), F.col("n_v") + F.col("hot_v"))).otherwise(F.least("n_u", "n_v"))
+    pairs = some.where(helped >= MIN_VOTES).select("u", "v")
     near = materialise(consensus(pairs.union(with_smallest(many)).distinct(), corners), "near")
     classes = corners.select("id").distinct().join(components(near).withColumnRenamed("u", "id"), "id", "left").select("id", F.coalesce("root", "id").alias("class"))
     return near.union(consensus(between_classes(many, materialise(classes, "by-smallest")), corners))

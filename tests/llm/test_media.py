@@ -117,7 +117,7 @@ def plain_votes(a, b):
     return best
 
 
-@pytest.mark.parametrize("crowd", [48, 5, 1])
+@pytest.mark.parametrize("crowd", [1024, 20, 5, 1])
 def test_links_join_what_brute_force_joins(spark, monkeypatch, crowd):
     """Classes of all image pairs that agree, with a frame that every image has and copies of one image by the dozen."""
     monkeypatch.setattr(media, "CROWD", crowd)
