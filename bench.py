@@ -71,12 +71,12 @@ def main() -> None:
         facts[f"used_pushes_{P}"] = exchange.used_only(plan.push_plan, plan.hit_plan, plan.rounds).count()
 
     def measured(name: str, r) -> None:
-        """Seconds in the ranks by component, the share of sending that nobody waited for, and imbalance of the last epoch."""
+        """Seconds in the ranks by component (sampling and fetched features are in the plan, not here), and imbalance of the last epoch."""
         last = r.log[-1]["epoch"]
         for p in measures.forward_with_remote(measures.epoch_parts(r.times)).where(F.col("epoch") == last).collect():
             facts[f"{name}_{p.part}_seconds"] = round(p.seconds, 3)
         facts[f"{name}_epoch_seconds"] = round(sum(v for k, v in facts.items() if k in {f"{name}_{c}_seconds" for c in ("minibatch", "forward", "backward", "allreduce")}), 3)
-        facts[f"{name}_hidden"] = round(measures.overlap(r.times).where(F.col("epoch") == last).first().hidden, 3)
+        facts[f"{name}_waited_seconds"] = round(measures.waiting(r.times).where(F.col("epoch") == last).first().wait, 4)
         facts[f"{name}_imbalance"] = round(measures.time_imbalance(r.times).where(F.col("epoch") == last).first().imbalance, 3)
 
     # push against pull: the same graph, seeds and model

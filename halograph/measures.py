@@ -95,11 +95,26 @@ def forward_with_remote(parts: DataFrame) -> DataFrame:
     return parts.where("part <> 'send'").groupBy("epoch", name.alias("part")).agg(F.sum("seconds").alias("seconds"))
 
 
-def overlap(times: DataFrame) -> DataFrame:
-    """(epoch, send, wait, hidden): seconds that all ranks' pushes took to send, seconds that ranks waited for pushes, and the share of
-    sending that nobody waited for."""
-    got = times.groupBy("epoch").agg(*[F.sum(F.when(F.col("part") == p, F.col("seconds")).otherwise(0.0)).alias(p) for p in ("send", "wait")])
-    return got.withColumn("hidden", F.when(F.col("send") > 0, F.greatest(F.lit(0.0), 1 - F.col("wait") / F.col("send"))).otherwise(F.lit(1.0)))
+def waiting(times: DataFrame) -> DataFrame:
+    """(epoch, send, wait): seconds that all ranks' pushes took to send, and seconds that ranks stood waiting for pushes. Iteration 0 is
+    left out: there ranks also wait for each other to start. Without pushes both are 0."""
+    later = [F.sum(F.when((F.col("part") == p) & (F.col("it") > 0), F.col("seconds")).otherwise(0.0)).alias(p) for p in ("send", "wait")]
+    return times.groupBy("epoch").agg(*later)
+
+
+def hidden(delayed: tuple[DataFrame, DataFrame], synchronous: tuple[DataFrame, DataFrame]) -> DataFrame:
+    """(epoch, rows, rows_synchronous, wait, wait_synchronous, hidden) from (times, pushes carried out) of a run with a delay and of one
+    without: the share of the waiting for a pushed row that the delay saves. Delayed runs push less, as nothing is sent that would
+    arrive after the epoch, so waits are compared by row; null where either run pushes nothing or never waits without delay."""
+
+    def one(run: tuple[DataFrame, DataFrame], tag: str) -> DataFrame:
+        rows = run[1].where("arrive_it > 0").groupBy("epoch").agg(F.count("*").alias(f"rows{tag}"))
+        return waiting(run[0]).select("epoch", F.col("wait").alias(f"wait{tag}")).join(rows, "epoch", "left").na.fill(0, [f"rows{tag}"])
+
+    both = one(delayed, "").join(one(synchronous, "_synchronous"), "epoch")
+    known = (F.col("rows") > 0) & (F.col("rows_synchronous") > 0) & (F.col("wait_synchronous") > 0)
+    ratio = F.try_divide(F.col("wait") * F.col("rows_synchronous"), F.col("wait_synchronous") * F.col("rows"))
+    return both.select("epoch", "rows", "rows_synchronous", "wait", "wait_synchronous", F.when(known, 1 - ratio).alias("hidden"))
 
 
 def time_imbalance(times: DataFrame) -> DataFrame:

@@ -210,6 +210,7 @@ def _run_barrier(rows: DataFrame, carried: DataFrame | None, cfg: TrainConfig, e
     start = spark.sparkContext.broadcast((p, opt))
     place = F.array_position(F.array(*map(F.lit, ranks)), F.col("rank")).cast("int") - 1
     token, d = os.urandom(16), cfg.cache.d
+    talk = cfg.mode == "push" and cfg.cache.nc != 0  # else nothing is ever pushed, and no messages are exchanged
     back = _back_to(cfg.cache, rounds)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -236,12 +237,12 @@ def _run_barrier(rows: DataFrame, carried: DataFrame | None, cfg: TrainConfig, e
 
         for it in range(rounds):
             extra = {"wait_seconds": 0.0, "post_seconds": 0.0}
-            if d and it >= d:
+            if talk and d and it >= d:
                 arrivals(it - d, range(rank.top), extra)
             rank.forget(min(back, it - cache.longest_life(cfg.cache, rounds)))
 
             def on_push(k: int, sends: list) -> None:
-                if it >= rounds - d:
+                if not talk or it >= rounds - d:
                     return
                 mine = {number[to]: (ids, x.astype(cfg.row_dtype)) for to, _, ids, x in sends if to in number}
                 for o in others:

@@ -276,7 +276,16 @@ def _of_runs(w, measure):
 
 
 add("measured_parts", lambda w: _of_runs(w, lambda t: measures.forward_with_remote(measures.epoch_parts(t))))
-add("measured_overlap", lambda w: _of_runs(w, measures.overlap))
+add("measured_waiting", lambda w: _of_runs(w, measures.waiting))
+
+
+def _hidden(w):
+    """All planned pushes are carried out in both runs."""
+    runs = [trained(w, "push", epochs=1, d=d, used_only=False) for d in (1, 0)]
+    return measures.hidden(*[(r.times, r.plans[0].push_plan) for r in runs])
+
+
+add("measured_hidden", _hidden)
 add("measured_imbalance", lambda w: _of_runs(w, measures.time_imbalance))
 add("measured_epoch_time", lambda w: inline(w.spark, "run string, epoch int, seconds double", [(name, m["epoch"], float(m["run_seconds"])) for name, r in _runs(w) for m in r.log]))
 add("measured_gain", lambda w: measures.gain(inline(w.spark, "name string, base double, optimised double", [("push over pull", *(min(float(m["run_seconds"]) for m in r.log) for _, r in reversed(_runs(w))))])))

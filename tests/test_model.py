@@ -166,8 +166,15 @@ def test_three_ranks_and_longer_delays(task):
         assert abs(seconds - mine["min" if part == "allreduce" else "max"].sum()) < 1e-6
     four = {(r.epoch, r.part): r.seconds for r in measures.forward_with_remote(measures.epoch_parts(b.times)).collect()}
     assert abs(four[0, "forward"] - sum(parts[0, p] for p in ("pre", "wait", "post", "forward"))) < 1e-6
-    hidden = {r.epoch: r for r in measures.overlap(b.times).collect()}
-    assert abs(hidden[0].send - rows[(rows.epoch == 0) & (rows.part == "send")].seconds.sum()) < 1e-6 and 0 <= hidden[0].hidden <= 1
+    spent = {r.epoch: r for r in measures.waiting(b.times).collect()}
+    assert spent[0].send > 0 and abs(spent[0].send - rows[(rows.epoch == 0) & (rows.part == "send") & (rows.it > 0)].seconds.sum()) < 1e-6
+    pushes = b.plans[0].push_plan
+    slower = b.times.withColumn("seconds", F.col("seconds") * 8)
+    got = measures.hidden((b.times, pushes), (slower, pushes.unionByName(pushes))).where("epoch = 0").first()  # twice the rows, eight times the wait
+    assert got.rows == pushes.where("arrive_it > 0").count() > 0 and abs(got.hidden - 0.75) < 1e-6
+    assert measures.hidden((b.times, pushes.where("false")), (slower, pushes)).first().hidden is None  # nothing pushed tells nothing
+    quiet = run(task, "pull", P=2, epochs=1, engine="barrier")[0]
+    assert measures.waiting(quiet.times).first().send == 0 and measures.waiting(quiet.times).first().wait == 0  # nothing is pushed, nothing is timed
     assert all(r.imbalance >= 0 for r in measures.time_imbalance(b.times).collect())
 
 

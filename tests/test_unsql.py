@@ -72,7 +72,11 @@ def test_measured_queries(spark, work, q):
     for r in q["measured_epoch_time"](spark, SF).collect():
         seconds[r.run] += r.seconds
     assert all(total[k] < seconds[k] for k in total)  # the ranks' own time is part of the epoch's
-    assert all(0 <= r.hidden <= 1 for r in q["measured_overlap"](spark, SF).collect())
+    rounds = work.runs[next(k for k in work.runs if k[0] == "push" and k[2] == 2)].plans[0].rounds
+    for r in q["measured_waiting"](spark, SF).collect():
+        assert (r.send > 0) == (r.run == "push" and rounds > 1)
+    for r in q["measured_hidden"](spark, SF).collect():
+        assert (r.hidden is None) == (rounds == 1)  # one round pushes nothing that is delayed
     assert {r.run for r in q["measured_imbalance"](spark, SF).collect()} == {"push", "pull"}
     assert q["measured_gain"](spark, SF).first().factor > 0
 
