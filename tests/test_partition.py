@@ -1,5 +1,6 @@
 """Partitioners: balance, and fewer cut edges than hashing."""
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from halograph.operators import graph, partition
@@ -63,3 +64,22 @@ def test_running_sums_over_ranges(spark, monkeypatch):
     monkeypatch.setattr(ranking, "ONE_TASK", 10)
     assert sorted(map(tuple, ranking.running(df, "g", order, n=F.lit(1), s=F.col("size")).collect())) == want
     assert [r[4] for r in sorted(want, key=lambda r: (r[0], -r[1], r[2])) if r[0] == 0] == list(range(1, sum(r[0] == 0 for r in want) + 1))
+
+
+def test_nearest_by_blocks(monkeypatch, spark):
+    """Copies, vectors without a direction and several blocks, against every pair; and no join of single vectors."""
+    monkeypatch.setattr(graph, "BLOCK_VECTORS", 16)
+    rng = np.random.default_rng(5)
+    rows = [(k, [0.0] * 4 if k == 7 else None if k == 9 else [float(x) for x in rng.integers(-2, 3, 4) + 0.5]) for k in range(60)]
+    got = graph.nearest(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), 3)
+    want = set()
+    for d, v in rows:
+        scored = []
+        for s, u in rows:
+            if s != d:
+                ok = u is not None and v is not None and any(u) and any(v)
+                sim = int(np.floor(sum(a * b for a, b in zip(v, u, strict=True)) / (np.sqrt(sum(a * a for a in v)) * np.sqrt(sum(b * b for b in u))) * 1e6 + graph.EDGE)) if ok else None
+                scored.append((sim is None, -(sim or 0), s))
+        want |= {(s, d, r + 1) for r, (_, _, s) in enumerate(sorted(scored)[:3])}
+    assert {(r.src, r.dst, r["rank"]) for r in got.collect()} == want
+    assert "zip_with" not in got._jdf.queryExecution().toString()
