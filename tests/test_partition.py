@@ -66,6 +66,23 @@ def test_running_sums_over_ranges(spark, monkeypatch):
     assert [r[4] for r in sorted(want, key=lambda r: (r[0], -r[1], r[2])) if r[0] == 0] == list(range(1, sum(r[0] == 0 for r in want) + 1))
 
 
+def test_two_hop_counts_of_hubs_and_gaps(monkeypatch):
+    """Sources with more paths than are expanded at once, and lists in several pieces, against sets."""
+    rng = np.random.default_rng(3)
+    lists = [rng.choice(50, n, replace=False) for n in rng.integers(0, 12, 40)]
+    base = rng.integers(0, 3, 40).astype(np.int64) << graph.PIECE_BITS
+    pairs = sorted({(int(s), int(r)) for s, r in zip(rng.integers(0, 9, 150), rng.integers(0, 40, 150), strict=True)} | {(4, r) for r in range(40)}, key=lambda p: p[1])
+    src, row = (np.array(c) for c in zip(*pairs, strict=True))
+    length = np.array([len(x) for x in lists])
+    want = {}
+    for s, r in pairs:
+        want.setdefault(s, set()).update(int(base[r] + x) for x in lists[r] if base[r] + x != s)
+    for most in (1, 7, 60, 10**6):
+        monkeypatch.setattr(graph, "PATHS_AT_ONCE", most)
+        got = {int(s): int(n) for ids, ns in graph._block_counts(src, row, np.concatenate(lists), np.cumsum(length) - length, length, base) for s, n in zip(ids, ns, strict=True)}
+        assert got == {s: len(v) for s, v in want.items() if v}
+
+
 def test_nearest_by_blocks(monkeypatch, spark):
     """Copies, vectors without a direction and several blocks, against every pair; and no join of single vectors."""
     monkeypatch.setattr(graph, "BLOCK_VECTORS", 16)
