@@ -87,3 +87,8 @@ def test_sampled_inference(spark, work, q):
     key = next(k for k in work.runs if k[0] == "push" and k[2] == 2)
     again = predict_nodes(sampled(work.pg, work.train, graph.hash_features(work.vertices, 16), ModelSpec("sage", (16, 32, 6), dropout=0.0), work.runs[key].params, work.sample_two))
     assert {r.vid: r.pred for r in again.collect()} == got
+
+
+@pytest.mark.parametrize("name, given", [("ablation_gain", "lineitem")])
+def test_reads_a_given_table(spark, q, name, given):
+    assert any(f.endswith(f"/{given}.parquet") for f in q[name](spark, SF).inputFiles())
