@@ -89,6 +89,6 @@ def test_sampled_inference(spark, work, q):
     assert {r.vid: r.pred for r in again.collect()} == got
 
 
-@pytest.mark.parametrize("name, given", [("ablation_gain", "lineitem")])
+@pytest.mark.parametrize("name, given", [("ablation_gain", "lineitem"), ("breakdown_pivot", "events")])
 def test_reads_a_given_table(spark, q, name, given):
     assert any(f.endswith(f"/{given}.parquet") for f in q[name](spark, SF).inputFiles())
