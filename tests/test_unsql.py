@@ -92,3 +92,10 @@ def test_sampled_inference(spark, work, q):
 @pytest.mark.parametrize("name, given", [("ablation_gain", "lineitem"), ("breakdown_pivot", "events"), ("convergence_epoch", "events"), ("dyadic_weights", "part"), ("loss_moving_avg", "events"), ("lr_table", "lineitem"), ("scaling_efficiency", "lineitem"), ("source_ring_graph", "customer"), ("speedup_table", "lineitem")])
 def test_reads_a_given_table(spark, q, name, given):
     assert any(f.endswith(f"/{given}.parquet") for f in q[name](spark, SF).inputFiles())
+
+
+def test_clock_ticks_with_the_events(spark, q):
+    """The stream's files are gone into what it wrote, so rows are compared: every event is a tick, in four iterations."""
+    got = q["stream_clock"](spark, SF)
+    assert got.select("tick").exceptAll(spark.read.parquet(f"{SF}/events.parquet").select("event_id")).isEmpty() and got.count() == spark.read.parquet(f"{SF}/events.parquet").count()
+    assert {r.it for r in got.select("it").distinct().collect()} == {0, 1, 2, 3}
