@@ -89,7 +89,7 @@ def test_sampled_inference(spark, work, q):
     assert {r.vid: r.pred for r in again.collect()} == got
 
 
-@pytest.mark.parametrize("name, given", [("ablation_gain", "lineitem"), ("breakdown_pivot", "events"), ("convergence_epoch", "events"), ("dyadic_weights", "part"), ("loss_moving_avg", "events"), ("lr_table", "lineitem"), ("scaling_efficiency", "lineitem"), ("source_ring_graph", "customer"), ("speedup_table", "lineitem"), ("time_breakdown", "events")])
+@pytest.mark.parametrize("name, given", [("ablation_gain", "lineitem"), ("breakdown_pivot", "events"), ("convergence_epoch", "events"), ("dyadic_weights", "part"), ("loss_moving_avg", "events"), ("lr_table", "lineitem"), ("scaling_efficiency", "lineitem"), ("source_ring_graph", "customer"), ("speedup_table", "lineitem"), ("time_breakdown", "events"), ("time_to_target", "events")])
 def test_reads_a_given_table(spark, q, name, given):
     assert any(f.endswith(f"/{given}.parquet") for f in q[name](spark, SF).inputFiles())
 
