@@ -4,7 +4,12 @@ from __future__ import annotations
 
 from dataclasses import replace
 
+import pyarrow as pa
+import pytest
+
+from halograph import session
 from halograph.model.network import ModelSpec
+from halograph.plans import training
 from halograph.plans.epoch import SampleConfig
 from halograph.plans.training import TrainConfig, train
 from halograph.queries.workload import workload
@@ -29,3 +34,31 @@ def test_models_are_trained_on_stored_rows(spark):
     w = workload(spark, SF)
     for df in (w.trained_features, w.trained_labels):
         assert not any("testdata" in f for f in df.inputFiles()) and "md5" not in df._jdf.queryExecution().toString()
+
+
+LIMITS = ("spark.sql.execution.arrow.maxRecordsPerBatch", "spark.sql.execution.arrow.maxBytesPerBatch")
+
+
+def test_ranks_batches_are_not_weighed_with_every_row(spark, monkeypatch):
+    """A limit of bytes makes Spark weigh the batch with each row, which was nine tenths of the ranks' stage. The stage itself is not run here."""
+    before, seen = [spark.conf.get(k, None) for k in LIMITS], []
+
+    def look(df, name):
+        seen.append([spark.conf.get(k, None) for k in LIMITS])
+        raise InterruptedError
+
+    monkeypatch.setattr(training, "stage", look)
+    rows = spark.createDataFrame([(0, "f", 0, 0, 1, None, None)], training.SCHEMA)
+    with pytest.raises(InterruptedError):
+        training._run_barrier(rows, None, TrainConfig(ModelSpec("sage", (16, 32, 6))), 0, 1, {}, None)
+    assert seen == [["10000", str(2**31 - 1)]]
+    assert [spark.conf.get(k, None) for k in LIMITS] == before
+
+
+def test_batches_by_rows_keep_wide_rows_to_the_bytes(spark):
+    def sizes(batches):
+        yield from (pa.record_batch([pa.array([len(b)], pa.int64())], names=["n"]) for b in batches)
+
+    with session.batches_by_rows(spark, session.BATCH_BYTES // 100):
+        got = [r.n for r in spark.range(0, 1050, 1, 1).mapInArrow(sizes, "n long").collect()]
+    assert max(got) == 100 and sum(got) == 1050
