@@ -4,11 +4,12 @@ from __future__ import annotations
 
 from dataclasses import replace
 
+import numpy as np
 import pyarrow as pa
 import pytest
 
 from halograph import session
-from halograph.model.network import ModelSpec
+from halograph.model.network import ModelSpec, Sgd
 from halograph.plans import training
 from halograph.plans.epoch import SampleConfig
 from halograph.plans.training import TrainConfig, train
@@ -62,3 +63,29 @@ def test_batches_by_rows_keep_wide_rows_to_the_bytes(spark):
     with session.batches_by_rows(spark, session.BATCH_BYTES // 100):
         got = [r.n for r in spark.range(0, 1050, 1, 1).mapInArrow(sizes, "n long").collect()]
     assert max(got) == 100 and sum(got) == 1050
+
+
+@pytest.mark.parametrize("d", [1, 0])
+def test_an_iteration_of_the_step_engine_is_one_job(spark, monkeypatch, d):
+    """Without delay one for each layer besides. Queries, their exchanges and listings took most of an epoch of thousands of iterations."""
+    w, sc = workload(spark, SF), spark.sparkContext
+    cfg = TrainConfig(ModelSpec("sage", (16, 8, 6), dropout=0.0), SampleConfig((3, 2), 6), replace(w.spec, d=d), "push", 1, rate=0.01, dtype="f8")
+    plan = training.plan_for(w.pg, w.trained_labels, cfg, 0, None)
+    rows = session.stage(training.epoch_rows(plan, w.trained_features, w.trained_labels, spec=cfg.cache, by_iteration=True))
+    add, seen, start = training.allreduce, [], cfg.model.init(1)
+
+    def counted(*a):
+        out = add(*a)
+        sc._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+        seen.append(len(sc.statusTracker().getJobIdsForGroup(f"steps-{d}")))
+        return out
+
+    monkeypatch.setattr(training, "allreduce", counted)
+    sc.setJobGroup(f"steps-{d}", "")
+    got = training._run_step(rows, None, cfg, 0, plan.rounds, start, Sgd(0.01))
+    sc.setJobGroup("", "")
+    assert plan.rounds > 2 and len(seen) == plan.rounds * (1 if d else 3) and seen[-1] - seen[0] == len(seen) - 1
+    want = training._run_local(rows, None, cfg, 0, plan.rounds, start, Sgd(0.01))
+    assert all(np.allclose(got.params[k], want.params[k], atol=1e-6) for k in want.params) and plan.hit_plan.where("hit").count() > 0
+    assert [m["edges"] for m in got.log] == [m["edges"] for m in want.log]
+    assert sorted(got.rows.where("tag = 't'").select("rank", "it").collect()) == sorted(want.rows.where("tag = 't'").select("rank", "it").collect())
