@@ -3,16 +3,18 @@
 from __future__ import annotations
 
 from dataclasses import replace
+from types import SimpleNamespace
 
 import numpy as np
 import pyarrow as pa
 import pytest
 
-from halograph import session
+from halograph import catalog, session
 from halograph.model.network import ModelSpec, Sgd
-from halograph.plans import training
+from halograph.plans import infer, training
 from halograph.plans.epoch import SampleConfig
 from halograph.plans.training import TrainConfig, train
+from halograph.queries import numeric
 from halograph.queries.workload import workload
 
 SF = "/root/testdata/sf0.001"
@@ -89,3 +91,20 @@ def test_an_iteration_of_the_step_engine_is_one_job(spark, monkeypatch, d):
     assert all(np.allclose(got.params[k], want.params[k], atol=1e-6) for k in want.params) and plan.hit_plan.where("hit").count() > 0
     assert [m["edges"] for m in got.log] == [m["edges"] for m in want.log]
     assert sorted(got.rows.where("tag = 't'").select("rank", "it").collect()) == sorted(want.rows.where("tag = 't'").select("rank", "it").collect())
+
+
+def test_inference_brings_no_features_to_the_driver(spark, monkeypatch):
+    """They are read as they are stored, and neither end of their join is broadcast; batches are not weighed with every row."""
+    plans = []
+
+    def look(df, name="stage"):
+        plans.append((df._jdf.queryExecution().toString(), [spark.conf.get(k, None) for k in LIMITS]))
+        return session.stage(df, name)
+
+    monkeypatch.setattr(infer, "stage", look)
+    monkeypatch.setattr(numeric, "trained", lambda w, mode: SimpleNamespace(params=ModelSpec("sage", (16, 32, 6)).init(1)))
+    df = catalog.queries()["sampled_inference"](spark, SF)
+    plans.append((df._jdf.queryExecution().toString(), None))
+    plan, limits = next(p for p in plans if "FlatMapGroupsInArrow" in p[0])
+    assert "BroadcastExchange" not in plan and "md5" not in plan and limits == ["10000", str(2**31 - 1)]
+    assert df.count() == workload(spark, SF).train.count()
